@@ -15,6 +15,12 @@ def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_substrings(_table(spark, sf_dir, "documents"))
 
 
+def op2_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontamination import find_contained
+
+    return find_contained(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ngram_join import jaccard_components
 
@@ -43,5 +49,18 @@ def op10_token_counts(spark: SparkSession, sf_dir: str, vocabulary: str | None =
     return count_tokens(_table(spark, sf_dir, "documents"), vocabulary)
 
 
-QUERIES = {f.__name__: f for f in (op1_substring_dedup, op3_ngram_jaccard_join, op7_source_mixing, op9_secret_scan, op10_token_counts)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_substring_dedup, op2_benchmark_decontamination, op3_ngram_jaccard_join, op7_source_mixing, op9_secret_scan, op10_token_counts)}
+OP2_SQL = r"""
+with d as (select doc_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from documents),
+b as (select item_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from benchmark),
+bs as (select item_id, len(w) nw, unnest(range(1, greatest(len(w) - 4, 1) + 1)) i, w from b where len(w) > 0),
+items as (select distinct item_id, least(nw, 5) n, array_to_string(w[i:i + 4], ' ') g from bs),
+q as (select item_id, count(*) n_shingles from items group by 1),
+sizes as (select distinct n from items),
+ds as (select doc_id, n, w, unnest(range(1, len(w) - n + 2)) i from d, sizes where len(w) >= n),
+grams as (select distinct doc_id, n, array_to_string(w[i:i + n - 1], ' ') g from ds),
+hits as (select doc_id, item_id, count(*) n_shared from grams join items using (n, g) group by 1, 2)
+select doc_id, item_id, n_shingles, n_shared, round(n_shared / n_shingles, 6) as containment
+from hits join q using (item_id) where n_shared * 100 >= n_shingles * 80
+"""
+ORACLES: dict[str, str] = {"op2_benchmark_decontamination": OP2_SQL}
