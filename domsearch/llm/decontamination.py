@@ -21,8 +21,8 @@ from pyspark.sql import functions as F
 
 from .frames import SMALL_IDS, documents_only, with_ids, written
 
-HASHES = 64
-MISS = 1e-9
+HASHES = 256  # restricted sets are small, so a wide signature costs little
+MISS = 1e-7
 SMALL_GRAMS = 2_000_000  # item shingles that may be broadcast (16 MB)
 _SPACES = r"[\x20\x09-\x0D]+"
 
@@ -75,6 +75,8 @@ def find_contained(docs: DataFrame, items: DataFrame, n_words: int = 5, percent:
     all_grams = F.concat(*(gram_hashes(F.col("words"), n) for n in lengths)) if lengths else F.expr("cast(array() as array<bigint>)")
     held = words.select("doc_id", F.explode(all_grams).alias("h")).join(universe, "h", "left_semi").distinct()
     held = held.groupBy("doc_id").agg(F.collect_list("h").alias("grams"))
+    fewest = items.agg(F.min(F.size("grams"))).first()[0] or 1
+    held = held.where(F.size("grams") * 100 >= percent * fewest)
     held = written(held.withColumn("size_class", F.ceil(F.log2(F.size("grams"))).cast("int")), "restricted")
     sized = items.withColumn("size_class", F.ceil(F.log2(F.size("grams"))).cast("int"))
 
