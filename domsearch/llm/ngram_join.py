@@ -18,8 +18,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .frames import as_bytes, batches, by_key, documents_only, partitions, with_ids, written
-from .text_arrays import shingle_sets, word_hashes
+from .frames import as_bytes, batches, by_key, documents_only, with_ids, written
+from .text_arrays import mix, shingle_sets, word_hashes
 
 BLOCK = 512  # representatives compared at once
 FRAGMENT_BYTES = 24_000_000  # text bytes whose shingles make up one fragment (about 4 million)
@@ -52,48 +52,61 @@ def shared_counts(docs: DataFrame, n_words: int = 5, fragments: int | None = Non
     if fragments is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         fragments = max(4, -(-size // FRAGMENT_BYTES))
-    names = ["fragment", "ids", "sizes", "hashes"]
+    fields = [pa.field("fragment", pa.int32()), pa.field("block", pa.int64()), pa.field("ids", pa.binary()), pa.field("rows", pa.binary()), pa.field("sizes", pa.binary()), pa.field("hashes", pa.binary())]
 
     def cut(rows):
         for batch in batches(rows):
             sets = _sets(batch.column(1).to_pylist(), n_words)
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
+            ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
             flat = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
-            owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+            owner = np.repeat(np.arange(len(sets), dtype=np.int32), [len(s) for s in sets])
             of = _fragment_of(flat, fragments)
             order = np.argsort(of, kind="stable")
             flat, owner, of = flat[order], owner[order], of[order]
             cuts = np.searchsorted(of, np.arange(fragments + 1, dtype=np.uint64))
-            out = [[], [], [], []]
+            block = int(mix(mix(ids.view(np.uint64)) + np.arange(len(ids), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64)) if len(ids) else 0
+            out = [(block % fragments, block, ids.tobytes(), None, None, None)]
             for f in np.flatnonzero(np.diff(cuts)).tolist():
                 who, sizes = np.unique(owner[cuts[f] : cuts[f + 1]], return_counts=True)
-                for x, y in zip(out, (f, ids[who].astype(np.int64).tobytes(), sizes.astype(np.int32).tobytes(), _packed(flat[cuts[f] : cuts[f + 1]])), strict=True):
-                    x.append(y)
-            empty = ids[[k for k, s in enumerate(sets) if not len(s)]].astype(np.int64)
-            if len(empty):
-                for x, y in zip(out, (int(empty[0]) % fragments, empty.tobytes(), np.zeros(len(empty), np.int32).tobytes(), b""), strict=True):
-                    x.append(y)
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), *(pa.array(x, pa.binary()) for x in out[1:])], names)
+                out.append((f, block, None, who.tobytes(), sizes.astype(np.int32).tobytes(), _packed(flat[cuts[f] : cuts[f + 1]])))
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], x.type) for k, x in enumerate(fields)], schema=pa.schema(fields))
 
     def count(_, table):
-        parts = [_unpacked(x) for x in table["hashes"].to_pylist()]
-        h = np.concatenate(parts)
-        del parts
+        blocks, ids, who, sizes, raw = (table[x].to_pylist() for x in ("block", "ids", "rows", "sizes", "hashes"))
+        h = np.concatenate([np.zeros(0, np.uint64), *(_unpacked(x) for x in raw if x is not None)])
+        del raw
         order = np.argsort(h)
         h = h[order]
         again = np.zeros(len(h) + 1, bool)
         again[1:-1] = h[1:] == h[:-1]
         shared = np.zeros(len(h), bool)
         shared[order] = again[:-1] | again[1:]
-        ids = np.concatenate([np.frombuffer(x, np.int64) for x in table["ids"].to_pylist()])
-        sizes = np.concatenate([np.frombuffer(x, np.int32) for x in table["sizes"].to_pylist()])
-        ends = np.cumsum(sizes)
-        total = np.concatenate([[0], np.cumsum(shared)])
-        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(sizes.astype(np.int64)), pa.array(total[ends] - total[ends - sizes])], ["doc_id", "n", "s"])
-
-    pieces = docs.select("doc_id", as_bytes("text").alias("text")).mapInArrow(cut, "fragment int, ids binary, sizes binary, hashes binary")
-    counted = by_key(pieces, ["fragment"], count, "doc_id long, n long, s long", max(fragments, 1))
-    return counted.groupBy("doc_id").agg(F.sum("n").alias("n_shingles"), F.sum("s").alias("n_shared"))
+        total, at = np.concatenate([[0], np.cumsum(shared)]), 0
+        out = []
+        for x in sizes:
+            if x is None:
+                out.append(None)
+                continue
+            n = np.frombuffer(x, np.int32)
+            ends = at + np.cumsum(n)
+            out.append((total[ends] - total[ends - n]).astype(np.int32).tobytes())
+            at = int(ends[-1])
+        yield pa.RecordBatch.from_arrays([pa.array(blocks, pa.int64()), *(pa.array(x, pa.binary()) for x in (ids, who, sizes, out))], ["block", "ids", "rows", "sizes", "shared"])
+
+    def gather(_, table):
+        ids = np.frombuffer(next(x for x in table["ids"].to_pylist() if x is not None), np.int64)
+        n, s = np.zeros(len(ids), np.int64), np.zeros(len(ids), np.int64)
+        for who, sizes, shared in zip(*(table[x].to_pylist() for x in ("rows", "sizes", "shared")), strict=True):
+            if who is not None:
+                k = np.frombuffer(who, np.int32)
+                n[k] += np.frombuffer(sizes, np.int32)
+                s[k] += np.frombuffer(shared, np.int32)
+        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(n), pa.array(s)], ["doc_id", "n", "s"])
+
+    pieces = docs.select("doc_id", as_bytes("text").alias("text")).mapInArrow(cut, "fragment int, block long, ids binary, rows binary, sizes binary, hashes binary")
+    counted = by_key(pieces, ["fragment"], count, "block long, ids binary, rows binary, sizes binary, shared binary", fragments)
+    per = by_key(counted, ["block"], gather, "doc_id long, n long, s long")
+    return per.groupBy("doc_id").agg(F.sum("n").alias("n_shingles"), F.sum("s").alias("n_shared"))
 
 
 def _overlaps(segments_a, segments_b):
@@ -157,7 +170,7 @@ def jaccard_links(reps: DataFrame, percent: int = 80, fragments: int = 4) -> Dat
 
     # 1. how many sets hold each shingle, fragment by fragment; shingles of one set only are dropped
     size = reps.agg(F.sum(F.octet_length("shingles"))).first()[0] or 0
-    slices = max(4, -(-size // (8 * 2_000_000)))
+    slices = max(16, -(-size // (8 * 2_000_000)))
 
     def frequencies(_, table):
         parts = [np.frombuffer(x, np.uint64) for x in table["part"].to_pylist()]
