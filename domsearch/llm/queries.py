@@ -27,6 +27,27 @@ def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(_table(spark, sf_dir, "documents"))
 
 
+def op4_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .embedding_dedup import near_duplicates
+
+    return near_duplicates(_table(spark, sf_dir, "embeddings"))
+
+
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import ToxicityModel
+
+    docs = _table(spark, sf_dir, "documents")
+    return ToxicityModel.fit(docs, _table(spark, sf_dir, "labels")).score(docs)
+
+
+def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .line_quality import LineQuality, held_out
+
+    docs = _table(spark, sf_dir, "documents")
+    labels = _table(spark, sf_dir, "labels").where(~held_out("doc_id"))
+    return LineQuality.fit(docs, labels).score(docs).select("doc_id", held_out("doc_id").alias("held_out"), "score", "predicted")
+
+
 def op7_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .source_mix import mix_sources
 
@@ -49,7 +70,7 @@ def op10_token_counts(spark: SparkSession, sf_dir: str, vocabulary: str | None =
     return count_tokens(_table(spark, sf_dir, "documents"), vocabulary)
 
 
-QUERIES = {f.__name__: f for f in (op1_substring_dedup, op2_benchmark_decontamination, op3_ngram_jaccard_join, op7_source_mixing, op9_secret_scan, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_substring_dedup, op2_benchmark_decontamination, op3_ngram_jaccard_join, op4_embedding_near_dedup, op5_toxicity, op6_quality_classifier, op7_source_mixing, op9_secret_scan, op10_token_counts)}
 OP2_SQL = r"""
 with d as (select doc_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from documents),
 b as (select item_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from benchmark),
