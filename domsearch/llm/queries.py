@@ -54,6 +54,12 @@ def op7_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_sources(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op8_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .warc_derivatives import build_derivatives
+
+    return build_derivatives(_table(spark, sf_dir, "pages"))
+
+
 def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .secret_scan import scan_secrets
 
@@ -70,7 +76,7 @@ def op10_token_counts(spark: SparkSession, sf_dir: str, vocabulary: str | None =
     return count_tokens(_table(spark, sf_dir, "documents"), vocabulary)
 
 
-QUERIES = {f.__name__: f for f in (op1_substring_dedup, op2_benchmark_decontamination, op3_ngram_jaccard_join, op4_embedding_near_dedup, op5_toxicity, op6_quality_classifier, op7_source_mixing, op9_secret_scan, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_substring_dedup, op2_benchmark_decontamination, op3_ngram_jaccard_join, op4_embedding_near_dedup, op5_toxicity, op6_quality_classifier, op7_source_mixing, op8_warc_derivatives, op9_secret_scan, op10_token_counts)}
 OP2_SQL = r"""
 with d as (select doc_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from documents),
 b as (select item_id, list_filter(string_split_regex(lower(text), '[\x20\x09-\x0D]+'), lambda x: x <> '') w from benchmark),
