@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SMALL_IDS = 2_000_000  # ids that may be broadcast (16 MB); a larger set takes the shuffled join
-ROWS_AT_ONCE = 4096
+ROWS_AT_ONCE = 2048
 
 _local: str | None = None
 

@@ -22,7 +22,7 @@ from .frames import as_bytes, batches, by_key, documents_only, with_ids, written
 from .text_arrays import mix, shingle_sets, word_hashes
 
 BLOCK = 512  # representatives compared at once
-FRAGMENT_BYTES = 24_000_000  # text bytes whose shingles make up one fragment (about 4 million)
+FRAGMENT_BYTES = 12_000_000  # text bytes whose shingles make up one fragment (about 2 million)
 
 
 def _fragment_of(h: np.ndarray, n: int) -> np.ndarray:
