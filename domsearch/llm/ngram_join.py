@@ -12,6 +12,8 @@ No step is approximate.
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -21,7 +23,7 @@ from .components import connected_components
 from .frames import as_bytes, batches, by_key, documents_only, with_ids, written
 from .text_arrays import mix, shingle_sets, word_hashes
 
-BLOCK = 512  # representatives compared at once
+BLOCK = 256  # representatives compared at once
 FRAGMENT_BYTES = 12_000_000  # text bytes whose shingles make up one fragment (about 2 million)
 
 
@@ -251,14 +253,17 @@ def jaccard_links(reps: DataFrame, percent: int = 80, fragments: int = 4) -> Dat
         size = table["size"].to_numpy()
         segments = [np.frombuffer(x, np.uint64) for x in table["values"].to_pylist()]
         counts = _overlaps([segments[k] for k in a], [segments[k] for k in b])
-        row = [[key[0]], [key[1]], [key[2]], [docs[a].tobytes()], [docs[b].tobytes()], [size[a].tobytes()], [size[b].tobytes()], [counts.tobytes()]]
+        counts[docs[a][:, None] == docs[b][None, :]] = 0
+        if not counts.any():
+            return  # nothing shared in this fragment
+        row = [[key[0]], [key[1]], [key[2]], [docs[a].tobytes()], [docs[b].tobytes()], [size[a].tobytes()], [size[b].tobytes()], [zlib.compress(counts.tobytes(), 1)]]
         yield pa.RecordBatch.from_arrays([pa.array(row[0], pa.int64()), pa.array(row[1], pa.int32()), pa.array(row[2], pa.int32()), *(pa.array(x, pa.binary()) for x in row[3:])], ["cluster", "i", "j", "docs_a", "docs_b", "size_a", "size_b", "counts"])
 
     def total(key, table):
         docs_a, docs_b, na, nb = (np.frombuffer(table[c][0].as_py(), np.int64) for c in ("docs_a", "docs_b", "size_a", "size_b"))
         overlap = np.zeros((len(docs_a), len(docs_b)), np.int64)
         for raw in table["counts"].to_pylist():
-            overlap += np.frombuffer(raw, np.uint32).reshape(overlap.shape)
+            overlap += np.frombuffer(zlib.decompress(raw), np.uint32).reshape(overlap.shape)
         linked = 100 * overlap >= percent * (na[:, None] + nb[None, :] - overlap)
         linked &= docs_a[:, None] != docs_b[None, :]
         names = np.unique(np.concatenate([docs_a, docs_b]))
