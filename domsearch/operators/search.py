@@ -10,6 +10,7 @@ from ..functions.scores import containment, jaccard
 
 SMALL_ENTRIES = 2_000_000  # query entries that may be broadcast
 SALTS = 16
+SLACK = 1e-12
 
 
 def query_sample(domains: DataFrame, k: int) -> DataFrame:
@@ -56,7 +57,8 @@ def ideal_filter(pairs: DataFrame, assigned: DataFrame, t: float) -> DataFrame:
     """Pairs whose exact Jaccard passes the conservative threshold of the domain's partition: no false negatives, some false positives."""
     parts = assigned.select("domain_id", "part_id", "part_size_max")
     rows = pairs.join(parts, "domain_id").withColumn("s", jaccard(F.col("overlap"), F.col("q"), F.col("x")))
-    return rows.where(F.col("s") >= conservative_threshold(F.lit(t), F.col("part_size_max"), F.col("q")))
+    # the slack keeps pairs that stand exactly at the threshold whatever way the two sides round
+    return rows.where(F.col("s") + SLACK >= conservative_threshold(F.lit(t), F.col("part_size_max"), F.col("q")))
 
 
 def salted_overlaps(entries: DataFrame, queries_entries: DataFrame, salts: int = SALTS) -> DataFrame:

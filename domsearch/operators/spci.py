@@ -48,7 +48,7 @@ def make_plan(index: Index, queries: DataFrame, thresholds: list[float], prune:
     rows = queries.crossJoin(F.broadcast(index.meta.select("part_id", "size_max")))
     rows = rows.withColumn("ratio_bin", tuning.ratio_bin(F.col("size_max"), F.col("q"))).join(F.broadcast(table), "ratio_bin")
     if prune:
-        rows = rows.where(F.col("size_max") >= F.col("t_star") * F.col("q"))
+        rows = rows.where(F.col("size_max") / F.col("q") >= F.col("t_star"))  # divided as the exact score is, so that both round alike
     return rows.select("query_id", "q", "t_star", "part_id", "size_max", "b", "r")
 
 

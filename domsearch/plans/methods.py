@@ -146,7 +146,7 @@ def joinable_datasets(spark, sf_dir):
     return search.joinable_datasets(Corpus(spark, sf_dir).pairs, lambda c: F.split_part(c, F.lit(":"), F.lit(1)), T)
 
 
-@query("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) >= {T} / (size_max::double / q + 1 - {T})"))
+@query("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T})"))
 def ideal_filter(spark, sf_dir):
     c = Corpus(spark, sf_dir)
     assigned = partition.assign(c.sizes, partition.equi_depth(c.hist, N))
@@ -617,7 +617,7 @@ def empty_answer_share(spark, sf_dir):
     return accuracy.summary(_measured(spark, sf_dir)).select("t_star", "empty_share")
 
 
-@query("fp_model_vs_observed", q.sql([*INDEX, *q.truth()], f"select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) >= {T} / (size_max::double / q + 1 - {T}) group by 1"))
+@query("fp_model_vs_observed", q.sql([*INDEX, *q.truth()], f"select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T}) group by 1"))
 def fp_model_vs_observed(spark, sf_dir):
     rows = ideal_filter(spark, sf_dir)
     return rows.groupBy("part_id").agg(F.count("*").alias("n_passed"), F.sum((~F.col("is_answer")).cast("long")).alias("n_false"))

@@ -104,7 +104,7 @@ def candidates(m: int, thresholds: list[float], prune: bool = True) -> list[str]
     return [
         f"tun(ratio_bin, t_star, b, r) as (values {rows})",
         f"bins as (select query_id, q, part_id, size_max, {ratio_bin('size_max', 'q')} ratio_bin from qs, meta)",
-        "plan as (select query_id, q, t_star, part_id, size_max, b, r from bins join tun using (ratio_bin)" + (" where size_max >= t_star * q)" if prune else ")"),
+        "plan as (select query_id, q, t_star, part_id, size_max, b, r from bins join tun using (ratio_bin)" + (" where size_max::double / q >= t_star)" if prune else ")"),
         "shapes as (select part_id, r, max(b) most from plan group by 1, 2)",
         "held as materialized (select domain_id, part_id, r, i // r band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join idx using (domain_id) join shapes using (part_id) where i < most * r group by 1, 2, 3, 4)",
         "own as (select domain_id query_id, r, i // r band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join (select distinct query_id, r from plan) p on domain_id = p.query_id where i < (i // r + 1) * r group by 1, 2, 3)",
