@@ -225,7 +225,7 @@ def dedup_substrings(docs: DataFrame, width: int = 20, shares: tuple[float, ...]
     """
     spark = docs.sparkSession
     docs = documents_only(docs)
-    cuts = sorted(set(docs.approxQuantile("doc_id", list(shares), 0.01)))
+    cuts = sorted(set(docs.approxQuantile("doc_id", list(shares), 0.01))) if shares else []
     index = FingerprintIndex(spark, width)
     edges = [None, *cuts, None]
     for k, (low, high) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
