@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
@@ -13,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SMALL_IDS = 2_000_000  # ids that may be broadcast (16 MB); a larger set takes the shuffled join
-ROWS_AT_ONCE = 2048
+ROWS_AT_ONCE = 1024
 
 _local: str | None = None
 
@@ -69,11 +71,22 @@ def as_bytes(column: Column | str) -> Column:
     return F.col(column).cast("binary") if isinstance(column, str) else column.cast("binary")
 
 
+def tidy() -> None:
+    """Give memory that a finished task freed back to the system; a reused worker would keep it."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library
+
+
 def batches(rows: Iterator[pa.RecordBatch], at_once: int = ROWS_AT_ONCE) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of bounded height."""
     for batch in rows:
         for k in range(0, batch.num_rows, at_once):
             yield batch.slice(k, at_once)
+    tidy()
 
 
 def key_groups(rows: Iterator[pa.RecordBatch], n_keys: int) -> Iterator[tuple[tuple, pa.Table]]:
@@ -97,6 +110,7 @@ def key_groups(rows: Iterator[pa.RecordBatch], n_keys: int) -> Iterator[tuple[tu
             at = end
     if held:
         yield key, pa.Table.from_batches(held)
+    tidy()
 
 
 def by_key(df: DataFrame, keys: list[str], function: Callable, schema: str, n: int | None = None) -> DataFrame:

@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 
-PIECE = 1 << 21  # bytes hashed at once; longer texts are cut at white space
+PIECE = 1 << 19  # bytes hashed at once; longer texts are cut at white space
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 _LOWER = np.arange(256, dtype=np.uint8)

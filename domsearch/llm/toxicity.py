@@ -48,7 +48,7 @@ class Counts:
             found = known.get(word)
             if found is None:
                 found = tuple(k for f in features_of(word) if (k := self.index.get(f)) is not None)
-                if len(known) > 200_000:
+                if len(known) > 50_000:
                     known.clear()
                 known[word] = found
             if found:
