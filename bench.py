@@ -11,8 +11,7 @@ import time
 
 from pyspark.sql import functions as F
 
-from domsearch.functions.hashing import Native
-from domsearch.functions.minhash import signatures
+from domsearch.functions.minhash import vector_signatures
 from domsearch.operators import extract, search, spci
 from domsearch.session import session
 from domsearch.store import fresh, materialise
@@ -37,7 +36,7 @@ def main() -> None:
     exact_sizes = materialise(extract.sizes(entries), "sizes")
     n_domains, queries = exact_sizes.count(), materialise(search.query_sample(exact_sizes, K), "queries")
     # one pass for the sketches, shared by all settings: only part_id differs between them
-    signed = timed("sketch_m256", lambda: materialise(signatures(entries, Native(M)).where(F.col("size") >= extract.MIN_SIZE), "signed"))
+    signed = timed("sketch_m256", lambda: materialise(vector_signatures(entries, M).where(F.col("size") >= extract.MIN_SIZE), "signed"))
     candidates = {}
     for n in (1, 8, 16, 32):
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -59,3 +61,57 @@ def estimate_size(sig: Column, family=None) -> Column:
     family = family or Portable()
     total = F.aggregate(sig, F.lit(0.0), lambda s, v: s + (v.cast("double") - F.lit(float(family.low))) / F.lit(float(family.span)))
     return F.size(sig).cast("double") / total - 1
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """A bijective scrambling of 64-bit values, in place."""
+    x ^= x >> np.uint64(33)
+    x *= np.uint64(0xFF51AFD7ED558CCD)
+    x ^= x >> np.uint64(29)
+    return x
+
+
+def vector_signatures(entries: DataFrame, m: int = 256, seed: int = 1) -> DataFrame:
+    """(domain_id, size, sig) with 64-bit functions evaluated by numpy, a batch of entries at a time.
+
+    Entries are dealt out by domain; adaptive execution may split a giant domain over tasks, whose few partial
+    signatures are merged position by position afterwards.  Only 64-bit hashes of values reach Python.
+    """
+    seeds = np.random.default_rng(seed).integers(0, 2**64, m, dtype=np.uint64)
+
+    def partial(rows):
+        held: tuple[str, int, np.ndarray] | None = None
+
+        def out(parts):
+            sig = np.stack([p[2] for p in parts]).view(np.int64)
+            values = pa.array(sig.ravel())
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, sig.size + 1, m, dtype=np.int32)), values)
+            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in parts], pa.string()), pa.array([p[1] for p in parts], pa.int64()), lists], ["domain_id", "size", "sig"])
+
+        for batch in rows:
+            if not batch.num_rows:
+                continue
+            ids = batch.column(0).to_pylist()
+            h = batch.column(1).to_numpy().astype(np.uint64)
+            starts = np.array([0] + [k for k in range(1, len(ids)) if ids[k] != ids[k - 1]])
+            mins = np.empty((len(starts), m), np.uint64)
+            for k in range(m):
+                mins[:, k] = np.minimum.reduceat(_mixed(h ^ seeds[k]) >> np.uint64(1), starts)
+            done = []
+            for k, (a, n) in enumerate(zip(starts.tolist(), np.diff(np.append(starts, len(ids))).tolist(), strict=True)):
+                if held is not None and held[0] == ids[a]:
+                    held = (held[0], held[1] + n, np.minimum(held[2], mins[k]))
+                else:
+                    if held is not None:
+                        done.append(held)
+                    held = (ids[a], n, mins[k])
+            if done:
+                yield out(done)
+        if held is not None:
+            yield out([held])
+
+    hashed = entries.select("domain_id", F.xxhash64("value").alias("h")).hint("rebalance", "domain_id").sortWithinPartitions("domain_id")
+    parts = hashed.mapInArrow(partial, "domain_id string, size long, sig array<bigint>")
+    merged = parts.groupBy("domain_id").agg(F.sum("size").alias("size"), F.collect_list("sig").alias("sigs"))
+    least = F.aggregate(F.slice("sigs", 2, F.size("sigs")), F.element_at("sigs", 1), lambda a, b: F.zip_with(a, b, lambda x, y: F.least(x, y)))
+    return merged.select("domain_id", "size", least.alias("sig"))

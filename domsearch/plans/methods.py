@@ -541,6 +541,14 @@ def padded_partitioned(spark, sf_dir):
     return _accuracy(c, reduce(DataFrame.unionByName, parts), FEW)
 
 
+@query("spci_vector")
+def spci_vector(spark, sf_dir):
+    """Production sketches: 256 functions evaluated by numpy, 32 partitions."""
+    c = Corpus(spark, sf_dir)
+    signed = minhash.vector_signatures(c.all, 256).where(F.col("size") >= extract.MIN_SIZE)
+    return spci.search(spci.build(signed, 32, 256, native=True), c.queries, [T])
+
+
 # --- maintenance and footprint --------------------------------------------------------------------------------------
 _HALF = "cast('0x' || substr(md5(domain_id), 1, 4) as bigint) % 10 < 6"
 _INSERT = [*SKETCH[:2], "old as (select * from dom where {0})".format(_HALF), *(x.replace("from dom ", "from old ") for x in q.histogram()), f"placed as ({q.equi_depth(N)})", f"meta as ({q.META.format('placed')})",

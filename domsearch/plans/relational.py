@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark import cloudpickle
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -15,7 +14,6 @@ from ..sources.tables import register, table
 from . import sqltext as q
 from .registry import query
 
-cloudpickle.register_pickle_by_value(formats)
 r6 = lambda c, n: F.round(c, 6).alias(n)
 
 

@@ -136,3 +136,14 @@ def test_size_estimate_and_merge(spark):
     halves = minhash.signatures(entries.where("value < '3'"), family).unionByName(minhash.signatures(entries.where("value >= '3'"), family))
     assert minhash.merge(halves).first()["sig"] == signed.first()["sig"]
     assert all(0 <= v < PRIME for v in signed.first()["sig"])
+
+
+def test_vector_signatures(spark):
+    rows = [("a", str(k)) for k in range(30_000)] + [("b", str(k)) for k in range(10_000, 40_000)] + [("c", "x")]
+    entries = spark.createDataFrame(rows, "domain_id string, value string")
+    sig = {r["domain_id"]: r for r in minhash.vector_signatures(entries.repartition(5), 256).collect()}
+    assert {k: r["size"] for k, r in sig.items()} == {"a": 30_000, "b": 30_000, "c": 1}
+    s = np.mean([x == y for x, y in zip(sig["a"]["sig"], sig["b"]["sig"])])
+    assert abs(s - 0.5) < 4 * np.sqrt(0.25 / 256)
+    again = {r["domain_id"]: r["sig"] for r in minhash.vector_signatures(entries, 256).collect()}
+    assert all(again[k] == r["sig"] for k, r in sig.items())
