@@ -24,6 +24,7 @@ from .frames import as_bytes, batches, by_key, documents_only, with_ids, written
 from .text_arrays import mix, shingle_sets, word_hashes
 
 BLOCK = 512  # representatives compared at once
+SLICE_BITS = 23  # a slice holds about 2 million shingles, 2**23 at most
 FRAGMENT_BYTES = 12_000_000  # text bytes whose shingles make up one fragment (about 2 million)
 
 
@@ -41,6 +42,22 @@ def _unpacked(raw: bytes) -> np.ndarray:
     return np.frombuffer(raw, np.uint32, n).astype(np.uint64) | (np.frombuffer(raw, np.uint8, n, 4 * n).astype(np.uint64) << np.uint64(32))
 
 
+def _narrow(codes: np.ndarray, width: int) -> bytes:
+    """The low ``width`` bytes of each code."""
+    return codes.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].tobytes()
+
+
+def _wide(raw: bytes, width: int) -> np.ndarray:
+    out = np.zeros((len(raw) // width, 8), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8).reshape(-1, width)
+    return out.reshape(-1).view("<u8")
+
+
+def _block_of(ids: np.ndarray) -> int:
+    """A 64-bit name for the batch that holds these rows."""
+    return int(mix(mix(ids.view(np.uint64)) + np.arange(len(ids), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64)) if len(ids) else 0
+
+
 def _sets(texts, n_words):
     out = []
     for _, _, words, bounds in word_hashes(texts, lower=True):
@@ -66,7 +83,7 @@ def shared_counts(docs: DataFrame, n_words: int = 5, fragments: int | None = Non
             order = np.argsort(of, kind="stable")
             flat, owner, of = flat[order], owner[order], of[order]
             cuts = np.searchsorted(of, np.arange(fragments + 1, dtype=np.uint64))
-            block = int(mix(mix(ids.view(np.uint64)) + np.arange(len(ids), dtype=np.uint64)).sum(dtype=np.uint64).view(np.int64)) if len(ids) else 0
+            block = _block_of(ids)
             out = [(block % fragments, block, ids.tobytes(), None, None, None)]
             for f in np.flatnonzero(np.diff(cuts)).tolist():
                 who, sizes = np.unique(owner[cuts[f] : cuts[f + 1]], return_counts=True)
@@ -146,73 +163,91 @@ def jaccard_links(reps: DataFrame, percent: int = 80, fragments: int = 4) -> Dat
     """
     spark = reps.sparkSession
 
-    def prefixes(rows):
-        for batch in batches(rows):
-            ids, token, place = [], [], []
-            for doc, n, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                value = np.frombuffer(raw, np.uint64, len(raw) // 12)
-                df = np.frombuffer(raw, np.uint32, len(raw) // 12, 8 * (len(raw) // 12))
-                alone = n - len(value)  # shingles that no other set has stand first in the order
-                size = n - -(-percent * n // 100) + 1 - alone
-                chosen = np.lexsort((value, df))[: max(size, 0)]
-                ids.append(np.full(len(chosen), doc, np.int64))
-                token.append(value[chosen].view(np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(ids) if ids else [], pa.int64()), pa.array(np.concatenate(token) if token else [], pa.int64())], ["doc_id", "token"])
-
-    def cut(rows):
-        for batch in batches(rows):
-            out = [[], [], []]
-            for doc, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                h = np.frombuffer(raw, np.uint64)
-                cuts = np.searchsorted(_fragment_of(h, fragments), np.arange(fragments + 1, dtype=np.uint64))
-                for f in np.flatnonzero(np.diff(cuts)).tolist():
-                    for x, y in zip(out, (f, doc, h[cuts[f] : cuts[f + 1]].tobytes()), strict=True):
-                        x.append(y)
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary())], ["fragment", "doc_id", "part"])
-
-    # 1. how many sets hold each shingle, fragment by fragment; shingles of one set only are dropped
+    # 1. how many sets hold each shingle, slice by slice of the hash order; shingles of one set only are dropped,
+    #    the others get a code: the slice and the rank in it, so codes are as distinct as hashes and in their order
     size = reps.agg(F.sum(F.octet_length("shingles"))).first()[0] or 0
     slices = max(16, -(-size // (8 * 2_000_000)))
-
-    def frequencies(_, table):
-        parts = [np.frombuffer(x, np.uint64) for x in table["part"].to_pylist()]
-        h = np.concatenate(parts)
-        _, back, n = np.unique(h, return_inverse=True, return_counts=True)
-        df = n[back].astype(np.uint32)
-        docs, raws, at = table["doc_id"].to_pylist(), [], 0
-        for p in parts:
-            d = df[at : at + len(p)]
-            at += len(p)
-            raws.append(p[d > 1].tobytes() + d[d > 1].tobytes())
-        yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(raws, pa.binary())], ["doc_id", "known"])
-
-    def gather(key, table):
-        parts = [x for x in table["known"].to_pylist() if x]
-        value = b"".join(x[: 8 * (len(x) // 12)] for x in parts)
-        df = b"".join(x[8 * (len(x) // 12) :] for x in parts)
-        n = table["n"][0].as_py()
-        if 100 * (len(value) // 8) >= percent * n:
-            yield pa.RecordBatch.from_arrays([pa.array([key[0]], pa.int64()), pa.array([n], pa.int64()), pa.array([value + df], pa.binary())], ["doc_id", "n", "known"])
+    width = -(-((slices - 1).bit_length() + SLICE_BITS) // 8)
+    fields = [pa.field("slice", pa.int32()), pa.field("block", pa.int64()), *(pa.field(x, pa.binary()) for x in ("ids", "lengths", "rows", "sizes", "values"))]
 
     def recut(rows):
         for batch in batches(rows):
-            out = [[], [], [], []]
-            for doc, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                h = np.frombuffer(raw, np.uint64)
-                cuts = np.searchsorted(_fragment_of(h, slices), np.arange(slices + 1, dtype=np.uint64))
-                for f in np.flatnonzero(np.diff(cuts)).tolist():
-                    for x, y in zip(out, (f, doc, h[cuts[f] : cuts[f + 1]].tobytes(), len(h)), strict=True):
-                        x.append(y)
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.binary()), pa.array(out[3], pa.int64())], ["fragment", "doc_id", "part", "n"])
-
-    def with_n(key, table):
-        sizes = table["n"]
-        for batch in frequencies(key, table):
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), sizes.combine_chunks() if isinstance(sizes, pa.ChunkedArray) else sizes], ["doc_id", "known", "n"])
-
-    pieces = reps.select("doc_id", "shingles").mapInArrow(recut, "fragment int, doc_id long, part binary, n long")
-    known = by_key(pieces, ["fragment"], with_n, "doc_id long, known binary, n long", slices)
-    live = written(by_key(known, ["doc_id"], gather, "doc_id long, n long, known binary"), "candidates")
+            ids = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+            if not len(ids):
+                continue
+            sets = [np.frombuffer(x, np.uint64) for x in batch.column(1).to_pylist()]
+            lengths = np.array([len(x) for x in sets], np.int64)
+            flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets), dtype=np.int32), lengths)
+            of = _fragment_of(flat, slices)
+            order = np.argsort(of, kind="stable")
+            flat, owner, of = flat[order], owner[order], of[order]
+            cuts = np.searchsorted(of, np.arange(slices + 1, dtype=np.uint64))
+            block = _block_of(ids)
+            out = [(block % slices, block, ids.tobytes(), lengths.tobytes(), None, None, None)]
+            for f in np.flatnonzero(np.diff(cuts)).tolist():
+                who, sizes = np.unique(owner[cuts[f] : cuts[f + 1]], return_counts=True)
+                out.append((f, block, None, None, who.tobytes(), sizes.astype(np.int32).tobytes(), flat[cuts[f] : cuts[f + 1]].tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], x.type) for k, x in enumerate(fields)], schema=pa.schema(fields))
+
+    def frequencies(key, table):
+        raw = table["values"].to_pylist()
+        h = np.concatenate([np.zeros(0, np.uint64), *(np.frombuffer(x, np.uint64) for x in raw if x is not None)])
+        _, rank, n = np.unique(h, return_inverse=True, return_counts=True)
+        if len(n) >> SLICE_BITS:  # four times what a slice holds on average; hashes are uniform
+            raise OverflowError("a slice of the hash order holds too many shingles")
+        code = rank.astype(np.uint64) | np.uint64(key[0] << SLICE_BITS)
+        # an eighth of a doubling is fine enough to order by; ties stand in the order of codes
+        commonness = np.minimum(8 * np.log2(n), 255).astype(np.uint8)[rank]
+        keep = n[rank] > 1
+        total, at = np.concatenate([[0], np.cumsum(keep)]), 0
+        sizes, known = [], []
+        for x in table["sizes"].to_pylist():
+            if x is None:
+                sizes.append(None)
+                known.append(None)
+                continue
+            ends = at + np.cumsum(np.frombuffer(x, np.int32), dtype=np.int64)
+            starts = np.concatenate([[at], ends[:-1]])
+            mine = keep[at : ends[-1]]
+            sizes.append((total[ends] - total[starts]).astype(np.int32).tobytes())
+            known.append(_narrow(code[at : ends[-1]][mine], width) + commonness[at : ends[-1]][mine].tobytes())
+            at = int(ends[-1])
+        yield pa.RecordBatch.from_arrays([table["block"].combine_chunks(), *(table[x].combine_chunks() for x in ("ids", "lengths", "rows")), pa.array(sizes, pa.binary()), pa.array(known, pa.binary())], ["block", "ids", "lengths", "rows", "sizes", "known"])
+
+    def gather(_, table):
+        ids = np.frombuffer(next(x for x in table["ids"].to_pylist() if x is not None), np.int64)
+        lengths = np.frombuffer(next(x for x in table["lengths"].to_pylist() if x is not None), np.int64)
+        owner, code, common = [np.zeros(0, np.int32)], [np.zeros(0, np.uint64)], [np.zeros(0, np.uint8)]
+        for who, sizes, known in zip(*(table[x].to_pylist() for x in ("rows", "sizes", "known")), strict=True):
+            if known:
+                k = len(known) // (width + 1)
+                owner.append(np.repeat(np.frombuffer(who, np.int32), np.frombuffer(sizes, np.int32)))
+                code.append(_wide(known[: k * width], width))
+                common.append(np.frombuffer(known, np.uint8, k, k * width))
+        owner, code, common = np.concatenate(owner), np.concatenate(code), np.concatenate(common)
+        order = np.lexsort((code, owner))
+        code, common = code[order], common[order]
+        cuts = np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=len(ids)))])
+        live = np.flatnonzero(100 * np.diff(cuts) >= percent * lengths)
+        raw = [_narrow(code[cuts[k] : cuts[k + 1]], width) + common[cuts[k] : cuts[k + 1]].tobytes() for k in live.tolist()]
+        yield pa.RecordBatch.from_arrays([pa.array(ids[live]), pa.array(lengths[live]), pa.array(raw, pa.binary())], ["doc_id", "n", "known"])
+
+    pieces = reps.select("doc_id", "shingles").mapInArrow(recut, "slice int, block long, ids binary, lengths binary, rows binary, sizes binary, values binary")
+    known = by_key(pieces, ["slice"], frequencies, "block long, ids binary, lengths binary, rows binary, sizes binary, known binary", slices)
+    live = written(by_key(known, ["block"], gather, "doc_id long, n long, known binary"), "candidates")
+
+    def prefixes(rows):
+        for batch in batches(rows):
+            ids, token = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for doc, n, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                k = len(raw) // (width + 1)
+                code, common = _wide(raw[: k * width], width), np.frombuffer(raw, np.uint8, k, k * width)
+                alone = n - k  # shingles that no other set has stand first in the order
+                size = n - -(-percent * n // 100) + 1 - alone
+                chosen = np.lexsort((code, common))[: max(size, 0)]
+                ids.append(np.full(len(chosen), doc, np.int64))
+                token.append(code[chosen].view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(ids)), pa.array(np.concatenate(token))], ["doc_id", "token"])
 
     # 2. clusters: sets that share a shingle of their prefixes, directly or through others
     tokens = live.select("doc_id", "n", "known").mapInArrow(prefixes, "doc_id long, token long")
@@ -226,19 +261,20 @@ def jaccard_links(reps: DataFrame, percent: int = 80, fragments: int = 4) -> Dat
     member = clusters.join(sizes, "cluster").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
     member = member.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     member = member.select("doc_id", "cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block")
-    sets = live.select("doc_id", F.col("n").alias("size"), F.expr("substr(known, 1, 8 * (octet_length(known) div 12))").alias("values"))
+    sets = live.select("doc_id", F.col("n").alias("size"), F.expr(f"substr(known, 1, {width} * (octet_length(known) div {width + 1}))").alias("values"))
     parts = member.join(sets, "doc_id").select("cluster", "i", "j", "block", "doc_id", "size", "values")
 
     def split(rows):
         for batch in batches(rows, 1024):
-            raw = [np.sort(np.frombuffer(x, np.uint64)) for x in batch.column(6).to_pylist()]
+            raw = [_wide(x, width) for x in batch.column(6).to_pylist()]
             picks, frags, out = [], [], []
             for k, h in enumerate(raw):
-                cuts = np.searchsorted(_fragment_of(h, fragments), np.arange(fragments + 1, dtype=np.uint64))
+                of = (h >> np.uint64(SLICE_BITS)) * np.uint64(fragments) // np.uint64(slices)
+                cuts = np.searchsorted(of, np.arange(fragments + 1, dtype=np.uint64))
                 for f in range(fragments):
                     picks.append(k)
                     frags.append(f)
-                    out.append(h[cuts[f] : cuts[f + 1]].tobytes())
+                    out.append(_narrow(h[cuts[f] : cuts[f + 1]], width))
             kept = pa.RecordBatch.from_arrays(batch.columns[:6], ["cluster", "i", "j", "block", "doc_id", "size"]).take(pa.array(picks, pa.int32()))
             yield pa.RecordBatch.from_arrays([*kept.columns, pa.array(frags, pa.int32()), pa.array(out, pa.binary())], ["cluster", "i", "j", "block", "doc_id", "size", "fragment", "values"])
 
@@ -251,7 +287,7 @@ def jaccard_links(reps: DataFrame, percent: int = 80, fragments: int = 4) -> Dat
     def partial(key, table):
         docs, a, b = sides(key, table)
         size = table["size"].to_numpy()
-        segments = [np.frombuffer(x, np.uint64) for x in table["values"].to_pylist()]
+        segments = [_wide(x, width) for x in table["values"].to_pylist()]
         counts = _overlaps([segments[k] for k in a], [segments[k] for k in b])
         counts[docs[a][:, None] == docs[b][None, :]] = 0
         if not counts.any():
