@@ -353,7 +353,12 @@ def jaccard_components(docs: DataFrame, n_words: int = 5, percent: int = 80) ->
     classes = written(near.mapInArrow(sets, schema).where("n > 0"), "sets")
     rep = classes.groupBy("n", "k1", "k2").agg(F.min("doc_id").alias("rep"))
     member = written(classes.select("doc_id", "n", "k1", "k2").join(rep, ["n", "k1", "k2"]).select("doc_id", "rep"), "classes")
-    reps = classes.join(member.where("doc_id = rep").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles").dropDuplicates(["doc_id"])
+    # sets stay where they are while the representatives' ids are small; only ids with several rows need a shuffle
+    firsts = written(member.where("doc_id = rep").groupBy("doc_id").count(), "firsts")
+    reps = with_ids(classes, firsts.where("count = 1").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles")
+    if not firsts.where("count > 1").isEmpty():
+        repeated = with_ids(classes, firsts.where("count > 1").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles")
+        reps = reps.unionByName(repeated.dropDuplicates(["doc_id"]))
     edges = written(jaccard_links(reps, percent), "edges")
     merged = connected_components(edges)
     label = member.join(merged, member.rep == merged.node, "left").groupBy("doc_id").agg(F.min(F.coalesce("component", "rep")).alias("component_id"))
