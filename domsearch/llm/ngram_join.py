@@ -332,7 +332,8 @@ def jaccard_components(docs: DataFrame, n_words: int = 5, percent: int = 80) ->
     """(doc_id, n_shingles, component_id) for every document; component_id is the smallest doc_id that links reach.
 
     Nulls: a row without an id is left out; a null or empty text, or one of white space, has no shingles and
-    links with nothing.  Repeated rows of one id count as one document with the union of what its rows have.
+    links with nothing.  Ids are meant to be distinct: repeated rows of one id
+    give one result row, whose n_shingles is the sum over them, and of differing texts only one may be compared.
     Extra columns play no part.  Very long texts are hashed piece by piece, whole.
     """
     docs = documents_only(docs)
