@@ -10,12 +10,19 @@ from ..functions.scores import containment, jaccard
 
 SMALL_ENTRIES = 2_000_000  # query entries that may be broadcast
 SALTS = 16
+ASKED = 20
 SLACK = 1e-12
 
 
-def query_sample(domains: DataFrame, k: int) -> DataFrame:
-    """The k domains whose md5 comes first: the same in every engine."""
-    return domains.orderBy(F.md5("domain_id"), "domain_id").limit(k).select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"))
+def query_sample(domains: DataFrame, k: int | None) -> DataFrame:
+    """The k domains whose md5 comes first, the same in every engine; without k, every domain that is asked for."""
+    chosen = domains.where(is_asked("domain_id")) if k is None else domains.orderBy(F.md5("domain_id"), "domain_id").limit(k)
+    return chosen.select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"))
+
+
+def is_asked(key: str) -> Column:
+    """Whether the portable hash of an id is divisible by 20: a share of the ids that grows with the table."""
+    return F.conv(F.substring(F.md5(key), 1, 15), 16, 10).cast("bigint") % ASKED == 0
 
 
 def overlaps(entries: DataFrame, sizes: DataFrame, queries: DataFrame) -> DataFrame:
@@ -24,7 +31,7 @@ def overlaps(entries: DataFrame, sizes: DataFrame, queries: DataFrame) -> DataFr
     Query entries are broadcast when they are counted and few, so the big side is scanned once and never shuffled
     before its partial counts; otherwise the values are joined by a shuffle that adaptive execution splits when skewed.
     """
-    asked = entries.join(F.broadcast(queries), entries.domain_id == queries.query_id).select("query_id", "q", "value")
+    asked = entries.join(queries, entries.domain_id == queries.query_id).select("query_id", "q", "value")
     if asked.count() <= SMALL_ENTRIES:
         asked = F.broadcast(asked)
     counts = entries.join(asked, "value").groupBy("query_id", "q", "domain_id").agg(F.count("*").alias("overlap"))

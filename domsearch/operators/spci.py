@@ -54,7 +54,7 @@ def make_plan(index: Index, queries: DataFrame, thresholds: list[float], prune:
 
 def with_signatures(index: Index, plan: DataFrame) -> DataFrame:
     asked = plan.select("query_id").distinct()
-    own = index.signatures.join(F.broadcast(asked), F.col("domain_id") == F.col("query_id"), "left_semi").select(F.col("domain_id").alias("query_id"), "sig")
+    own = index.signatures.join(asked, F.col("domain_id") == F.col("query_id"), "left_semi").select(F.col("domain_id").alias("query_id"), "sig")
     return plan.join(own, "query_id")
 
 
@@ -66,7 +66,7 @@ def search(index: Index, queries: DataFrame, thresholds: list[float], prune: boo
         return found
     if refine == "exact":
         return refine_exact(found, entries, queries)
-    pairs = found.join(F.broadcast(plan.select("query_id", "q", F.col("sig").alias("q_sig")).dropDuplicates(["query_id"])), "query_id").join(index.signatures.select("domain_id", "size", "sig"), "domain_id")
+    pairs = found.join(plan.select("query_id", "q", F.col("sig").alias("q_sig")).dropDuplicates(["query_id"]), "query_id").join(index.signatures.select("domain_id", "size", "sig"), "domain_id")
     estimate = containment_of(estimate_jaccard(F.col("q_sig"), F.col("sig")), F.col("size"), F.col("q"))
     return pairs.where(estimate >= F.col("t_star")).select("query_id", "t_star", "domain_id")
 
@@ -74,7 +74,7 @@ def search(index: Index, queries: DataFrame, thresholds: list[float], prune: boo
 def refine_exact(found: DataFrame, entries: DataFrame, queries: DataFrame) -> DataFrame:
     """Candidates whose exact containment reaches the threshold; only entries of candidates are joined."""
     pairs = found.select("query_id", "domain_id").distinct()
-    asked = entries.join(F.broadcast(queries), entries.domain_id == queries.query_id).select("query_id", "q", "value")
+    asked = entries.join(queries, entries.domain_id == queries.query_id).select("query_id", "q", "value")
     counts = pairs.join(entries, "domain_id").join(asked, ["query_id", "value"]).groupBy("query_id", "q", "domain_id").agg(F.count("*").alias("overlap"))
     return found.join(counts, ["query_id", "domain_id"]).where(F.col("overlap") / F.col("q") >= F.col("t_star")).select("query_id", "t_star", "domain_id")
 

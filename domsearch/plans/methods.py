@@ -12,7 +12,7 @@ from ..functions.hashing import Portable
 from ..operators import accuracy, extract, lsh, padded, partition, search, spci, stats
 from ..sources.tables import table
 from . import sqltext as q
-from .registry import query
+from .registry import query, sampled
 
 M, K, N = 64, 50, 8  # oracle settings; the engine's defaults are 256 functions and 32 partitions
 T = 0.5
@@ -23,7 +23,7 @@ FEW = [0.1, 0.3, 0.5, 0.7, 0.9]
 class Corpus:
     """Entries, sizes, sample and signatures of one corpus, declared once."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "slices", k: int = K, m: int = M):
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "slices", k: int | None = K, m: int = M):
         self.spark, self.k, self.family = spark, k, Portable(m)
         self.all = extract.CORPORA[name](spark, sf_dir)
         self.sizes = extract.sizes(self.all)
@@ -93,16 +93,16 @@ def domain_sizes(spark, sf_dir):
     return extract.sizes(extract.slice_entries(spark, sf_dir))
 
 
-@query("query_sample", q.sql([*SKETCH[:2], *q.sample(K)], "select query_id, q from qs"))
-def sampled_queries(spark, sf_dir):
-    return Corpus(spark, sf_dir).queries
+@sampled("query_sample", q.sql([*SKETCH[:2], *q.sample(K)], "select query_id, q from qs"), k=None)
+def sampled_queries(spark, sf_dir, k=K):
+    return Corpus(spark, sf_dir, k=k).queries
 
 
 # --- scores and exact search ----------------------------------------------------------------------------------------
 def _scored(name: str, column, sql: str):
-    @query(name, q.sql(TRUTH, f"select query_id, domain_id, {sql} from pairs"))
-    def run(spark, sf_dir):
-        return Corpus(spark, sf_dir).pairs.select("query_id", "domain_id", *column())
+    @sampled(name, q.sql(TRUTH, f"select query_id, domain_id, {sql} from pairs"), k=None)
+    def run(spark, sf_dir, k=K):
+        return Corpus(spark, sf_dir, k=k).pairs.select("query_id", "domain_id", *column())
 
 
 _scored("score_containment", lambda: [F.round(scores.containment(o_(), q_()), 6).alias("t")], "round(overlap / q, 6) t")
@@ -126,40 +126,40 @@ def worked_example(spark, sf_dir=None):
     return pairs.select("domain_id", F.round(scores.containment(o_(), q_()), 6).alias("t"), F.round(scores.jaccard(o_(), q_(), x_()), 6).alias("s"))
 
 
-@query("exact_containment_search", q.sql(TRUTH, f"select query_id, domain_id, round(overlap / q, 6) t from pairs where overlap / q >= {T}"))
-def exact_containment_search(spark, sf_dir):
-    return search.exact(Corpus(spark, sf_dir).pairs, T).select("query_id", "domain_id", F.round("t", 6).alias("t"))
+@sampled("exact_containment_search", q.sql(TRUTH, f"select query_id, domain_id, round(overlap / q, 6) t from pairs where overlap / q >= {T}"), k=None)
+def exact_containment_search(spark, sf_dir, k=K):
+    return search.exact(Corpus(spark, sf_dir, k=k).pairs, T).select("query_id", "domain_id", F.round("t", 6).alias("t"))
 
 
-@query("exact_jaccard_search", q.sql(TRUTH, "select query_id, domain_id, round(overlap / (q + x - overlap), 6) s from pairs where overlap / (q + x - overlap) >= 0.3"))
-def exact_jaccard_search(spark, sf_dir):
-    return search.exact_jaccard(Corpus(spark, sf_dir).pairs, 0.3).select("query_id", "domain_id", F.round("s", 6).alias("s"))
+@sampled("exact_jaccard_search", q.sql(TRUTH, "select query_id, domain_id, round(overlap / (q + x - overlap), 6) s from pairs where overlap / (q + x - overlap) >= 0.3"), k=None)
+def exact_jaccard_search(spark, sf_dir, k=K):
+    return search.exact_jaccard(Corpus(spark, sf_dir, k=k).pairs, 0.3).select("query_id", "domain_id", F.round("s", 6).alias("s"))
 
 
-@query("exact_topk", q.sql(TRUTH, "select query_id, domain_id, round(overlap / q, 6) t, cast(row_number() over (partition by query_id order by overlap / q desc, domain_id) as integer) rank from pairs qualify row_number() over (partition by query_id order by overlap / q desc, domain_id) <= 5"))
-def exact_topk(spark, sf_dir):
-    return search.exact_topk(Corpus(spark, sf_dir).pairs, 5).select("query_id", "domain_id", F.round("t", 6).alias("t"), "rank")
+@sampled("exact_topk", q.sql(TRUTH, "select query_id, domain_id, round(overlap / q, 6) t, cast(row_number() over (partition by query_id order by overlap / q desc, domain_id) as integer) rank from pairs qualify row_number() over (partition by query_id order by overlap / q desc, domain_id) <= 5"), k=None)
+def exact_topk(spark, sf_dir, k=K):
+    return search.exact_topk(Corpus(spark, sf_dir, k=k).pairs, 5).select("query_id", "domain_id", F.round("t", 6).alias("t"), "rank")
 
 
-@query("joinable_datasets", q.sql(TRUTH, "select query_id, dataset, arg_max(domain_id, (t, overlap, domain_id)) domain_id, round(max(t), 6) t from (select *, split_part(domain_id, ':', 1) dataset, overlap / q t from pairs) where t >= 0.5 group by 1, 2"))
-def joinable_datasets(spark, sf_dir):
-    return search.joinable_datasets(Corpus(spark, sf_dir).pairs, lambda c: F.split_part(c, F.lit(":"), F.lit(1)), T)
+@sampled("joinable_datasets", q.sql(TRUTH, "select query_id, dataset, arg_max(domain_id, (t, overlap, domain_id)) domain_id, round(max(t), 6) t from (select *, split_part(domain_id, ':', 1) dataset, overlap / q t from pairs) where t >= 0.5 group by 1, 2"), k=None)
+def joinable_datasets(spark, sf_dir, k=K):
+    return search.joinable_datasets(Corpus(spark, sf_dir, k=k).pairs, lambda c: F.split_part(c, F.lit(":"), F.lit(1)), T)
 
 
-@query("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T})"))
-def ideal_filter(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T})"), k=None)
+def ideal_filter(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     assigned = partition.assign(c.sizes, partition.equi_depth(c.hist, N))
     rows = search.ideal_filter(c.pairs, assigned, T)
     return rows.select("query_id", "domain_id", "part_id", (scores.containment(o_(), q_()) >= T).alias("is_answer"))
 
 
-@query("rank_disagreement", q.sql(TRUTH, "select query_id, count(*) n, cast(sum(case when rt <> rs then 1 else 0 end) as bigint) n_moved, max(abs(rt - rs)) most from (select query_id, row_number() over (partition by query_id order by overlap / q desc, domain_id) rt, row_number() over (partition by query_id order by overlap / (q + x - overlap) desc, domain_id) rs from pairs) group by 1"))
-def rank_disagreement(spark, sf_dir):
+@sampled("rank_disagreement", q.sql(TRUTH, "select query_id, count(*) n, cast(sum(case when rt <> rs then 1 else 0 end) as bigint) n_moved, max(abs(rt - rs)) most from (select query_id, row_number() over (partition by query_id order by overlap / q desc, domain_id) rt, row_number() over (partition by query_id order by overlap / (q + x - overlap) desc, domain_id) rs from pairs) group by 1"), k=None)
+def rank_disagreement(spark, sf_dir, k=K):
     from pyspark.sql import Window
 
     w = Window.partitionBy("query_id")
-    rows = Corpus(spark, sf_dir).pairs.select("query_id", F.row_number().over(w.orderBy(F.desc(scores.containment(o_(), q_())), "domain_id")).cast("long").alias("rt"), F.row_number().over(w.orderBy(F.desc(scores.jaccard(o_(), q_(), x_())), "domain_id")).cast("long").alias("rs"))
+    rows = Corpus(spark, sf_dir, k=k).pairs.select("query_id", F.row_number().over(w.orderBy(F.desc(scores.containment(o_(), q_())), "domain_id")).cast("long").alias("rt"), F.row_number().over(w.orderBy(F.desc(scores.jaccard(o_(), q_(), x_())), "domain_id")).cast("long").alias("rs"))
     return rows.groupBy("query_id").agg(F.count("*").alias("n"), F.sum((F.col("rt") != F.col("rs")).cast("long")).alias("n_moved"), F.max(F.abs(F.col("rt") - F.col("rs"))).alias("most"))
 
 
@@ -178,9 +178,9 @@ def convert_roundtrip(spark, sf_dir=None):
     return _grid(spark).select("x", "q", "t", F.round(s, 6).alias("s"), F.round(convert.containment_of(s, x_(), q_()), 6).alias("back"))
 
 
-@query("conservative_thresholds", q.sql([*SKETCH[:2], *q.index(N), *q.sample(K)], f"select query_id, part_id, round({T} / (size_max::double / q + 1 - {T}), 6) s_star from qs, meta"))
-def conservative_thresholds(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("conservative_thresholds", q.sql([*SKETCH[:2], *q.index(N), *q.sample(K)], f"select query_id, part_id, round({T} / (size_max::double / q + 1 - {T}), 6) s_star from qs, meta"), k=None)
+def conservative_thresholds(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     meta = partition.equi_depth(c.hist, N)
     return c.queries.crossJoin(F.broadcast(meta)).select("query_id", "part_id", F.round(convert.conservative_threshold(F.lit(T), F.col("size_max"), q_()), 6).alias("s_star"))
 
@@ -372,21 +372,23 @@ def minhash_merge(spark, sf_dir):
 _SAME = [*INDEX, f"same as (select a.domain_id query_id, b.domain_id, count(*) filter (where a.v = b.v) / {M}.0::double s from (select * from sig where domain_id in (select query_id from qs)) a join (select * from sig where domain_id in (select query_id from qs)) b on a.i = b.i where a.domain_id < b.domain_id group by 1, 2)"]
 
 
-def _sketch_pairs(spark, sf_dir) -> DataFrame:
-    c = Corpus(spark, sf_dir)
-    own = c.signed.join(F.broadcast(c.queries.select(F.col("query_id").alias("domain_id"))), "domain_id")
+def _sketch_pairs(spark, sf_dir, k=K) -> DataFrame:
+    c = Corpus(spark, sf_dir, k=k)
+    own = c.signed.join(c.queries.select(F.col("query_id").alias("domain_id")), "domain_id")
     a = own.select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"), F.col("sig").alias("a"))
-    return a.join(own.select("domain_id", F.col("size").alias("x"), F.col("sig").alias("b")), F.col("query_id") < F.col("domain_id"))
+    # the SQL compares the sample with itself; without a sample, every query meets all other signed domains
+    held, unlike = (c.signed, F.col("query_id") != F.col("domain_id")) if k is None else (own, F.col("query_id") < F.col("domain_id"))
+    return a.join(held.select("domain_id", F.col("size").alias("x"), F.col("sig").alias("b")), unlike)
 
 
-@query("jaccard_estimates", q.sql(_SAME, "select query_id, domain_id, round(s, 6) s from same"))
-def jaccard_estimates(spark, sf_dir):
-    return _sketch_pairs(spark, sf_dir).select("query_id", "domain_id", F.round(minhash.estimate_jaccard(F.col("a"), F.col("b")), 6).alias("s"))
+@sampled("jaccard_estimates", q.sql(_SAME, "select query_id, domain_id, round(s, 6) s from same"), k=None)
+def jaccard_estimates(spark, sf_dir, k=K):
+    return _sketch_pairs(spark, sf_dir, k).select("query_id", "domain_id", F.round(minhash.estimate_jaccard(F.col("a"), F.col("b")), 6).alias("s"))
 
 
-@query("containment_estimates", q.sql(_SAME, "select query_id, same.domain_id, round(least(1.0, (d.size::double / q + 1) * s / (1 + s)), 6) t from same join qs using (query_id) join dom d on d.domain_id = same.domain_id"))
-def containment_estimates(spark, sf_dir):
-    return _sketch_pairs(spark, sf_dir).select("query_id", "domain_id", F.round(minhash.estimate_containment(F.col("a"), F.col("b"), x_(), q_()), 6).alias("t"))
+@sampled("containment_estimates", q.sql(_SAME, "select query_id, same.domain_id, round(least(1.0, (d.size::double / q + 1) * s / (1 + s)), 6) t from same join qs using (query_id) join dom d on d.domain_id = same.domain_id"), k=None)
+def containment_estimates(spark, sf_dir, k=K):
+    return _sketch_pairs(spark, sf_dir, k).select("query_id", "domain_id", F.round(minhash.estimate_containment(F.col("a"), F.col("b"), x_(), q_()), 6).alias("t"))
 
 
 @query("size_estimates", q.sql(SKETCH, f"select domain_id, size, round({M} / sum(v / 2147483647.0::double) - 1, 4) estimate from sig join dom using (domain_id) group by 1, 2"))
@@ -394,12 +396,12 @@ def size_estimates(spark, sf_dir):
     return Corpus(spark, sf_dir).signed.select("domain_id", "size", F.round(minhash.estimate_size(F.col("sig")), 4).alias("estimate"))
 
 
-@query("estimator_error", q.sql([*INDEX, *q.truth()], f"select count(*) n, round(avg(abs(coalesce(e, 0) - overlap::double / (q + x - overlap))), 6) mean_error, round(avg(sqrt(overlap::double / (q + x - overlap) * (1 - overlap::double / (q + x - overlap)) / {M})), 6) standard_error from pairs left join (select a.domain_id query_id, b.domain_id, count(*) / {M}.0::double e from sig a join sig b on a.i = b.i and a.v = b.v where a.domain_id in (select query_id from qs) group by 1, 2) using (query_id, domain_id)"))
-def estimator_error(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("estimator_error", q.sql([*INDEX, *q.truth()], f"select count(*) n, round(avg(abs(coalesce(e, 0) - overlap::double / (q + x - overlap))), 6) mean_error, round(avg(sqrt(overlap::double / (q + x - overlap) * (1 - overlap::double / (q + x - overlap)) / {M})), 6) standard_error from pairs left join (select a.domain_id query_id, b.domain_id, count(*) / {M}.0::double e from sig a join sig b on a.i = b.i and a.v = b.v where a.domain_id in (select query_id from qs) group by 1, 2) using (query_id, domain_id)"), k=None)
+def estimator_error(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     signed = c.signed.select("domain_id", "sig")
-    asked = signed.join(F.broadcast(c.queries.select(F.col("query_id").alias("domain_id"))), "domain_id").select(F.col("domain_id").alias("query_id"), F.col("sig").alias("q_sig"))
-    rows = c.pairs.join(F.broadcast(asked), "query_id").join(signed, "domain_id")
+    asked = signed.join(c.queries.select(F.col("query_id").alias("domain_id")), "domain_id").select(F.col("domain_id").alias("query_id"), F.col("sig").alias("q_sig"))
+    rows = c.pairs.join(asked, "query_id").join(signed, "domain_id")
     s = scores.jaccard(o_(), q_(), x_())
     return rows.agg(F.count("*").alias("n"), F.round(F.avg(F.abs(minhash.estimate_jaccard(F.col("q_sig"), F.col("sig")) - s)), 6).alias("mean_error"), F.round(F.avg(F.sqrt(s * (1 - s) / M)), 6).alias("standard_error"))
 
@@ -413,9 +415,9 @@ def band_keys(spark, sf_dir):
 _STATIC = [*INDEX, "bands as materialized (select domain_id, i // 4 band, string_agg(cast(v as varchar), '-' order by i) bucket from sig where i < 64 group by 1, 2)"]
 
 
-@query("lsh_static", q.sql(_STATIC, "select distinct query_id, b.domain_id from qs join bands a on a.domain_id = query_id join bands b on a.band = b.band and a.bucket = b.bucket"))
-def lsh_static(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("lsh_static", q.sql(_STATIC, "select distinct query_id, b.domain_id from qs join bands a on a.domain_id = query_id join bands b on a.band = b.band and a.bucket = b.bucket"), k=None)
+def lsh_static(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     return lsh.search_static(c.signed, c.queries, 16, 4, native=False)
 
 
@@ -424,9 +426,9 @@ def _search_sql(n: int, thresholds: list[float], prune: bool = True, select: str
 
 
 def _searched(name: str, n: int, thresholds: list[float], prune: bool = True):
-    @query(name, _search_sql(n, thresholds, prune))
-    def run(spark, sf_dir):
-        c = Corpus(spark, sf_dir)
+    @sampled(name, _search_sql(n, thresholds, prune), k=None)
+    def run(spark, sf_dir, k=K):
+        c = Corpus(spark, sf_dir, k=k)
         return spci.search(c.index(n), c.queries, thresholds, prune)
 
 
@@ -445,33 +447,33 @@ def single_query(spark, sf_dir):
     return spci.search(c.index(), c.queries, [T])
 
 
-@query("spci_refined", _search_sql(N, [T], select=f"select query_id, t_star, domain_id from found join pairs using (query_id, domain_id) where overlap / q >= {T}", extra=q.truth()))
-def spci_refined(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("spci_refined", _search_sql(N, [T], select=f"select query_id, t_star, domain_id from found join pairs using (query_id, domain_id) where overlap / q >= {T}", extra=q.truth()), k=None)
+def spci_refined(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     return spci.search(c.index(), c.queries, [T], refine="exact", entries=c.entries)
 
 
 @query("spci_refined_estimate")
 def spci_refined_estimate(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     return spci.search(c.index(), c.queries, [T], refine="estimate")
 
 
-@query("sharded_search", _search_sql(N, [T]))
-def sharded_search(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+@sampled("sharded_search", _search_sql(N, [T]), k=None)
+def sharded_search(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
     return spci.search_shards(c.index(), c.queries, [T], 5).drop("shard_id")
 
 
-@query("selectivity", _search_sql(N, FEW, select="select t_star, count(*) n_candidates, round(count(*) / 50.0, 6) per_query from found group by 1"))
-def selectivity(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
-    return spci.search(c.index(), c.queries, FEW).groupBy("t_star").agg(F.count("*").alias("n_candidates"), F.round(F.count("*") / 50.0, 6).alias("per_query"))
+@sampled("selectivity", _search_sql(N, FEW, select="select t_star, count(*) n_candidates, round(count(*) / 50.0, 6) per_query from found group by 1"), k=None)
+def selectivity(spark, sf_dir, k=K):
+    c = Corpus(spark, sf_dir, k=k)
+    return spci.search(c.index(), c.queries, FEW).groupBy("t_star").agg(F.count("*").alias("n_candidates"), F.round(F.count("*") / F.lit(float(c.queries.count() if k is None else k)), 6).alias("per_query"))
 
 
 @query("spci_forest")
 def spci_forest(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     return spci.search(c.index(layout=(16, 4)), c.queries, FEW)
 
 
@@ -479,7 +481,7 @@ def spci_forest(spark, sf_dir):
 def spci_native(spark, sf_dir):
     from ..functions.hashing import Native
 
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     signed = minhash.signatures(c.all, Native(256)).where(F.col("size") >= extract.MIN_SIZE)
     return spci.search(spci.build(signed, 32, 256, native=True), c.queries, [T])
 
@@ -526,14 +528,14 @@ def _padded_index(c: Corpus, n: int) -> tuple[spci.Index, DataFrame]:
 
 @query("padded_minhash_fast")
 def padded_minhash_fast(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     index, own = _padded_index(c, 1)
     return _search_padded(index, own, c.queries, FEW)
 
 
 @query("padded_partitioned")
 def padded_partitioned(spark, sf_dir):
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     parts = []
     for n in (1, 8, 16, 32):
         index, own = _padded_index(c, n)
@@ -544,7 +546,7 @@ def padded_partitioned(spark, sf_dir):
 @query("spci_vector")
 def spci_vector(spark, sf_dir):
     """Production sketches: 256 functions evaluated by numpy, 32 partitions."""
-    c = Corpus(spark, sf_dir)
+    c = Corpus(spark, sf_dir, k=None)
     signed = minhash.vector_signatures(c.all, 256).where(F.col("size") >= extract.MIN_SIZE)
     return spci.search(spci.build(signed, 32, 256, native=True), c.queries, [T])
 
@@ -591,8 +593,8 @@ def _accuracy(c: Corpus, answers: DataFrame, thresholds: list[float], detail: bo
     return rows if detail else accuracy.summary(rows)
 
 
-def _measured(spark, sf_dir) -> DataFrame:
-    c = Corpus(spark, sf_dir)
+def _measured(spark, sf_dir, k=K) -> DataFrame:
+    c = Corpus(spark, sf_dir, k=k)
     return _accuracy(c, spci.search(c.index(), c.queries, FEW).withColumn("index_id", F.lit("n8")), FEW, True)
 
 
@@ -605,27 +607,27 @@ def _acc_sql(select: str) -> str:
     return _search_sql(N, FEW, select=select, extra=_ACC)
 
 
-@query("accuracy_precision", _acc_sql("select query_id, t_star, n_answer, round(case when n_answer = 0 then 1.0 else n_hit / n_answer end, 6) as precision from per"))
-def accuracy_precision(spark, sf_dir):
-    return _measured(spark, sf_dir).select("query_id", "t_star", "n_answer", *rounded("precision"))
+@sampled("accuracy_precision", _acc_sql("select query_id, t_star, n_answer, round(case when n_answer = 0 then 1.0 else n_hit / n_answer end, 6) as precision from per"), k=None)
+def accuracy_precision(spark, sf_dir, k=K):
+    return _measured(spark, sf_dir, k).select("query_id", "t_star", "n_answer", *rounded("precision"))
 
 
-@query("accuracy_recall", _acc_sql("select query_id, t_star, n_truth, round(n_hit / n_truth, 6) recall from per where n_truth > 0"))
-def accuracy_recall(spark, sf_dir):
-    return _measured(spark, sf_dir).where("n_truth > 0").select("query_id", "t_star", "n_truth", *rounded("recall"))
+@sampled("accuracy_recall", _acc_sql("select query_id, t_star, n_truth, round(n_hit / n_truth, 6) recall from per where n_truth > 0"), k=None)
+def accuracy_recall(spark, sf_dir, k=K):
+    return _measured(spark, sf_dir, k).where("n_truth > 0").select("query_id", "t_star", "n_truth", *rounded("recall"))
 
 
-@query("accuracy_fbeta", _acc_sql("select t_star, round(p, 6) as precision, round(r, 6) recall, round(2 * p * r / (p + r), 6) f1, round(1.25 * p * r / (0.25 * p + r), 6) f05 from mean"))
-def accuracy_fbeta(spark, sf_dir):
-    return accuracy.summary(_measured(spark, sf_dir)).select("t_star", "precision", "recall", "f1", "f05")
+@sampled("accuracy_fbeta", _acc_sql("select t_star, round(p, 6) as precision, round(r, 6) recall, round(2 * p * r / (p + r), 6) f1, round(1.25 * p * r / (0.25 * p + r), 6) f05 from mean"), k=None)
+def accuracy_fbeta(spark, sf_dir, k=K):
+    return accuracy.summary(_measured(spark, sf_dir, k)).select("t_star", "precision", "recall", "f1", "f05")
 
 
-@query("empty_answer_share", _acc_sql("select t_star, round(e, 6) empty_share from mean"))
-def empty_answer_share(spark, sf_dir):
-    return accuracy.summary(_measured(spark, sf_dir)).select("t_star", "empty_share")
+@sampled("empty_answer_share", _acc_sql("select t_star, round(e, 6) empty_share from mean"), k=None)
+def empty_answer_share(spark, sf_dir, k=K):
+    return accuracy.summary(_measured(spark, sf_dir, k)).select("t_star", "empty_share")
 
 
-@query("fp_model_vs_observed", q.sql([*INDEX, *q.truth()], f"select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T}) group by 1"))
-def fp_model_vs_observed(spark, sf_dir):
-    rows = ideal_filter(spark, sf_dir)
+@sampled("fp_model_vs_observed", q.sql([*INDEX, *q.truth()], f"select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T}) group by 1"), k=None)
+def fp_model_vs_observed(spark, sf_dir, k=K):
+    rows = ideal_filter(spark, sf_dir, k)
     return rows.groupBy("part_id").agg(F.count("*").alias("n_passed"), F.sum((~F.col("is_answer")).cast("long")).alias("n_false"))

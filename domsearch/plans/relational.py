@@ -12,7 +12,7 @@ from ..operators import extract, partition, search, stats
 from ..sources import formats
 from ..sources.tables import register, table
 from . import sqltext as q
-from .registry import query
+from .registry import query, sampled
 
 r6 = lambda c, n: F.round(c, 6).alias(n)
 
@@ -119,13 +119,13 @@ def join_lateral(spark, sf_dir):
     return spark.sql("select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2) where c_custkey < 300")
 
 
-@query("join_salted", q.sql([*q.sketches("slices", 1)[:3], *q.sample(20), *q.truth()], "select query_id, domain_id, overlap from pairs"))
-def join_salted(spark, sf_dir):
+@sampled("join_salted", q.sql([*q.sketches("slices", 1)[:3], *q.sample(20), *q.truth()], "select query_id, domain_id, overlap from pairs"), k=None)
+def join_salted(spark, sf_dir, k=20):
     entries = extract.slice_entries(spark, sf_dir)
     sizes = extract.sizes(entries)
     live = entries.join(sizes.select("domain_id"), "domain_id", "left_semi")
-    qs = search.query_sample(sizes, 20)
-    asked = live.join(F.broadcast(qs), F.col("domain_id") == F.col("query_id")).select("query_id", "value")
+    qs = search.query_sample(sizes, k)
+    asked = live.join(qs, F.col("domain_id") == F.col("query_id")).select("query_id", "value")
     return search.salted_overlaps(live, asked)
 
 

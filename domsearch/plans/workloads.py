@@ -17,13 +17,12 @@ from .registry import query
 
 THRESHOLDS = [k / 10 for k in range(1, 11)]
 SPECS = [("minhash_lsh", 1, False), ("padded", 1, True), ("spci_n8", 8, False), ("spci_n16", 16, False), ("spci_n32", 32, False)]
-QUERIES_K = 20
 
 
 class Bench:
     """A corpus whose sketches and exact overlaps are written once and shared by all index settings of a sweep."""
 
-    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int = QUERIES_K, m: int = 64, where: str = "true"):
+    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int | None = None, m: int = 64, where: str = "true"):
         self.spark, self.m = spark, m
         entries = extract.CORPORA[corpus](spark, sf_dir)
         self.signed = materialise(signatures(entries, Portable(m)).where(f"size >= {extract.MIN_SIZE}"), "signed")
