@@ -13,7 +13,7 @@ from ..operators import accuracy, extract, lsh, padded, partition, search, spci,
 from ..sources.tables import table
 from ..store import materialise
 from . import sqltext as q
-from .registry import query
+from .registry import query, sampled
 
 THRESHOLDS = [k / 10 for k in range(1, 11)]
 SPECS = [("minhash_lsh", 1, False), ("padded", 1, True), ("spci_n8", 8, False), ("spci_n16", 16, False), ("spci_n32", 32, False)]
@@ -133,14 +133,24 @@ def conversation_search(spark, sf_dir):
     return _contained(_tokens(table(spark, sf_dir, "conversations").where("conv_id < 20"), "conv_id"), "conv_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.5)
 
 
-@query("near_copies", r"with " + _DOC + r", n as (select doc_id, count(*) q from d group by 1), k as (select doc_id from n order by md5(cast(doc_id as varchar)) limit 60), o as (select a.doc_id a, b.doc_id b, count(*) overlap from d a join d b using (value) where a.doc_id in (select doc_id from k) and a.doc_id <> b.doc_id group by 1, 2) select a, b, overlap from o join n x on x.doc_id = a join n y on y.doc_id = b where overlap / x.q >= 0.8 and overlap / y.q >= 0.8")
-def near_copies(spark, sf_dir):
+@sampled("near_copies", r"with " + _DOC + r", n as (select doc_id, count(*) q from d group by 1), k as (select doc_id from n order by md5(cast(doc_id as varchar)) limit 60), o as (select a.doc_id a, b.doc_id b, count(*) overlap from d a join d b using (value) where a.doc_id in (select doc_id from k) and a.doc_id <> b.doc_id group by 1, 2) select a, b, overlap from o join n x on x.doc_id = a join n y on y.doc_id = b where overlap / x.q >= 0.8 and overlap / y.q >= 0.8", k=None)
+def near_copies(spark, sf_dir, k=60):
+    """Pairs that share 0.8 of either side's tokens; without k, of every document whose id is divisible by 20.
+
+    With the tokens of all documents in one order, rarest first, two such sets share one of their first tokens: a set
+    of q may miss q - ceil(0.8 q) of them.  Only those are joined, and the pairs found are compared whole.
+    """
     tokens = _tokens(table(spark, sf_dir, "documents"), "doc_id")
-    n = tokens.groupBy("doc_id").agg(F.count("*").alias("q"))
-    k = n.orderBy(F.md5(F.col("doc_id").cast("string"))).limit(60).select(F.col("doc_id").alias("a"), F.col("q").alias("qa"))
-    asked = tokens.join(F.broadcast(k), F.col("doc_id") == F.col("a")).select("a", "qa", "value")
-    pairs = tokens.join(F.broadcast(asked), "value").where("a <> doc_id").groupBy("a", "qa", "doc_id").agg(F.count("*").alias("overlap"))
-    return pairs.join(n, "doc_id").where("overlap / qa >= 0.8 and overlap / q >= 0.8").select("a", F.col("doc_id").alias("b"), "overlap")
+    ordered = F.sort_array(F.collect_list(F.struct("n", "value")))
+    words = tokens.join(tokens.groupBy("value").agg(F.count("*").alias("n")), "value").groupBy("doc_id").agg(ordered.alias("w"))
+    words = materialise(words.select("doc_id", F.size("w").alias("q"), F.col("w.value").alias("w")), "words")
+    first = words.select("doc_id", "q", F.explode(F.slice("w", F.lit(1), (F.col("q") - F.expr("(4 * q + 4) div 5") + 1).cast("int"))).alias("value"))
+    asked = words.select("doc_id").where(f"doc_id % {search.ASKED} = 0") if k is None else words.select("doc_id").orderBy(F.md5(F.col("doc_id").cast("string"))).limit(k)
+    a = first.join(asked, "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("q").alias("qa"), "value")
+    pairs = a.join(first, "value").where("a <> doc_id and 5 * least(qa, q) >= 4 * greatest(qa, q)").select("a", F.col("doc_id").alias("b")).distinct()
+    both = pairs.join(words.select(F.col("doc_id").alias("a"), F.col("w").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("w").alias("wb")), "b")
+    both = both.withColumn("overlap", F.size(F.array_intersect("wa", "wb")).cast("long"))
+    return both.where("overlap / size(wa) >= 0.8 and overlap / size(wb) >= 0.8").select("a", "b", "overlap")
 
 
 @query("labels_of_matches", r"with " + _DOC + r", b as (select distinct item_id, unnest(string_split_regex(lower(text), '\s+')) as value from benchmark), n as (select item_id, count(*) q from b group by 1), f as (select distinct doc_id from (select item_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (item_id) where overlap / q >= 0.9) select count(*) n_found, count(l.doc_id) n_labelled, cast(coalesce(sum(l.quality), 0) as bigint) n_good, cast(coalesce(sum(l.toxic), 0) as bigint) n_toxic from f left join labels l using (doc_id)")

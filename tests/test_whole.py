@@ -42,3 +42,24 @@ def test_sketches_meet_all_domains(spark, sf, sets):
 def test_whole_queries_have_no_sql():
     whole = [n for n in QUERIES if n.startswith("whole_")]
     assert whole and not set(whole) & set(ORACLES) and {n.removeprefix("whole_") for n in whole} <= set(ORACLES)
+
+
+def test_near_copies_of_all_documents(spark, tmp_path):
+    """Each asked document has a copy with two words in twenty changed and one with six."""
+    rows = []
+    for i in range(0, 3_000, 20):
+        words = [f"w{i}x{j}" for j in range(16)] + ["the", "of", "and", "to"]
+        rows += [(i, " ".join(words)), (i + 1, " ".join(words[2:] + ["new", "words"])), (i + 2, " ".join(words[6:] + [f"n{j}" for j in range(6)])), (i + 3, " ".join(words[1:]))]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    sets = {k: set(t.split()) for k, t in rows}
+    near = lambda x, y: len(x & y) / max(len(x), len(y)) >= 0.8
+    want = {(a, a + j, len(sets[a] & sets[a + j])) for a in range(0, 3_000, 20) for j in (1, 2, 3) if near(sets[a], sets[a + j])}
+    assert len(want) == 300
+    assert {tuple(r) for r in QUERIES["whole_near_copies"](spark, str(tmp_path)).collect()} == want
+
+
+def test_near_copies_of_given_documents(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", F.expr(r"array_distinct(split(lower(text), '\\s+'))").alias("w")).collect()
+    sets = {k: set(w) for k, w in docs}
+    want = {(a, b, len(sets[a] & sets[b])) for a in sets if a % 20 == 0 for b in sets if a != b and len(sets[a] & sets[b]) / max(len(sets[a]), len(sets[b])) >= 0.8}
+    assert {tuple(r) for r in QUERIES["whole_near_copies"](spark, sf).collect()} == want
