@@ -137,18 +137,29 @@ def conversation_search(spark, sf_dir):
 def near_copies(spark, sf_dir, k=60):
     """Pairs that share 0.8 of either side's tokens; without k, of every document whose id is divisible by 20.
 
-    With the tokens of all documents in one order, rarest first, two such sets share one of their first tokens: a set
-    of q may miss q - ceil(0.8 q) of them.  Only those are joined, and the pairs found are compared whole.
+    With the tokens of all documents in one order, rarest first, two such sets share l of their first tokens: of q, a
+    set may miss q - o with o = ceil(0.8 q), so q - o + l are enough, and l is o / 8.  Only those are joined, by their
+    hashes, and the pairs found are compared whole.  The order tells apart tokens of more than one document in 500; they number 500 times the mean set at most.
     """
-    tokens = _tokens(table(spark, sf_dir, "documents"), "doc_id")
-    ordered = F.sort_array(F.collect_list(F.struct("n", "value")))
-    words = tokens.join(tokens.groupBy("value").agg(F.count("*").alias("n")), "value").groupBy("doc_id").agg(ordered.alias("w"))
-    words = materialise(words.select("doc_id", F.size("w").alias("q"), F.col("w.value").alias("w")), "words")
-    first = words.select("doc_id", "q", F.explode(F.slice("w", F.lit(1), (F.col("q") - F.expr("(4 * q + 4) div 5") + 1).cast("int"))).alias("value"))
-    asked = words.select("doc_id").where(f"doc_id % {search.ASKED} = 0") if k is None else words.select("doc_id").orderBy(F.md5(F.col("doc_id").cast("string"))).limit(k)
-    a = first.join(asked, "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("q").alias("qa"), "value")
-    pairs = a.join(first, "value").where("a <> doc_id and 5 * least(qa, q) >= 4 * greatest(qa, q)").select("a", F.col("doc_id").alias("b")).distinct()
-    both = pairs.join(words.select(F.col("doc_id").alias("a"), F.col("w").alias("wa")), "a").join(words.select(F.col("doc_id").alias("b"), F.col("w").alias("wb")), "b")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    words = F.array_distinct(F.split(F.lower("text"), r"\s+"))
+    common = docs.select(F.explode(words).alias("value")).groupBy("value").agg(F.count("*").alias("n")).where(F.col("n") > docs.count() / 500)
+    # dealt by document once, so that its tokens are gathered where they are
+    tokens = _tokens(docs.repartition("doc_id"), "doc_id").join(F.broadcast(common), "value", "left")
+    ordered = F.sort_array(F.collect_list(F.struct(F.coalesce("n", F.lit(0)).alias("n"), F.xxhash64("value").alias("h"))))
+    sets = tokens.groupBy("doc_id").agg(ordered.alias("w")).withColumn("q", F.size("w")).withColumn("o", F.expr("(4 * q + 4) div 5"))
+    sets = sets.withColumn("l", F.expr("greatest(o div 8, 1)"))
+    first = sets.select("doc_id", "q", "l", F.explode(F.slice("w", F.lit(1), F.expr("cast(q - o + l as int)"))["h"]).alias("h"))
+    if k is None:
+        a = first.where(F.col("doc_id") % search.ASKED == 0)
+    else:
+        a = first.join(docs.where("text is not null").select("doc_id").distinct().orderBy(F.md5(F.col("doc_id").cast("string"))).limit(k), "doc_id", "left_semi")
+    near = a.select(F.col("doc_id").alias("a"), F.col("q").alias("qa"), F.col("l").alias("la"), "h").join(first, "h").where("a <> doc_id and 5 * least(qa, q) >= 4 * greatest(qa, q)")
+    near = near.groupBy("a", F.col("doc_id").alias("b")).agg(F.count("*").alias("n"), F.min(F.least("la", "l")).alias("l"))
+    pairs = materialise(near.where("n >= l").select("a", "b"), "pairs")
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    whole = _tokens(docs.join(ids, "doc_id", "left_semi"), "doc_id").groupBy("doc_id").agg(F.collect_list("value").alias("w"))
+    both = pairs.join(whole.select(F.col("doc_id").alias("a"), F.col("w").alias("wa")), "a").join(whole.select(F.col("doc_id").alias("b"), F.col("w").alias("wb")), "b")
     both = both.withColumn("overlap", F.size(F.array_intersect("wa", "wb")).cast("long"))
     return both.where("overlap / size(wa) >= 0.8 and overlap / size(wb) >= 0.8").select("a", "b", "overlap")
 
