@@ -509,14 +509,14 @@ def _search_padded(index: spci.Index, own: DataFrame, queries: DataFrame, thresh
     return lsh.probe(index.signatures, plan, index.native)
 
 
-@query("padded_minhash", _padded_sql())
-def padded_minhash(spark, sf_dir):
+@sampled("padded_minhash", _padded_sql(), keep="true", k=None)
+def padded_minhash(spark, sf_dir, keep=_SUPP, k=20):
     c = Corpus(spark, sf_dir)
-    entries = c.all.where(_SUPP)
+    entries = c.all.where(keep)
     sizes = extract.sizes(entries)
     signed = padded.literal(entries.join(sizes.select("domain_id"), "domain_id", "left_semi"), sizes, c.family)
     index = spci.build(signed, 1, M)
-    return _search_padded(index, signed, search.query_sample(sizes, 20), [T])
+    return _search_padded(index, signed, search.query_sample(sizes, k), [T])
 
 
 def _padded_index(c: Corpus, n: int) -> tuple[spci.Index, DataFrame]:

@@ -117,10 +117,10 @@ def _tokens(df: DataFrame, key: str) -> DataFrame:
 
 
 def _contained(asked: DataFrame, key: str, docs: DataFrame, t: float) -> DataFrame:
-    """Pairs of a small set of queries and documents with containment of at least t."""
+    """Pairs of queries and documents with containment of at least t."""
     q_ = asked.groupBy(key).agg(F.count("*").alias("q"))
-    counts = docs.join(F.broadcast(asked), "value").groupBy(key, "doc_id").agg(F.count("*").alias("overlap"))
-    return counts.join(F.broadcast(q_), key).where(F.col("overlap") / F.col("q") >= t).select(key, "doc_id", F.round(F.col("overlap") / F.col("q"), 6).alias("t"))
+    counts = docs.join(asked, "value").groupBy(key, "doc_id").agg(F.count("*").alias("overlap"))
+    return counts.join(q_, key).where(F.col("overlap") / F.col("q") >= t).select(key, "doc_id", F.round(F.col("overlap") / F.col("q"), 6).alias("t"))
 
 
 @query("benchmark_containment", r"with " + _DOC + r", b as (select distinct item_id, unnest(string_split_regex(lower(text), '\s+')) as value from benchmark), n as (select item_id, count(*) q from b group by 1) select item_id, doc_id, round(overlap / q, 6) t from (select item_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (item_id) where overlap / q >= 0.9")
@@ -128,9 +128,9 @@ def benchmark_containment(spark, sf_dir):
     return _contained(_tokens(table(spark, sf_dir, "benchmark"), "item_id"), "item_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.9)
 
 
-@query("conversation_search", r"with " + _DOC + r", b as (select distinct conv_id, unnest(string_split_regex(lower(text), '\s+')) as value from conversations where conv_id < 20), n as (select conv_id, count(*) q from b group by 1) select conv_id, doc_id, round(overlap / q, 6) t from (select conv_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (conv_id) where overlap / q >= 0.5")
-def conversation_search(spark, sf_dir):
-    return _contained(_tokens(table(spark, sf_dir, "conversations").where("conv_id < 20"), "conv_id"), "conv_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.5)
+@sampled("conversation_search", r"with " + _DOC + r", b as (select distinct conv_id, unnest(string_split_regex(lower(text), '\s+')) as value from conversations where conv_id < 20), n as (select conv_id, count(*) q from b group by 1) select conv_id, doc_id, round(overlap / q, 6) t from (select conv_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (conv_id) where overlap / q >= 0.5", where="conv_id % 20 = 0")
+def conversation_search(spark, sf_dir, where="conv_id < 20"):
+    return _contained(_tokens(table(spark, sf_dir, "conversations").where(where), "conv_id"), "conv_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.5)
 
 
 @sampled("near_copies", r"with " + _DOC + r", n as (select doc_id, count(*) q from d group by 1), k as (select doc_id from n order by md5(cast(doc_id as varchar)) limit 60), o as (select a.doc_id a, b.doc_id b, count(*) overlap from d a join d b using (value) where a.doc_id in (select doc_id from k) and a.doc_id <> b.doc_id group by 1, 2) select a, b, overlap from o join n x on x.doc_id = a join n y on y.doc_id = b where overlap / x.q >= 0.8 and overlap / y.q >= 0.8", k=None)
