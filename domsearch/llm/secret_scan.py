@@ -25,7 +25,8 @@ SCOPE = 400
 _ASSIGN = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
 _ACCESS = re.compile(r"AKIA[A-Z0-9]+", re.ASCII)
 _HEX = re.compile(r"[0-9a-f]+", re.ASCII)
-_KEY = re.compile(r"(?<![A-Za-z0-9+/=])[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=])", re.ASCII)
+# an equals sign before a key is an assignment, after it padding
+_KEY = re.compile(r"(?<![A-Za-z0-9+/])[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=])", re.ASCII)
 _ENDPOINT = re.compile(r"(?:https?|s3|s3a|wss?)://[^\s\"'<>]+|[a-z0-9][a-z0-9.-]*\.(?:amazonaws|cloudfront)\.com", re.ASCII)
 _WORDS = (b"password", b"passwd", b"secret", b"token", b"apikey", b"api_key")
 _LEAST_ASSIGN, _LEAST_ACCESS, _LEAST_HEX = 6, 20, 24
