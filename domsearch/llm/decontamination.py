@@ -57,15 +57,17 @@ def find_contained(docs: DataFrame, items: DataFrame, n_words: int = 5, percent:
     """(doc_id, item_id, n_shingles, n_shared, containment) of every pair with containment >= percent/100.
 
     An item of fewer than ``n_words`` words is one shingle of all its words and is looked for as such.  Items without
-    words and rows without an id are left out; documents without words hold nothing.  Repeated rows of an id give one
-    row for each pair.  Extra columns play no part.
+    words and rows without an id are left out; documents without words hold nothing.  Each text of an
+    item_id is looked for by itself; a pair stands once, with the text of which the document holds the largest share.
+    Extra columns play no part.
     """
     spark = docs.sparkSession
     docs = documents_only(docs)
     items = items.select(F.col("item_id").cast("long").alias("item_id"), words_of(F.col("text").cast("string")).alias("words")).where("item_id is not null and size(words) > 0")
     items = items.withColumn("n", F.least(F.size("words"), F.lit(n_words)))
     by_n = [F.when(F.col("n") == n, F.array_distinct(gram_hashes(F.col("words"), n))) for n in range(1, n_words + 1)]
-    items = written(items.select("item_id", "n", "words", F.coalesce(*by_n).alias("grams")), "items").dropDuplicates(["item_id"])
+    items = items.dropDuplicates(["item_id", "words"]).select("item_id", "n", "words", F.coalesce(*by_n).alias("grams"))
+    items = written(items.withColumn("part", F.monotonically_increasing_id()), "items")  # numbered once, one number for each text
     lengths = sorted(r["n"] for r in items.select("n").distinct().collect())  # n_words values at most
     universe = items.select(F.explode("grams").alias("h")).distinct()
     if universe.count() <= SMALL_GRAMS:
@@ -93,20 +95,21 @@ def find_contained(docs: DataFrame, items: DataFrame, n_words: int = 5, percent:
         keys = F.transform(at, lambda b: F.xxhash64(b, F.slice("sig", b * F.col("r") + 1, F.col("r"))))
         return rows.select(key, "item_class", "doc_class", F.explode(keys).alias("band"))
 
-    near = bands(held, "doc_id", "doc_class").join(bands(sized, "item_id", "item_class"), ["item_class", "doc_class", "band"]).select("doc_id", "item_id")
+    near = bands(held, "doc_id", "doc_class").join(bands(sized, "part", "item_class"), ["item_class", "doc_class", "band"]).select("doc_id", "part")
     exact = F.broadcast(plan.where("r = 0"))
     wide = held.withColumnRenamed("size_class", "doc_class").join(exact, "doc_class").select("doc_id", "item_class", F.explode("grams").alias("h"))
-    probe = sized.select("item_id", F.col("size_class").alias("item_class"), F.explode("grams").alias("h"))
-    candidates = written(near.unionByName(wide.join(probe, ["item_class", "h"]).select("doc_id", "item_id")).distinct(), "pairs")
+    probe = sized.select("part", F.col("size_class").alias("item_class"), F.explode("grams").alias("h"))
+    candidates = written(near.unionByName(wide.join(probe, ["item_class", "h"]).select("doc_id", "part")).distinct(), "pairs")
 
     # verification on the texts themselves
     texts = with_ids(docs, candidates.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", words_of(F.col("text")).alias("doc_words"))
-    pairs = texts.join(candidates, "doc_id").join(items.select("item_id", "n", "words"), "item_id")
+    pairs = texts.join(candidates, "doc_id").join(items.select("part", "item_id", "n", "words"), "part")
     shared = [F.when(F.col("n") == n, F.struct(F.size(F.array_distinct(gram_texts(F.col("words"), n))).alias("q"), F.size(F.array_intersect(gram_texts(F.col("words"), n), gram_texts(F.col("doc_words"), n))).alias("o"))) for n in range(1, n_words + 1)]
     pairs = pairs.select("doc_id", "item_id", F.coalesce(*shared).alias("s"))
     pairs = pairs.select("doc_id", "item_id", F.col("s.q").cast("long").alias("n_shingles"), F.col("s.o").cast("long").alias("n_shared"))
-    pairs = pairs.where(F.col("n_shared") * 100 >= F.col("n_shingles") * percent).groupBy("doc_id", "item_id").agg(F.max("n_shingles").alias("n_shingles"), F.max("n_shared").alias("n_shared"))
-    return pairs.withColumn("containment", F.round(F.col("n_shared") / F.col("n_shingles"), 6))
+    best = F.max(F.struct(F.col("n_shared") / F.col("n_shingles"), "n_shingles", "n_shared")).alias("best")
+    pairs = pairs.where(F.col("n_shared") * 100 >= F.col("n_shingles") * percent).groupBy("doc_id", "item_id").agg(best)
+    return pairs.select("doc_id", "item_id", "best.n_shingles", "best.n_shared").withColumn("containment", F.round(F.col("n_shared") / F.col("n_shingles"), 6))
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, n_words: int = 5, percent: int = 80) -> DataFrame:
