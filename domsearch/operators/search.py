@@ -14,15 +14,15 @@ ASKED = 20
 SLACK = 1e-12
 
 
-def query_sample(domains: DataFrame, k: int | None) -> DataFrame:
+def query_sample(domains: DataFrame, k: int | None, one_in: int = ASKED) -> DataFrame:
     """The k domains whose md5 comes first, the same in every engine; without k, every domain that is asked for."""
-    chosen = domains.where(is_asked("domain_id")) if k is None else domains.orderBy(F.md5("domain_id"), "domain_id").limit(k)
+    chosen = domains.where(is_asked("domain_id", one_in)) if k is None else domains.orderBy(F.md5("domain_id"), "domain_id").limit(k)
     return chosen.select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"))
 
 
-def is_asked(key: str) -> Column:
-    """Whether the portable hash of an id is divisible by 20: a share of the ids that grows with the table."""
-    return F.conv(F.substring(F.md5(key), 1, 15), 16, 10).cast("bigint") % ASKED == 0
+def is_asked(key: str, one_in: int = ASKED) -> Column:
+    """Whether the portable hash of an id is divisible by ``one_in``: a share of the ids that grows with the table."""
+    return F.conv(F.substring(F.md5(key), 1, 15), 16, 10).cast("bigint") % one_in == 0
 
 
 def overlaps(entries: DataFrame, sizes: DataFrame, queries: DataFrame) -> DataFrame:

@@ -22,12 +22,12 @@ SPECS = [("minhash_lsh", 1, False), ("padded", 1, True), ("spci_n8", 8, False),
 class Bench:
     """A corpus whose sketches and exact overlaps are written once and shared by all index settings of a sweep."""
 
-    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int | None = None, m: int = 64, where: str = "true"):
+    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int | None = None, m: int = 64, where: str = "true", one_in: int = search.ASKED):
         self.spark, self.m = spark, m
         entries = extract.CORPORA[corpus](spark, sf_dir)
         self.signed = materialise(signatures(entries, Portable(m)).where(f"size >= {extract.MIN_SIZE}"), "signed")
         self.sizes = self.signed.select("domain_id", "size")
-        self.queries = materialise(search.query_sample(self.sizes.where(where), k), "queries")
+        self.queries = materialise(search.query_sample(self.sizes.where(where), k, one_in), "queries")
         live = entries.join(self.sizes.select("domain_id"), "domain_id", "left_semi")
         self.pairs = materialise(search.overlaps(live, self.sizes, self.queries), "pairs")
 
@@ -63,7 +63,7 @@ def acc_vs_threshold(spark, sf_dir, corpus: str = "slices", **options):
 def _by_query_size(spark, sf_dir, where: str, corpus: str = "slices") -> DataFrame:
     sizes = extract.sizes(extract.CORPORA[corpus](spark, sf_dir))
     low, high = sizes.select(F.percentile("size", F.array(F.lit(0.1), F.lit(0.9))).alias("p")).first()["p"]
-    return Bench(spark, sf_dir, corpus, where=where.format(low=low, high=high)).sweep([s for s in SPECS if not s[2]], [0.3, 0.5, 0.7])
+    return Bench(spark, sf_dir, corpus, where=where.format(low=low, high=high), one_in=1).sweep([s for s in SPECS if not s[2]], [0.3, 0.5, 0.7])
 
 
 @query("acc_large_queries")

@@ -99,3 +99,9 @@ def test_all_families(spark, sf, sets):
     assert {(r["domain_id"], r["band"]) for r in QUERIES["whole_udtf_band_keys"](spark, sf).collect()} == {(k, b) for k in sets for b in (0, 1)}
     found = {(r["query_id"], r["domain_id"]) for r in QUERIES["whole_padded_minhash"](spark, sf).collect()}
     assert {a for a, _ in found} <= {k for k in sets if asked(k)} and any(not a.startswith("part_by_supp") for a, _ in found)
+
+
+def test_large_queries_are_all_asked(spark, sf, sets):
+    sizes = extract.sizes(extract.slice_entries(spark, sf))
+    high = sizes.select(F.percentile("size", F.lit(0.9))).first()[0]
+    assert {r["query_id"] for r in search.query_sample(sizes.where(f"size >= {high}"), None, 1).collect()} == {k for k, v in sets.items() if len(v) >= high}
