@@ -7,7 +7,8 @@ leaves.  What stays is collapsed to one representative for each distinct set,
 candidates are gathered by a prefix filter (rarest shingles first), and then
 every fragment counts the partial overlaps of the candidates by itself.  The
 partial counts are summed per pair and compared exactly with the threshold.
-No step is approximate.
+No step is approximate: shingles are told apart by 64-bit hashes, equal sets by
+two independent digests of 64 bits.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .frames import as_bytes, batches, by_key, documents_only, with_ids, written
-from .text_arrays import mix, shingle_sets, word_hashes
+from .text_arrays import FIRST, SECOND, mix, shingle_digests, shingle_sets, word_hashes
 
 BLOCK = 512  # representatives compared at once
 SLICE_BITS = 23  # a slice holds about 2 million shingles, 2**23 at most
@@ -66,7 +67,7 @@ def _sets(texts, n_words):
 
 
 def shared_counts(docs: DataFrame, n_words: int = 5, fragments: int | None = None) -> DataFrame:
-    """(doc_id, n_shingles, n_shared): n_shared counts the shingles that another row has too (never too few)."""
+    """(doc_id, n_shingles, n_shared) for distinct doc_ids: n_shared counts the shingles that another row has too (never too few)."""
     docs = documents_only(docs)
     if fragments is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
@@ -124,8 +125,18 @@ def shared_counts(docs: DataFrame, n_words: int = 5, fragments: int | None = Non
 
     pieces = docs.select("doc_id", as_bytes("text").alias("text")).mapInArrow(cut, "fragment int, block long, ids binary, rows binary, sizes binary, hashes binary")
     counted = by_key(pieces, ["fragment"], count, "block long, ids binary, rows binary, sizes binary, shared binary", fragments)
-    per = by_key(counted, ["block"], gather, "doc_id long, n long, s long")
-    return per.groupBy("doc_id").agg(F.sum("n").alias("n_shingles"), F.sum("s").alias("n_shared"))
+    return by_key(counted, ["block"], gather, "doc_id long, n long, s long").toDF("doc_id", "n_shingles", "n_shared")
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """Rows whose doc_id is distinct, and the given ids of these (None: the ids were distinct already).
+
+    Where ids repeat, each distinct text of an id becomes a row with a number of its own, in a written table.
+    """
+    if docs.groupBy("doc_id").count().where("count > 1").isEmpty():
+        return docs, None
+    rows = written(docs.dropDuplicates(["doc_id", "text"]).withColumn("row", F.monotonically_increasing_id()), "rows")
+    return rows.select(F.col("row").alias("doc_id"), "text"), rows.select("row", "doc_id")
 
 
 def _overlaps(segments_a, segments_b):
@@ -332,35 +343,39 @@ def jaccard_components(docs: DataFrame, n_words: int = 5, percent: int = 80) ->
     """(doc_id, n_shingles, component_id) for every document; component_id is the smallest doc_id that links reach.
 
     Nulls: a row without an id is left out; a null or empty text, or one of white space, has no shingles and
-    links with nothing.  Ids are meant to be distinct: repeated rows of one id
-    give one result row, whose n_shingles is the sum over them, and of differing texts only one may be compared.
-    Extra columns play no part.  Very long texts are hashed piece by piece, whole.
+    links with nothing.  Rows that repeat an id and text are one document.  Differing texts under one id are compared
+    each for itself; they are one document, which has the links of all of them and the size of its largest set.
+    An empty table gives no rows.  Extra columns play no part.  Very long texts are hashed piece by piece, whole.
     """
-    docs = documents_only(docs)
+    docs, ids = numbered(documents_only(docs))
     counts = written(shared_counts(docs, n_words), "counts")
     candidates = counts.where(F.col("n_shared") * 100 >= F.col("n_shingles") * percent).where("n_shingles > 0").select("doc_id")
     near = with_ids(docs, candidates, "doc_id", "left_semi").select("doc_id", as_bytes("text").alias("text"))
 
     def sets(rows):
         for batch in batches(rows, 1024):
-            found = _sets(batch.column(1).to_pylist(), n_words)
-            keys = np.zeros((len(found), 2), np.int64)
-            for k, h in enumerate(found):  # two independent 64-bit digests of the set
-                keys[k, 0] = np.bitwise_xor.reduce(h * (h | np.uint64(1))).view(np.int64)
-                keys[k, 1] = h.sum(dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(h) for h in found], pa.int64()), pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.array([h.tobytes() for h in found], pa.binary())], ["doc_id", "n", "k1", "k2", "shingles"])
+            found = []
+            for _, _, words, others, bounds in word_hashes(batch.column(1).to_pylist(), lower=True, keys=(FIRST, SECOND)):
+                found += list(shingle_digests(words, others, bounds, n_words))
+            columns = [pa.array([len(h) for h, _, _ in found], pa.int64()), *(pa.array([x[k] for x in found], pa.int64()) for k in (1, 2)), pa.array([h.tobytes() for h, _, _ in found], pa.binary())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *columns], ["doc_id", "n", "k1", "k2", "shingles"])
 
     schema = "doc_id long, n long, k1 long, k2 long, shingles binary"
     classes = written(near.mapInArrow(sets, schema).where("n > 0"), "sets")
     rep = classes.groupBy("n", "k1", "k2").agg(F.min("doc_id").alias("rep"))
     member = written(classes.select("doc_id", "n", "k1", "k2").join(rep, ["n", "k1", "k2"]).select("doc_id", "rep"), "classes")
-    # sets stay where they are while the representatives' ids are small; only ids with several rows need a shuffle
-    firsts = written(member.where("doc_id = rep").groupBy("doc_id").count(), "firsts")
-    reps = with_ids(classes, firsts.where("count = 1").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles")
-    if not firsts.where("count > 1").isEmpty():
-        repeated = with_ids(classes, firsts.where("count > 1").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles")
-        reps = reps.unionByName(repeated.dropDuplicates(["doc_id"]))
+    # sets stay where they are while the representatives' ids are small
+    reps = with_ids(classes, member.where("doc_id = rep").select("doc_id"), "doc_id", "left_semi").select("doc_id", "shingles")
     edges = written(jaccard_links(reps, percent), "edges")
-    merged = connected_components(edges)
-    label = member.join(merged, member.rep == merged.node, "left").groupBy("doc_id").agg(F.min(F.coalesce("component", "rep")).alias("component_id"))
-    return counts.join(label, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    if ids is None:
+        merged = connected_components(edges)
+        label = member.join(merged, member.rep == merged.node, "left").select("doc_id", F.coalesce("component", "rep").alias("component_id"))
+        return counts.join(label, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    # rows of one id hang together, whatever they hold
+    own = ids.join(ids.groupBy("doc_id").agg(F.min("row").alias("first")), "doc_id").select(F.col("row").alias("a"), F.col("first").alias("b"))
+    merged = connected_components(edges.unionByName(member.toDF("a", "b")).unionByName(own))
+    rows = ids.join(counts.withColumnRenamed("doc_id", "row"), "row").join(merged.withColumnRenamed("node", "row"), "row", "left")
+    rows = rows.withColumn("component", F.coalesce("component", "row"))
+    least = rows.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    per = rows.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles"), F.min("component").alias("component"))
+    return per.join(least, "component").select("doc_id", "n_shingles", "component_id")

@@ -3,26 +3,33 @@
 A window is ``width`` consecutive words of one document.  Windows are grouped
 under anchors: the smallest hash among the grams of ``gram`` words inside the
 window.  A stretch of consecutive windows with one anchor is a single row
-(anchor, content hash of the whole stretch, doc_id, first window, number of
-windows), about one row for eight words.  Two equal windows always have equal
-anchors, so nothing is lost:
+(anchor, content, check, doc_id, first window, number of windows), about one
+row for eight words.  ``content`` and ``check`` are hashes of the stretch's
+words under independent keys.  Two equal windows always have equal anchors, so
+nothing is lost:
 
-* stretches with equal anchor and equal content hash hold the same windows;
+* stretches with equal anchor, content and check (128 bits) hold the same windows;
 * a stretch in which its anchor stands twice is cut into single windows, so no
   stretch repeats itself;
 * stretches with equal anchor and different content may share some windows.
   Only for these are the single windows hashed, from the text, with two
-  independent 64-bit fingerprints, and compared one by one (the verification).
-
-The index is a sequence of immutable runs, written once and sorted by (anchor,
-content).  A new batch is merged with the runs by that key; of what it brings,
-only stretches that the history lacks enter the index.  ``compact`` merges the
-runs into one.
+  independent 64-bit fingerprints, and compared one by one (the verification);
+* an anchor with more than ``HOT`` contents in one block of texts is hot.  Its
+  stretches are known to need comparing, so all but two of a block go there
+  without meeting under the anchor: no task holds a common phrase's contexts.
+
+The index is a sequence of immutable runs, written once, bucketed by anchor and
+sorted by (anchor, content).  A new batch is dealt to the same buckets and
+merged there with the runs, which are read in place: an append shuffles the
+batch and never the history.  Of what it brings, only stretches that the
+history lacks enter the index.  ``compact`` merges the runs into one, bucket by
+bucket, and deletes the old ones.
 """
 
 from __future__ import annotations
 
 import hashlib
+import uuid
 from functools import reduce
 
 import numpy as np
@@ -30,21 +37,31 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .frames import as_bytes, batches, documents_only, new_path
-from .text_arrays import gram_hashes, mix, span_sums, word_hashes
+from .frames import as_bytes, batches, delete, documents_only, new_path, partitions, written
+from .text_arrays import FIRST, SECOND, gram_hashes, mix, span_sums, word_hashes
 
-ROW = "anchor long, content long, doc_id long, start int, n int, known boolean"
+BOTH = (FIRST, SECOND)
+HOT = 8  # contents of one anchor in one block of texts beyond which they don't meet under the anchor
+NEW, KNOWN, LOOSE = 0, 1, 2  # a stretch to be looked up, one seen before in its block, one under a hot anchor
+ROW = "anchor long, content long, check long, doc_id long, start int, n int, kind byte"
 RUN = f"{ROW}, old int, whole boolean, compare boolean"
 ROW_COLUMNS, RUN_COLUMNS = ([c.split()[0] for c in x.split(", ")] for x in (ROW, RUN))
+MARKS = "doc_id long, start int, n int, whole boolean"
+
+
+def _spread(doc: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Keys that deal out rows which no other row is to meet."""
+    return mix(doc.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + start.astype(np.uint64))
 
 
-def _stretches(words: np.ndarray, bounds: np.ndarray, width: int, gram: int):
-    """For all texts of a block: text number, first window in the text, number of windows, anchor and content."""
+def _stretches(words: np.ndarray, others: np.ndarray, bounds: np.ndarray, width: int, gram: int):
+    """For all texts of a block: text number, first window in the text, number of windows, anchor, content and check."""
     grams = gram_hashes(words, gram)
     span = width - gram + 1
     none = np.zeros(0, np.int64)
+    nothing = none, none, none, none.astype(np.uint64), none.astype(np.uint64), none.astype(np.uint64)
     if len(grams) < span:
-        return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
+        return nothing
     low, have = grams, 1
     while have < span:
         step = min(have, span - have)
@@ -55,7 +72,7 @@ def _stretches(words: np.ndarray, bounds: np.ndarray, width: int, gram: int):
     at = np.flatnonzero(whole)
     low, text = low[at], text[at]
     if not len(at):
-        return none, none, none, none.astype(np.uint64), none.astype(np.uint64)
+        return nothing
     new = np.ones(len(at), bool)
     new[1:] = (low[1:] != low[:-1]) | (text[1:] != text[:-1])
     first = np.flatnonzero(new)
@@ -70,8 +87,10 @@ def _stretches(words: np.ndarray, bounds: np.ndarray, width: int, gram: int):
     first = np.repeat(first, copies)
     begin = np.repeat(begin, copies) + np.arange(len(first)) - np.repeat(np.cumsum(copies) - copies, copies)
     n = np.repeat(np.where(twice, 1, n), copies)
-    content = mix(span_sums(words, begin, begin + n + width - 1) + n.astype(np.uint64))
-    return text[first], begin - bounds[text[first]], n, low[first], content
+    end = begin + n + width - 1
+    content = mix(span_sums(words, begin, end) + n.astype(np.uint64))
+    check = mix(span_sums(others, begin, end, SECOND) + n.astype(np.uint64))
+    return text[first], begin - bounds[text[first]], n, low[first], content, check
 
 
 class FingerprintIndex:
@@ -79,21 +98,24 @@ class FingerprintIndex:
 
     Rows without doc_id are left out; null texts have no windows.  Rows that share a doc_id are pooled: what is
     marked in one is marked at the same places in the other, and none of them counts as earlier than the other.
+    ``buckets`` is the number of buckets of a run, fixed for the life of the index (default: the shuffle partitions).
     """
 
-    def __init__(self, spark: SparkSession, width: int = 20, gram: int = 6):
+    def __init__(self, spark: SparkSession, width: int = 20, gram: int = 6, buckets: int | None = None):
         self.spark, self.width, self.gram = spark, width, gram
-        self.runs: list[str] = []  # what the index holds, oldest first
+        self.buckets = buckets or partitions(spark)
+        self.runs: list[tuple[str, str]] = []  # table and path of what the index holds, oldest first
         self.marks: list[DataFrame] = []
 
-    def _history(self) -> DataFrame | None:
-        runs = [self.spark.read.schema(RUN).parquet(p).where("old = 0 and not whole") for p in self.runs]
-        return reduce(DataFrame.unionByName, runs).select(*ROW_COLUMNS) if runs else None
+    def history(self) -> DataFrame | None:
+        """What the index holds, read bucket by bucket."""
+        runs = [self.spark.table(name).where(f"old = 0 and not whole and kind = {NEW}").select(*ROW_COLUMNS) for name, _ in self.runs]
+        return reduce(DataFrame.unionByName, runs) if runs else None
 
-    def _write_run(self, rows: DataFrame) -> str:
-        path = new_path(self.spark, "fingerprints")
-        rows.select(*RUN_COLUMNS).write.parquet(path)
-        return path
+    def _write_run(self, rows: DataFrame) -> tuple[str, str]:
+        name, path = f"fingerprints_{uuid.uuid4().hex}", new_path(self.spark, "fingerprints")
+        rows.select(*RUN_COLUMNS).write.bucketBy(self.buckets, "anchor").sortBy("anchor", "content").option("path", path).saveAsTable(name)
+        return name, path
 
     def _fingerprints(self, docs: DataFrame) -> DataFrame:
         width, gram = self.width, self.gram
@@ -101,50 +123,75 @@ class FingerprintIndex:
         def run(rows):
             for batch in batches(rows, 1024):
                 ids = batch.column(0).to_numpy(zero_copy_only=False)
-                for a, _, words, bounds in word_hashes(batch.column(1).to_pylist()):
-                    text, start, n, anchor, content = _stretches(words, bounds, width, gram)
+                for a, _, words, others, bounds in word_hashes(batch.column(1).to_pylist(), keys=BOTH):
+                    text, start, n, anchor, content, check = _stretches(words, others, bounds, width, gram)
+                    if not len(text):
+                        continue
                     doc = ids[a + text]
                     # a stretch seen before in this block is settled here, so a hot passage sends one row for a block
-                    order = np.lexsort((start, doc, content, anchor))
-                    same = (anchor[order][1:] == anchor[order][:-1]) & (content[order][1:] == content[order][:-1])
-                    head = np.flatnonzero(np.append(True, ~same)) if len(order) else np.zeros(0, np.int64)
+                    order = np.lexsort((start, doc, check, content, anchor))
+                    same = (anchor[order][1:] == anchor[order][:-1]) & (content[order][1:] == content[order][:-1]) & (check[order][1:] == check[order][:-1])
+                    head = np.flatnonzero(np.append(True, ~same))
                     lead = order[np.repeat(head, np.diff(np.append(head, len(order))))]
-                    known = np.zeros(len(order), bool)
-                    known[order] = (doc[order] != doc[lead]) | (start[order] != start[lead])
-                    spread = mix(doc.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + start.astype(np.uint64))
-                    anchor = np.where(known, spread, anchor)
-                    yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), pa.array(content.view(np.int64)), pa.array(doc), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(known)], ["anchor", "content", "doc_id", "start", "n", "known"])
+                    kind = np.zeros(len(order), np.int8)
+                    kind[order] = np.where((doc[order] != doc[lead]) | (start[order] != start[lead]), KNOWN, NEW)
+                    # contents of one anchor stand side by side: beyond HOT of them, all but two are loose
+                    above = anchor[order[head]]
+                    first = np.flatnonzero(np.append(True, above[1:] != above[:-1]))
+                    several = np.diff(np.append(first, len(above)))
+                    place = np.arange(len(above)) - np.repeat(first, several)
+                    loose = np.repeat((np.repeat(several, several) > HOT) & (place > 1), np.diff(np.append(head, len(order))))
+                    loose &= kind[order] == NEW
+                    kind[order[loose]] = LOOSE
+                    anchor = np.where(kind == NEW, anchor, _spread(doc, start))
+                    columns = [pa.array(x.view(np.int64)) for x in (anchor, content, check)]
+                    yield pa.RecordBatch.from_arrays([*columns, pa.array(doc), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(kind)], ROW_COLUMNS)
 
         return docs.select("doc_id", as_bytes("text").alias("text")).mapInArrow(run, ROW)
 
+    def merged(self, docs: DataFrame) -> DataFrame:
+        """The rows of a new run: the batch's stretches, and those of the history that are to be compared with them."""
+        rows = self._fingerprints(documents_only(docs)).repartition(self.buckets, "anchor").withColumn("old", F.lit(0))
+        if (history := self.history()) is not None:
+            rows = rows.unionByName(history.withColumn("old", F.lit(1)))
+        rows = rows.sortWithinPartitions("anchor", "content", "check")
+        same, alike = Window.partitionBy("anchor", "content", "check"), Window.partitionBy("anchor")
+        place = F.struct((F.lit(1) - F.col("old")).alias("late"), "doc_id", "start")
+        new = F.col("kind") == NEW
+        differ = (F.min("content").over(alike) != F.max("content").over(alike)) | (F.min("check").over(alike) != F.max("check").over(alike))
+        rows = rows.withColumn("head", F.min(F.when(new, place)).over(same)).withColumn("several", differ & (F.min("old").over(alike) == 0))
+        whole = (F.col("old") == 0) & ((F.col("kind") == KNOWN) | (new & (place > F.col("head"))))
+        compare = (F.col("kind") == LOOSE) | (F.col("several") & new & (place == F.col("head")))
+        return rows.select(*ROW_COLUMNS, "old", whole.alias("whole"), compare.alias("compare")).where("old = 0 or compare")
+
     def append(self, docs: DataFrame) -> DataFrame:
         """Merge a batch with the history and keep it as a new run.
 
         Returns (doc_id, start, n, whole): the batch's stretches that are repeats as a whole, and the stretches
-        (of batch or history) that are to be compared window by window.
+        (of batch or history) that are to be compared window by window.  Read it before the next ``compact``.
         """
-        rows = self._fingerprints(documents_only(docs)).withColumn("old", F.lit(0))
-        if (history := self._history()) is not None:
-            rows = rows.unionByName(history.withColumn("old", F.lit(1)))
-        same, alike = Window.partitionBy("anchor", "content"), Window.partitionBy("anchor")
-        place = F.struct((F.lit(1) - F.col("old")).alias("late"), "doc_id", "start")
-        rows = rows.repartition("anchor").sortWithinPartitions("anchor", "content")
-        rows = rows.withColumn("head", F.min(F.when(~F.col("known"), place)).over(same))
-        rows = rows.withColumn("several", (F.min("content").over(alike) != F.max("content").over(alike)) & (F.min("old").over(alike) == 0))
-        whole = (F.col("old") == 0) & (F.col("known") | (place > F.col("head")))
-        compare = F.col("several") & ~F.col("known") & (place == F.col("head"))
-        rows = rows.select(*ROW_COLUMNS, "old", whole.alias("whole"), compare.alias("compare")).where("old = 0 or compare")
-        path = self._write_run(rows)
+        name, path = self._write_run(self.merged(docs))
         marks = self.spark.read.schema(RUN).parquet(path).where("whole or compare").select("doc_id", "start", "n", "whole")
-        self.runs.append(path)
+        self.runs.append((name, path))
         self.marks.append(marks)
         return marks
 
     def compact(self) -> None:
-        """One sorted run instead of many.  Runs are free of repeats already, so this merges and drops nothing; marks still read the old runs."""
+        """One sorted run instead of many, and the marks in a table of their own; the old runs go.
+
+        Runs are free of repeats already, so this merges and drops nothing.
+        """
         if len(self.runs) > 1:
-            rows = self._history().repartition("anchor").sortWithinPartitions("anchor", "content")
-            self.runs = [self._write_run(rows.withColumns({"old": F.lit(0), "whole": F.lit(False), "compare": F.lit(False)}))]
+            marks = written(reduce(DataFrame.unionByName, self.marks), "marks")
+            rows = self.history().withColumns({"old": F.lit(0), "whole": F.lit(False), "compare": F.lit(False)})
+            fresh = self._write_run(rows)
+            self._drop()
+            self.runs, self.marks = [fresh], [marks]
+
+    def _drop(self) -> None:
+        for name, path in self.runs:
+            self.spark.sql(f"drop table if exists {name}")
+            delete(self.spark, path)
 
     def repeated_windows(self, corpus: DataFrame) -> DataFrame:
         """(doc_id, spans): for every document with repeats the window ranges [start, start + n) that also start earlier.
@@ -161,7 +208,7 @@ class FingerprintIndex:
         def windows(rows):
             for batch in batches(rows, 1024):
                 ids, spans = batch.column(0).to_pylist(), batch.column(2).to_pylist()
-                for a, b, words, bounds in word_hashes(batch.column(1).to_pylist()):
+                for a, b, words, others, bounds in word_hashes(batch.column(1).to_pylist(), keys=BOTH):
                     doc, at = [], []
                     for k in range(a, b):
                         lo, hi = int(bounds[k - a]), int(bounds[k - a + 1])
@@ -173,13 +220,24 @@ class FingerprintIndex:
                     if not at:
                         continue
                     begin, doc = np.concatenate(at), np.concatenate(doc)
+                    if not len(begin):
+                        continue
                     one = mix(span_sums(words, begin, begin + width))
-                    two = mix(span_sums(mix(words ^ np.uint64(0x5851F42D4C957F2D)), begin, begin + width))
+                    two = mix(span_sums(others, begin, begin + width, SECOND))
                     start = begin - bounds[np.searchsorted(bounds, begin, side="right") - 1]
-                    yield pa.RecordBatch.from_arrays([pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(doc), pa.array(start.astype(np.int32))], ["one", "two", "doc_id", "start"])
+                    # of equal windows of this block only the first is still in question
+                    order = np.lexsort((start, doc, two, one))
+                    same = np.append(False, (one[order][1:] == one[order][:-1]) & (two[order][1:] == two[order][:-1]))
+                    head = np.flatnonzero(~same)
+                    lead = order[np.repeat(head, np.diff(np.append(head, len(order))))]
+                    known = np.zeros(len(order), bool)
+                    known[order] = (doc[order] != doc[lead]) | (start[order] != start[lead])
+                    one = np.where(known, _spread(doc, start), one)
+                    yield pa.RecordBatch.from_arrays([pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(doc), pa.array(start.astype(np.int32)), pa.array(known)], ["one", "two", "doc_id", "start", "known"])
 
-        single = texts.mapInArrow(windows, "one long, two long, doc_id long, start int").withColumn("place", F.struct("doc_id", "start"))
-        later = single.withColumn("head", F.min("place").over(Window.partitionBy("one", "two"))).where("place > head")
+        single = texts.mapInArrow(windows, "one long, two long, doc_id long, start int, known boolean").withColumn("place", F.struct("doc_id", "start"))
+        head = F.min(F.when(~F.col("known"), F.col("place"))).over(Window.partitionBy("one", "two"))
+        later = single.withColumn("head", head).where("known or place > head")
         spans = marks.where("whole").select("doc_id", "start", "n").unionByName(later.select("doc_id", "start", F.lit(1).alias("n")))
         return spans.groupBy("doc_id").agg(F.collect_list(F.struct("start", "n")).alias("spans"))
 
@@ -221,7 +279,9 @@ def remove_repeats(corpus: DataFrame, repeated: DataFrame, width: int = 20, text
 def dedup_substrings(docs: DataFrame, width: int = 20, shares: tuple[float, ...] = (0.1, 0.2), texts: bool = False) -> DataFrame:
     """Remove repeated windows from a whole corpus, added to the index in batches cut at the given shares of the doc_ids.
 
-    Returns one row per row with a doc_id.  Null and empty texts and texts of fewer than ``width`` words lose nothing.
+    Returns one row per row with a doc_id; an empty table gives none.  Null and empty texts and texts of fewer than
+    ``width`` words lose nothing.  Rows that repeat a doc_id don't remove each other's words.  Very long texts are
+    hashed piece by piece, whole.  Extra columns play no part.
     """
     spark = docs.sparkSession
     docs = documents_only(docs)
