@@ -47,3 +47,13 @@ class Native:
 
     def functions(self, base: Column) -> list[Column]:
         return [F.xxhash64(base, F.lit(k)) for k in range(self.m)]
+
+
+@dataclass(frozen=True)
+class Vector:
+    """The range of the 63-bit functions that ``vector_signatures`` evaluates by numpy."""
+
+    m: int = 256
+    seed: int = 1
+    low: int = 0
+    span: int = 2**63

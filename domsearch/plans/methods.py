@@ -2,45 +2,61 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from functools import cached_property, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import convert, fpmodel, minhash, scores, tuning
-from ..functions.hashing import Portable
+from ..functions.hashing import Portable, Vector
 from ..operators import accuracy, extract, lsh, padded, partition, search, spci, stats
 from ..sources.tables import table
+from ..store import materialise
 from . import sqltext as q
-from .registry import query, sampled
+from .registry import query
 
-M, K, N = 64, 50, 8  # oracle settings; the engine's defaults are 256 functions and 32 partitions
+M, N = 64, 8  # oracle settings; the engine's defaults are 256 functions and 32 partitions
 T = 0.5
 STEPS = [k / 20 for k in range(1, 21)]
 FEW = [0.1, 0.3, 0.5, 0.7, 0.9]
 
 
 class Corpus:
-    """Entries, sizes, sample and signatures of one corpus, declared once."""
+    """Entries, sizes, queries and signatures of one corpus, each written once when first needed.
 
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "slices", k: int | None = K, m: int = M):
-        self.spark, self.k, self.family = spark, k, Portable(m)
-        self.all = extract.CORPORA[name](spark, sf_dir)
-        self.sizes = extract.sizes(self.all)
-        self.entries = self.all.join(self.sizes.select("domain_id"), "domain_id", "left_semi")
-        self.hist = stats.histogram(self.sizes)
+    Queries are the domains whose portable hash is divisible by 20, or the first k by md5.
+    """
+
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "slices", k: int | None = None, m: int = M):
+        self.spark, self.sf_dir, self.name, self.k, self.family = spark, sf_dir, name, k, Portable(m)
+
+    @cached_property
+    def all(self) -> DataFrame:
+        return materialise(extract.CORPORA[self.name](self.spark, self.sf_dir), "entries")
+
+    @cached_property
+    def sizes(self) -> DataFrame:
+        return materialise(extract.sizes(self.all), "sizes")
 
     @property
-    def queries(self) -> DataFrame:
-        return search.query_sample(self.sizes, self.k)
+    def entries(self) -> DataFrame:
+        return self.all.join(self.sizes.select("domain_id"), "domain_id", "left_semi")
 
     @property
+    def hist(self) -> DataFrame:
+        return stats.histogram(self.sizes)
+
+    @cached_property
+    def queries(self) -> DataFrame:
+        return materialise(search.query_sample(self.sizes, self.k), "queries")
+
+    @cached_property
     def pairs(self) -> DataFrame:
-        return search.overlaps(self.entries, self.sizes, self.queries)
+        return materialise(search.overlaps(self.entries, self.sizes, self.queries), "pairs")
 
-    @property
+    @cached_property
     def signed(self) -> DataFrame:
-        return minhash.signatures(self.all, self.family).where(F.col("size") >= extract.MIN_SIZE)
+        return materialise(minhash.signatures(self.all, self.family).where(F.col("size") >= extract.MIN_SIZE), "signed")
 
     def index(self, n: int = N, **options) -> spci.Index:
         return spci.build(self.signed, n, self.family.m, **options)
@@ -63,8 +79,8 @@ def rounded(*names: str) -> list:
 
 
 SKETCH = q.sketches("slices", M)
-INDEX = [*SKETCH, *q.index(N), *q.sample(K)]
-TRUTH = [*q.sketches("slices", M)[:3], *q.sample(K), *q.truth()]
+INDEX = [*SKETCH, *q.index(N), *q.sample()]
+TRUTH = [*q.sketches("slices", M)[:3], *q.sample(), *q.truth()]
 
 # --- extraction and sizes -------------------------------------------------------------------------------------------
 
@@ -93,15 +109,15 @@ def domain_sizes(spark, sf_dir):
     return extract.sizes(extract.slice_entries(spark, sf_dir))
 
 
-@sampled("query_sample", q.sql([*SKETCH[:2], *q.sample(K)], "select query_id, q from qs"), k=None)
-def sampled_queries(spark, sf_dir, k=K):
+@query("query_sample", q.sql([*SKETCH[:2], *q.sample()], "select query_id, q from qs"))
+def sampled_queries(spark, sf_dir, k=None):
     return Corpus(spark, sf_dir, k=k).queries
 
 
 # --- scores and exact search ----------------------------------------------------------------------------------------
 def _scored(name: str, column, sql: str):
-    @sampled(name, q.sql(TRUTH, f"select query_id, domain_id, {sql} from pairs"), k=None)
-    def run(spark, sf_dir, k=K):
+    @query(name, q.sql(TRUTH, f"select query_id, domain_id, {sql} from pairs"))
+    def run(spark, sf_dir, k=None):
         return Corpus(spark, sf_dir, k=k).pairs.select("query_id", "domain_id", *column())
 
 
@@ -126,36 +142,36 @@ def worked_example(spark, sf_dir=None):
     return pairs.select("domain_id", F.round(scores.containment(o_(), q_()), 6).alias("t"), F.round(scores.jaccard(o_(), q_(), x_()), 6).alias("s"))
 
 
-@sampled("exact_containment_search", q.sql(TRUTH, f"select query_id, domain_id, round(overlap / q, 6) t from pairs where overlap / q >= {T}"), k=None)
-def exact_containment_search(spark, sf_dir, k=K):
+@query("exact_containment_search", q.sql(TRUTH, f"select query_id, domain_id, round(overlap / q, 6) t from pairs where overlap / q >= {T}"))
+def exact_containment_search(spark, sf_dir, k=None):
     return search.exact(Corpus(spark, sf_dir, k=k).pairs, T).select("query_id", "domain_id", F.round("t", 6).alias("t"))
 
 
-@sampled("exact_jaccard_search", q.sql(TRUTH, "select query_id, domain_id, round(overlap / (q + x - overlap), 6) s from pairs where overlap / (q + x - overlap) >= 0.3"), k=None)
-def exact_jaccard_search(spark, sf_dir, k=K):
+@query("exact_jaccard_search", q.sql(TRUTH, "select query_id, domain_id, round(overlap / (q + x - overlap), 6) s from pairs where overlap / (q + x - overlap) >= 0.3"))
+def exact_jaccard_search(spark, sf_dir, k=None):
     return search.exact_jaccard(Corpus(spark, sf_dir, k=k).pairs, 0.3).select("query_id", "domain_id", F.round("s", 6).alias("s"))
 
 
-@sampled("exact_topk", q.sql(TRUTH, "select query_id, domain_id, round(overlap / q, 6) t, cast(row_number() over (partition by query_id order by overlap / q desc, domain_id) as integer) rank from pairs qualify row_number() over (partition by query_id order by overlap / q desc, domain_id) <= 5"), k=None)
-def exact_topk(spark, sf_dir, k=K):
+@query("exact_topk", q.sql(TRUTH, "select query_id, domain_id, round(overlap / q, 6) t, cast(row_number() over (partition by query_id order by overlap / q desc, domain_id) as integer) rank from pairs qualify row_number() over (partition by query_id order by overlap / q desc, domain_id) <= 5"))
+def exact_topk(spark, sf_dir, k=None):
     return search.exact_topk(Corpus(spark, sf_dir, k=k).pairs, 5).select("query_id", "domain_id", F.round("t", 6).alias("t"), "rank")
 
 
-@sampled("joinable_datasets", q.sql(TRUTH, "select query_id, dataset, arg_max(domain_id, (t, overlap, domain_id)) domain_id, round(max(t), 6) t from (select *, split_part(domain_id, ':', 1) dataset, overlap / q t from pairs) where t >= 0.5 group by 1, 2"), k=None)
-def joinable_datasets(spark, sf_dir, k=K):
+@query("joinable_datasets", q.sql(TRUTH, "select query_id, dataset, arg_max(domain_id, (t, overlap, domain_id)) domain_id, round(max(t), 6) t from (select *, split_part(domain_id, ':', 1) dataset, overlap / q t from pairs) where t >= 0.5 group by 1, 2"))
+def joinable_datasets(spark, sf_dir, k=None):
     return search.joinable_datasets(Corpus(spark, sf_dir, k=k).pairs, lambda c: F.split_part(c, F.lit(":"), F.lit(1)), T)
 
 
-@sampled("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T})"), k=None)
-def ideal_filter(spark, sf_dir, k=K):
+@query("ideal_filter", q.sql([*INDEX, *q.truth()], f"select query_id, domain_id, part_id, overlap / q >= {T} as is_answer from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T})"))
+def ideal_filter(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
     assigned = partition.assign(c.sizes, partition.equi_depth(c.hist, N))
     rows = search.ideal_filter(c.pairs, assigned, T)
     return rows.select("query_id", "domain_id", "part_id", (scores.containment(o_(), q_()) >= T).alias("is_answer"))
 
 
-@sampled("rank_disagreement", q.sql(TRUTH, "select query_id, count(*) n, cast(sum(case when rt <> rs then 1 else 0 end) as bigint) n_moved, max(abs(rt - rs)) most from (select query_id, row_number() over (partition by query_id order by overlap / q desc, domain_id) rt, row_number() over (partition by query_id order by overlap / (q + x - overlap) desc, domain_id) rs from pairs) group by 1"), k=None)
-def rank_disagreement(spark, sf_dir, k=K):
+@query("rank_disagreement", q.sql(TRUTH, "select query_id, count(*) n, cast(sum(case when rt <> rs then 1 else 0 end) as bigint) n_moved, max(abs(rt - rs)) most from (select query_id, row_number() over (partition by query_id order by overlap / q desc, domain_id) rt, row_number() over (partition by query_id order by overlap / (q + x - overlap) desc, domain_id) rs from pairs) group by 1"))
+def rank_disagreement(spark, sf_dir, k=None):
     from pyspark.sql import Window
 
     w = Window.partitionBy("query_id")
@@ -178,8 +194,8 @@ def convert_roundtrip(spark, sf_dir=None):
     return _grid(spark).select("x", "q", "t", F.round(s, 6).alias("s"), F.round(convert.containment_of(s, x_(), q_()), 6).alias("back"))
 
 
-@sampled("conservative_thresholds", q.sql([*SKETCH[:2], *q.index(N), *q.sample(K)], f"select query_id, part_id, round({T} / (size_max::double / q + 1 - {T}), 6) s_star from qs, meta"), k=None)
-def conservative_thresholds(spark, sf_dir, k=K):
+@query("conservative_thresholds", q.sql([*SKETCH[:2], *q.index(N), *q.sample()], f"select query_id, part_id, round({T} / (size_max::double / q + 1 - {T}), 6) s_star from qs, meta"))
+def conservative_thresholds(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
     meta = partition.equi_depth(c.hist, N)
     return c.queries.crossJoin(F.broadcast(meta)).select("query_id", "part_id", F.round(convert.conservative_threshold(F.lit(T), F.col("size_max"), q_()), 6).alias("s_star"))
@@ -369,25 +385,25 @@ def minhash_merge(spark, sf_dir):
     return merged.select("grain", F.array_join(F.transform("sig", lambda v: v.cast("string")), ",").alias("sig"))
 
 
-_SAME = [*INDEX, f"same as (select a.domain_id query_id, b.domain_id, count(*) filter (where a.v = b.v) / {M}.0::double s from (select * from sig where domain_id in (select query_id from qs)) a join (select * from sig where domain_id in (select query_id from qs)) b on a.i = b.i where a.domain_id < b.domain_id group by 1, 2)"]
+_SAME = [*INDEX, f"same as (select a.domain_id query_id, b.domain_id, count(*) filter (where a.v = b.v) / {M}.0::double s from (select * from sig where domain_id in (select query_id from qs)) a join sig b on a.i = b.i where a.domain_id <> b.domain_id group by 1, 2)"]
 
 
-def _sketch_pairs(spark, sf_dir, k=K) -> DataFrame:
+def _sketch_pairs(spark, sf_dir, k=None) -> DataFrame:
+    """Every query's sketch beside that of every other domain; the queries are broadcast when they are counted and few."""
     c = Corpus(spark, sf_dir, k=k)
-    own = c.signed.join(c.queries.select(F.col("query_id").alias("domain_id")), "domain_id")
-    a = own.select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"), F.col("sig").alias("a"))
-    # the SQL compares the sample with itself; without a sample, every query meets all other signed domains
-    held, unlike = (c.signed, F.col("query_id") != F.col("domain_id")) if k is None else (own, F.col("query_id") < F.col("domain_id"))
-    return a.join(held.select("domain_id", F.col("size").alias("x"), F.col("sig").alias("b")), unlike)
+    a = c.signed.join(c.queries.select(F.col("query_id").alias("domain_id")), "domain_id").select(F.col("domain_id").alias("query_id"), F.col("size").alias("q"), F.col("sig").alias("a"))
+    if c.queries.count() * M <= search.SMALL_ENTRIES:
+        a = F.broadcast(a)
+    return c.signed.select("domain_id", F.col("size").alias("x"), F.col("sig").alias("b")).join(a, F.col("query_id") != F.col("domain_id"))
 
 
-@sampled("jaccard_estimates", q.sql(_SAME, "select query_id, domain_id, round(s, 6) s from same"), k=None)
-def jaccard_estimates(spark, sf_dir, k=K):
+@query("jaccard_estimates", q.sql(_SAME, "select query_id, domain_id, round(s, 6) s from same"))
+def jaccard_estimates(spark, sf_dir, k=None):
     return _sketch_pairs(spark, sf_dir, k).select("query_id", "domain_id", F.round(minhash.estimate_jaccard(F.col("a"), F.col("b")), 6).alias("s"))
 
 
-@sampled("containment_estimates", q.sql(_SAME, "select query_id, same.domain_id, round(least(1.0, (d.size::double / q + 1) * s / (1 + s)), 6) t from same join qs using (query_id) join dom d on d.domain_id = same.domain_id"), k=None)
-def containment_estimates(spark, sf_dir, k=K):
+@query("containment_estimates", q.sql(_SAME, "select query_id, same.domain_id, round(least(1.0, (d.size::double / q + 1) * s / (1 + s)), 6) t from same join qs using (query_id) join dom d on d.domain_id = same.domain_id"))
+def containment_estimates(spark, sf_dir, k=None):
     return _sketch_pairs(spark, sf_dir, k).select("query_id", "domain_id", F.round(minhash.estimate_containment(F.col("a"), F.col("b"), x_(), q_()), 6).alias("t"))
 
 
@@ -396,8 +412,8 @@ def size_estimates(spark, sf_dir):
     return Corpus(spark, sf_dir).signed.select("domain_id", "size", F.round(minhash.estimate_size(F.col("sig")), 4).alias("estimate"))
 
 
-@sampled("estimator_error", q.sql([*INDEX, *q.truth()], f"select count(*) n, round(avg(abs(coalesce(e, 0) - overlap::double / (q + x - overlap))), 6) mean_error, round(avg(sqrt(overlap::double / (q + x - overlap) * (1 - overlap::double / (q + x - overlap)) / {M})), 6) standard_error from pairs left join (select a.domain_id query_id, b.domain_id, count(*) / {M}.0::double e from sig a join sig b on a.i = b.i and a.v = b.v where a.domain_id in (select query_id from qs) group by 1, 2) using (query_id, domain_id)"), k=None)
-def estimator_error(spark, sf_dir, k=K):
+@query("estimator_error", q.sql([*INDEX, *q.truth()], f"select count(*) n, round(avg(abs(coalesce(e, 0) - overlap::double / (q + x - overlap))), 6) mean_error, round(avg(sqrt(overlap::double / (q + x - overlap) * (1 - overlap::double / (q + x - overlap)) / {M})), 6) standard_error from pairs left join (select a.domain_id query_id, b.domain_id, count(*) / {M}.0::double e from sig a join sig b on a.i = b.i and a.v = b.v where a.domain_id in (select query_id from qs) group by 1, 2) using (query_id, domain_id)"))
+def estimator_error(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
     signed = c.signed.select("domain_id", "sig")
     asked = signed.join(c.queries.select(F.col("query_id").alias("domain_id")), "domain_id").select(F.col("domain_id").alias("query_id"), F.col("sig").alias("q_sig"))
@@ -415,66 +431,111 @@ def band_keys(spark, sf_dir):
 _STATIC = [*INDEX, "bands as materialized (select domain_id, i // 4 band, string_agg(cast(v as varchar), '-' order by i) bucket from sig where i < 64 group by 1, 2)"]
 
 
-@sampled("lsh_static", q.sql(_STATIC, "select distinct query_id, b.domain_id from qs join bands a on a.domain_id = query_id join bands b on a.band = b.band and a.bucket = b.bucket"), k=None)
-def lsh_static(spark, sf_dir, k=K):
+@query("lsh_static", q.sql(_STATIC, "select distinct query_id, b.domain_id from qs join bands a on a.domain_id = query_id join bands b on a.band = b.band and a.bucket = b.bucket"))
+def lsh_static(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
     return lsh.search_static(c.signed, c.queries, 16, 4, native=False)
 
 
-def _search_sql(n: int, thresholds: list[float], prune: bool = True, select: str = "select query_id, t_star, domain_id from found", extra: list[str] | None = None, k: int = K) -> str:
-    return q.sql([*SKETCH, *q.index(n), *q.sample(k), *q.candidates(M, thresholds, prune), *(extra or [])], select)
+def _search_sql(n: int, thresholds: list[float], prune: bool = True, select: str = "select query_id, t_star, domain_id from found", extra: list[str] | None = None, k: int | None = None, layout="free") -> str:
+    return q.sql([*SKETCH, *q.index(n), *q.sample(k), *q.candidates(M, thresholds, prune, layout), *(extra or [])], select)
 
 
-def _searched(name: str, n: int, thresholds: list[float], prune: bool = True):
-    @sampled(name, _search_sql(n, thresholds, prune), k=None)
-    def run(spark, sf_dir, k=K):
+def _searched(name: str, n: int, thresholds: list[float], prune: bool = True, stored: bool = False, layout="free"):
+    @query(name, _search_sql(n, thresholds, prune, layout=layout))
+    def run(spark, sf_dir, k=None):
         c = Corpus(spark, sf_dir, k=k)
-        return spci.search(c.index(n), c.queries, thresholds, prune)
+        index = c.index(n, layout=layout)
+        return spci.search(spci.stored(index, thresholds) if stored else index, c.queries, thresholds, prune)
 
 
-_searched("spci_search", N, [T])
+_searched("spci_search", N, [T], stored=True)
 _searched("lsh_dynamic", N, [0.3, 0.5, 0.8], False)
-_searched("containment_search_single", 1, [T])
+_searched("containment_search_single", 1, [T], stored=True)
 _searched("baseline_minhash_lsh", 1, FEW)
 _searched("size_pruned_search", 32, [0.8])
+_searched("spci_forest", N, FEW, stored=True, layout=(16, 4))
 for _n in (8, 16, 32):
-    _searched(f"spci_n{_n}", _n, [0.3, 0.7])
+    _searched(f"spci_n{_n}", _n, [0.3, 0.7], stored=True)
 
 
 @query("single_query", _search_sql(N, [T], k=1))
 def single_query(spark, sf_dir):
     c = Corpus(spark, sf_dir, k=1)
-    return spci.search(c.index(), c.queries, [T])
+    return spci.search(spci.stored(c.index(), [T]), c.queries, [T])
+
+
+@query("sql_search_domains", _search_sql(N, [T], select="select domain_id from found", k=1))
+def sql_search_domains(spark, sf_dir):
+    """The search as a table function of SQL."""
+    c = Corpus(spark, sf_dir, k=1)
+    spci.register_search(spci.stored(c.index(), [T]), [T])
+    return spark.sql("select domain_id from search_domains(:asked, :t)", args={"asked": c.queries.first()["query_id"], "t": T})
 
 
-@sampled("spci_refined", _search_sql(N, [T], select=f"select query_id, t_star, domain_id from found join pairs using (query_id, domain_id) where overlap / q >= {T}", extra=q.truth()), k=None)
-def spci_refined(spark, sf_dir, k=K):
+# queries from outside: the domains that are asked for are held out of the index
+_OUTSIDE = [*SKETCH[:2], *SKETCH[2:], *q.sample(), f"indexed as (select * from dom where not ({q.ASKED}))", *(x.replace("from dom ", "from indexed ") for x in q.index(N))]
+_ESTIMATED = f"cast(greatest(1, round({M} / sum(v / 2147483647.0::double) - 1)) as bigint)"
+
+
+def _outside(spark, sf_dir) -> tuple[Corpus, spci.Index, DataFrame]:
+    c = Corpus(spark, sf_dir)
+    index = spci.stored(spci.build(c.signed.where(~search.is_asked("domain_id")), N, M), [0.3, T])
+    held_out = c.entries.where(search.is_asked("domain_id"))
+    return c, index, spci.sketched(held_out.withColumnRenamed("domain_id", "query_id"), c.family)
+
+
+@query("external_query_search", q.sql([*_OUTSIDE, *q.candidates(M, [0.3, T])], "select query_id, t_star, domain_id from found"))
+def external_query_search(spark, sf_dir):
+    """Sets that are not indexed, given by their values."""
+    _, index, asked = _outside(spark, sf_dir)
+    return spci.search(index, asked, [0.3, T])
+
+
+@query("external_query_estimated", q.sql([*[x.replace("qs as (", "known as (") for x in _OUTSIDE], f"qs as (select domain_id query_id, {_ESTIMATED} q from sig where domain_id in (select query_id from known) group by 1)", *q.candidates(M, [0.3, T])], "select query_id, t_star, domain_id from found"))
+def external_query_estimated(spark, sf_dir):
+    """The same sets given by their signatures alone: their sizes are estimated."""
+    _, index, asked = _outside(spark, sf_dir)
+    return spci.search(index, asked.select("query_id", "sig"), [0.3, T])
+
+
+@query("spci_refined", _search_sql(N, [T], select=f"select query_id, t_star, domain_id from found join pairs using (query_id, domain_id) where overlap / q >= {T}", extra=q.truth()))
+def spci_refined(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
     return spci.search(c.index(), c.queries, [T], refine="exact", entries=c.entries)
 
 
-@query("spci_refined_estimate")
+_REFINED = [f"est as (select p.query_id, b.domain_id, count(*) filter (where a.v = b.v) / {M}.0::double s from (select distinct query_id, domain_id from found) p join sig a on a.domain_id = p.query_id join sig b on b.domain_id = p.domain_id and b.i = a.i group by 1, 2)"]
+
+
+@query("spci_refined_estimate", _search_sql(N, [T], select="select query_id, t_star, domain_id from found join est using (query_id, domain_id) join qs using (query_id) join dom using (domain_id) where (size::double / q + 1) * s / (1 + s) >= t_star", extra=_REFINED))
 def spci_refined_estimate(spark, sf_dir):
-    c = Corpus(spark, sf_dir, k=None)
+    c = Corpus(spark, sf_dir)
     return spci.search(c.index(), c.queries, [T], refine="estimate")
 
 
-@sampled("sharded_search", _search_sql(N, [T]), k=None)
-def sharded_search(spark, sf_dir, k=K):
-    c = Corpus(spark, sf_dir, k=k)
-    return spci.search_shards(c.index(), c.queries, [T], 5).drop("shard_id")
+def _shards_sql(shards: int = 5, n: int = N) -> str:
+    """Every shard cut into partitions by its own sizes; part_id counts on over the shards."""
+    ctes = [*SKETCH, *q.sample(), f"spread as (select domain_id, size, cast('0x' || substr(md5(domain_id), 1, 15) as bigint) % {shards} shard from dom)"]
+    ctes.append("hist as (select shard, size, n_domains, coalesce(sum(n_domains) over (partition by shard order by size rows between unbounded preceding and 1 preceding), 0) cum_before from (select shard, size, count(*) n_domains from spread group by 1, 2))")
+    ctes.append(f"placed as (select shard, size, n_domains, cast(shard * 1000 + least({n} - 1, ({n} * cum_before) // sum(n_domains) over (partition by shard)) as integer) part_id from hist)")
+    ctes.append("meta as (select part_id, max(size) size_max from placed group by 1)")
+    ctes.append("idx as (select domain_id, spread.size, part_id from spread join placed on spread.shard = placed.shard and spread.size = placed.size)")
+    return q.sql([*ctes, *q.candidates(M, [T])], f"select query_id, t_star, domain_id, cast('0x' || substr(md5(domain_id), 1, 15) as bigint) % {shards} shard_id from found")
 
 
-@sampled("selectivity", _search_sql(N, FEW, select="select t_star, count(*) n_candidates, round(count(*) / 50.0, 6) per_query from found group by 1"), k=None)
-def selectivity(spark, sf_dir, k=K):
+@query("sharded_search", _shards_sql())
+def sharded_search(spark, sf_dir, k=None):
     c = Corpus(spark, sf_dir, k=k)
-    return spci.search(c.index(), c.queries, FEW).groupBy("t_star").agg(F.count("*").alias("n_candidates"), F.round(F.count("*") / F.lit(float(c.queries.count() if k is None else k)), 6).alias("per_query"))
+    own = c.signed.join(c.queries, F.col("domain_id") == F.col("query_id")).select("query_id", "q", "sig")
+    shards = spci.build_shards(c.signed, 5, N, M)
+    return spci.search_shards(shards, materialise(own, "asked"), [T]).withColumn("shard_id", F.col("shard_id").cast("long"))
 
 
-@query("spci_forest")
-def spci_forest(spark, sf_dir):
-    c = Corpus(spark, sf_dir, k=None)
-    return spci.search(c.index(layout=(16, 4)), c.queries, FEW)
+@query("selectivity", _search_sql(N, FEW, select="select t_star, count(*) n_candidates, round(count(*) / (select count(*) from qs)::double, 6) per_query from found group by 1"))
+def selectivity(spark, sf_dir, k=None):
+    c = Corpus(spark, sf_dir, k=k)
+    return spci.search(c.index(), c.queries, FEW).groupBy("t_star").agg(F.count("*").alias("n_candidates"), F.round(F.count("*") / F.lit(float(c.queries.count())), 6).alias("per_query"))
 
 
 @query("spci_native")
@@ -486,37 +547,17 @@ def spci_native(spark, sf_dir):
     return spci.search(spci.build(signed, 32, 256, native=True), c.queries, [T])
 
 
-_SUPP = "domain_id like 'part_by_supp:%'"
-_PADDED = [
-    *q.sketches("slices", M, keep=_SUPP)[:3], "most as (select max(size) m from dom)",
-    "wide as (select domain_id, value from ent union all select domain_id, 'pad:' || domain_id || ':' || i from (select domain_id, unnest(range(size + 1, m + 1)) i from dom, most))",
-    *(x.replace("from ent)", "from wide)") for x in q.sketches("slices", M)[3:4]), *q.sketches("slices", M)[4:],
-    "hashed_own as (select domain_id, cast('0x' || substr(md5(value), 1, 15) as bigint) % 2147483647 h from ent)", "own_sig as materialized (select domain_id, i, min((a * h + b) % 2147483647) v from hashed_own, fam group by 1, 2)",
-    *q.sample(20), "ids as (select query_id, q, b, r from qs, most join tun0 on true)",
-]
-
-
-def _padded_sql() -> str:
-    rows = ", ".join(f"({k}, {t!r}::double, {b}, {r})" for k, _, t, b, r, _, _ in tuning.precompute(M, [T]))
-    ctes = [x for x in _PADDED if not x.startswith("ids")]
-    ctes += [f"tun(ratio_bin, t_star, b, r) as (values {rows})", f"plan as (select query_id, q, t_star, b, r from (select query_id, q, {q.ratio_bin('m', 'q')} ratio_bin from qs, most) join tun using (ratio_bin))"]
-    ctes += [f"{n} as (select domain_id, r, i // r band, string_agg(cast(v as varchar), '-' order by i) bucket from {s} join (select r, max(b) most from plan group by 1) on i < most * r group by 1, 2, 3)" for n, s in (("held", "sig"), ("asked", "own_sig"))]
-    return q.sql(ctes, "select distinct query_id, t_star, h.domain_id from plan p join asked a on a.domain_id = p.query_id and a.r = p.r and a.band < p.b join held h on h.r = p.r and h.band = a.band and h.bucket = a.bucket")
-
-
 def _search_padded(index: spci.Index, own: DataFrame, queries: DataFrame, thresholds: list[float]) -> DataFrame:
     plan = spci.make_plan(index, queries, thresholds).join(own.select(F.col("domain_id").alias("query_id"), F.col("own").alias("sig")), "query_id")
-    return lsh.probe(index.signatures, plan, index.native)
+    return spci.probe(index, plan).drop("part_id")
 
 
-@sampled("padded_minhash", _padded_sql(), keep="true", k=None)
-def padded_minhash(spark, sf_dir, keep=_SUPP, k=20):
-    c = Corpus(spark, sf_dir)
-    entries = c.all.where(keep)
-    sizes = extract.sizes(entries)
-    signed = padded.literal(entries.join(sizes.select("domain_id"), "domain_id", "left_semi"), sizes, c.family)
-    index = spci.build(signed, 1, M)
-    return _search_padded(index, signed, search.query_sample(sizes, k), [T])
+@query("padded_minhash")
+def padded_minhash(spark, sf_dir, m: int = 16):
+    """Literal padding hashes M - x fresh values for each domain, so it is meant for small collections and few functions."""
+    c = Corpus(spark, sf_dir, m=m)
+    signed = materialise(padded.literal(c.entries, c.sizes, c.family), "padded")
+    return _search_padded(spci.build(signed, 1, m), signed, c.queries, [T])
 
 
 def _padded_index(c: Corpus, n: int) -> tuple[spci.Index, DataFrame]:
@@ -547,8 +588,8 @@ def padded_partitioned(spark, sf_dir):
 def spci_vector(spark, sf_dir):
     """Production sketches: 256 functions evaluated by numpy, 32 partitions."""
     c = Corpus(spark, sf_dir, k=None)
-    signed = minhash.vector_signatures(c.all, 256).where(F.col("size") >= extract.MIN_SIZE)
-    return spci.search(spci.build(signed, 32, 256, native=True), c.queries, [T])
+    signed = materialise(minhash.vector_signatures(c.all, 256).where(F.col("size") >= extract.MIN_SIZE), "signed")
+    return spci.search(spci.stored(spci.build(signed, 32, 256, native=True, family=Vector(256)), [T]), c.queries, [T])
 
 
 # --- maintenance and footprint --------------------------------------------------------------------------------------
@@ -561,7 +602,7 @@ _INSERT = [*SKETCH[:2], "old as (select * from dom where {0})".format(_HALF), *(
 def _inserted(spark, sf_dir) -> spci.Index:
     c = Corpus(spark, sf_dir, m=8)
     early = F.conv(F.substring(F.md5("domain_id"), 1, 4), 16, 10).cast("bigint") % 10 < 6
-    index = spci.build(c.signed.where(early), N, 8)
+    index = spci.stored(spci.build(c.signed.where(early), N, 8), [T])
     return spci.insert(index, c.signed.where(~early))
 
 
@@ -575,10 +616,18 @@ def partition_drift(spark, sf_dir):
     return stats.partition_stddev(_inserted(spark, sf_dir).meta)
 
 
+@query("index_rebuild", q.sql(_PARTS, "select part_id, size_lo, size_hi_excl, size_max, n_domains from meta"))
+def index_rebuild(spark, sf_dir):
+    """After an insert, partitions made anew are those of an index built at once."""
+    return spci.rebuild(_inserted(spark, sf_dir), N).meta.select("part_id", "size_lo", "size_hi_excl", "size_max", "n_domains")
+
+
 @query("index_footprint")
 def index_footprint(spark, sf_dir):
-    signed = Corpus(spark, sf_dir).signed
-    return signed.agg(F.count("*").alias("n_domains"), F.sum(8 * F.size("sig")).alias("signature_bytes"), F.sum("size").alias("n_entries"))
+    """Bytes on disk of a stored index, and for each domain: signatures don't grow with the sets."""
+    c = Corpus(spark, sf_dir)
+    n = c.signed.count()
+    return spci.footprint(spci.stored(c.index(), [T])).withColumn("bytes_per_domain", F.round(F.col("bytes") / F.lit(float(max(n, 1))), 2))
 
 
 # --- accuracy -------------------------------------------------------------------------------------------------------
@@ -593,41 +642,58 @@ def _accuracy(c: Corpus, answers: DataFrame, thresholds: list[float], detail: bo
     return rows if detail else accuracy.summary(rows)
 
 
-def _measured(spark, sf_dir, k=K) -> DataFrame:
+def _measured(spark, sf_dir, k=None) -> DataFrame:
     c = Corpus(spark, sf_dir, k=k)
     return _accuracy(c, spci.search(c.index(), c.queries, FEW).withColumn("index_id", F.lit("n8")), FEW, True)
 
 
 _ACC = [*q.truth(), f"keys as (select unnest([{', '.join(f'{t!r}::double' for t in FEW)}]) t_star)", "right_ as (select query_id, t_star, domain_id from pairs, keys where overlap / q >= t_star)",
         "per as (select query_id, t_star, count(*) filter (where a = 1) n_answer, count(*) filter (where b = 1) n_truth, count(*) filter (where a = 1 and b = 1) n_hit from (select query_id, t_star, domain_id, max(a) a, max(b) b from (select query_id, t_star, domain_id, 1 a, 0 b from found union all select query_id, t_star, domain_id, 0, 1 from right_) group by 1, 2, 3) group by 1, 2)",
-        "mean as (select t_star, coalesce(avg(n_hit / n_answer) filter (where n_answer > 0), 1.0) p, avg(n_hit / n_truth) filter (where n_truth > 0) r, avg(case when n_answer = 0 then 1.0 else 0.0 end) e from per group by 1)"]
+        "mean as (select t_star, coalesce(avg(n_hit / n_answer) filter (where n_answer > 0), 1.0) p, avg(n_hit / n_truth) filter (where n_truth > 0) r, avg(case when n_answer = 0 then 1.0 else 0.0 end) e, avg(case when pq + rq > 0 then 2 * pq * rq / (pq + rq) when rq is not null then 0.0 end) mf1, avg(case when pq + rq > 0 then 1.25 * pq * rq / (0.25 * pq + rq) when rq is not null then 0.0 end) mf05 from (select *, case when n_answer = 0 then 1.0 else n_hit / n_answer end pq, case when n_truth > 0 then n_hit / n_truth end rq from per) group by 1)"]
 
 
 def _acc_sql(select: str) -> str:
     return _search_sql(N, FEW, select=select, extra=_ACC)
 
 
-@sampled("accuracy_precision", _acc_sql("select query_id, t_star, n_answer, round(case when n_answer = 0 then 1.0 else n_hit / n_answer end, 6) as precision from per"), k=None)
-def accuracy_precision(spark, sf_dir, k=K):
+@query("accuracy_precision", _acc_sql("select query_id, t_star, n_answer, round(case when n_answer = 0 then 1.0 else n_hit / n_answer end, 6) as precision from per"))
+def accuracy_precision(spark, sf_dir, k=None):
     return _measured(spark, sf_dir, k).select("query_id", "t_star", "n_answer", *rounded("precision"))
 
 
-@sampled("accuracy_recall", _acc_sql("select query_id, t_star, n_truth, round(n_hit / n_truth, 6) recall from per where n_truth > 0"), k=None)
-def accuracy_recall(spark, sf_dir, k=K):
+@query("accuracy_recall", _acc_sql("select query_id, t_star, n_truth, round(n_hit / n_truth, 6) recall from per where n_truth > 0"))
+def accuracy_recall(spark, sf_dir, k=None):
     return _measured(spark, sf_dir, k).where("n_truth > 0").select("query_id", "t_star", "n_truth", *rounded("recall"))
 
 
-@sampled("accuracy_fbeta", _acc_sql("select t_star, round(p, 6) as precision, round(r, 6) recall, round(2 * p * r / (p + r), 6) f1, round(1.25 * p * r / (0.25 * p + r), 6) f05 from mean"), k=None)
-def accuracy_fbeta(spark, sf_dir, k=K):
-    return accuracy.summary(_measured(spark, sf_dir, k)).select("t_star", "precision", "recall", "f1", "f05")
+@query("accuracy_fbeta", _acc_sql("select t_star, round(p, 6) as precision, round(r, 6) recall, round(2 * p * r / (p + r), 6) f1, round(1.25 * p * r / (0.25 * p + r), 6) f05, round(mf1, 6) mean_f1, round(mf05, 6) mean_f05 from mean"))
+def accuracy_fbeta(spark, sf_dir, k=None):
+    return accuracy.summary(_measured(spark, sf_dir, k)).select("t_star", "precision", "recall", "f1", "f05", "mean_f1", "mean_f05")
 
 
-@sampled("empty_answer_share", _acc_sql("select t_star, round(e, 6) empty_share from mean"), k=None)
-def empty_answer_share(spark, sf_dir, k=K):
+@query("empty_answer_share", _acc_sql("select t_star, round(e, 6) empty_share from mean"))
+def empty_answer_share(spark, sf_dir, k=None):
     return accuracy.summary(_measured(spark, sf_dir, k)).select("t_star", "empty_share")
 
 
-@sampled("fp_model_vs_observed", q.sql([*INDEX, *q.truth()], f"select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T}) group by 1"), k=None)
-def fp_model_vs_observed(spark, sf_dir, k=K):
-    rows = ideal_filter(spark, sf_dir, k)
-    return rows.groupBy("part_id").agg(F.count("*").alias("n_passed"), F.sum((~F.col("is_answer")).cast("long")).alias("n_false"))
+_OBSERVED = f"observed as (select part_id, count(*) n_passed, count(*) filter (where overlap / q < {T}) n_false from pairs join idx using (domain_id) join meta using (part_id) where overlap::double / (q + x - overlap) + 1e-12::double >= {T} / (size_max::double / q + 1 - {T}) group by 1)"
+_PREDICTED = "predicted as (select part_id, sum(h.n_domains * (size_hi_excl - h.size)::double / (size_hi_excl + q)) predicted, sum(h.n_domains) n_compared from qs, meta join hist h on h.size >= size_lo and h.size < size_hi_excl group by 1)"
+
+
+@query("fp_model_vs_observed", q.sql([*INDEX, *q.truth(), _OBSERVED, _PREDICTED], "select part_id, coalesce(n_passed, 0) n_passed, coalesce(n_false, 0) n_false, round(predicted, 4) predicted, cast(n_compared as bigint) n_compared from predicted left join observed using (part_id)"))
+def fp_model_vs_observed(spark, sf_dir, k=None):
+    """False positives of the ideal filter in every partition, summed over the queries, beside those that the model expects.
+
+    The model takes containment as uniform.  Most pairs share nothing, so it is an upper bound on such data.
+    """
+    c = Corpus(spark, sf_dir, k=k)
+    meta = partition.equi_depth(c.hist, N)
+    rows = search.ideal_filter(c.pairs, partition.assign(c.sizes, meta), T)
+    observed = rows.groupBy("part_id").agg(F.count("*").alias("n_passed"), F.sum((scores.containment(o_(), q_()) < T).cast("long")).alias("n_false"))
+    # sizes that occur x partitions x sizes of queries: all three come from histograms
+    asked = c.queries.groupBy("q").agg(F.count("*").alias("k"))
+    inside = c.hist.join(F.broadcast(meta.select("part_id", "size_lo", "size_hi_excl")), (F.col("size") >= F.col("size_lo")) & (F.col("size") < F.col("size_hi_excl")))
+    chance = fpmodel.p_false_positive(F.col("size"), F.col("size_hi_excl"), q_())
+    predicted = inside.crossJoin(asked).groupBy("part_id").agg(F.round(F.sum(F.col("k") * F.col("n_domains") * chance), 4).alias("predicted"), F.sum(F.col("k") * F.col("n_domains")).alias("n_compared"))
+    none = F.lit(0).cast("long")
+    return predicted.join(observed, "part_id", "left").select("part_id", F.coalesce("n_passed", none).alias("n_passed"), F.coalesce("n_false", none).alias("n_false"), "predicted", "n_compared")

@@ -19,17 +19,3 @@ def query(name: str, sql: str | None = None):
         return function
 
     return add
-
-
-def sampled(name: str, sql: str, **whole):
-    """Register a function twice: as its SQL asks, on a fixed sample, and as ``whole_<name>`` over all rows.
-
-    ``whole`` are the arguments that lift the sample.  Whole tables are too slow for the SQL, which stays with the sample.
-    """
-
-    def add(function):
-        query(name, sql)(function)
-        query(f"whole_{name}")(partial(function, **whole))
-        return function
-
-    return add

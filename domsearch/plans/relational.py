@@ -12,17 +12,16 @@ from ..operators import extract, partition, search, stats
 from ..sources import formats
 from ..sources.tables import register, table
 from . import sqltext as q
-from .registry import query, sampled
+from .registry import query
 
 r6 = lambda c, n: F.round(c, 6).alias(n)
 
 
-def on(name: str, sql: str | None, *tables: str, **whole):
-    """Register a query over named tables: the function gets them as DataFrames.  ``whole`` lifts the range of its SQL."""
+def on(name: str, sql: str | None, *tables: str):
+    """Register a query over named tables: the function gets them as DataFrames."""
 
     def add(function):
-        register_ = sampled(name, sql, **whole) if whole else query(name, sql)
-        register_(lambda spark, sf_dir, **options: function(*(table(spark, sf_dir, t) for t in tables), **options))
+        query(name, sql)(lambda spark, sf_dir: function(*(table(spark, sf_dir, t) for t in tables)))
         return function
 
     return add
@@ -37,7 +36,17 @@ for _fmt, _options in (("csv", {"header": "true"}), ("json", {}), ("orc", {}), (
 on("scan_text", "select count(*) n_lines, cast(sum(len(n_name)) as bigint) n_chars from nation", "nation")(lambda n: formats.roundtrip(n.select("n_name"), "text", "value string").agg(F.count("*").alias("n_lines"), F.sum(F.length("value")).alias("n_chars")))
 on("scan_inferred", "select c_custkey, c_mktsegment, round(c_acctbal, 2) c_acctbal from customer", "customer")(lambda c: formats.roundtrip(c, "csv", None, header="true").select(F.col("c_custkey").cast("long").alias("c_custkey"), "c_mktsegment", F.round("c_acctbal", 2).alias("c_acctbal")))
 on("pages_to_tokens", r"select page_id, count(distinct w) n_tokens from (select page_id, unnest(string_split_regex(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '\s+')) w from pages) where w <> '' group by 1", "pages")(lambda p: p.select("page_id", F.explode(F.split(F.lower(F.regexp_replace("html", "<[^>]*>", " ")), r"\s+")).alias("w")).where("w <> ''").groupBy("page_id").agg(F.countDistinct("w").alias("n_tokens")))
-query("source_domains", "select 'nested:' || k domain_id, (k + 1) * 10 n from range(4) t(k)")(lambda spark, sf_dir: formats.nested_domains(spark).groupBy("domain_id").agg(F.count("*").alias("n")))
+query("source_nested_domains", "select 'nested:' || k domain_id, (k + 1) * 10 n from range(4) t(k)")(lambda spark, sf_dir: formats.nested_domains(spark).groupBy("domain_id").agg(F.count("*").alias("n")))
+
+
+_FILES = ["region", "nation", "supplier", "customer", "part"]
+
+
+@query("source_domains", q.sql([f"ent as ({q.columns_of(_FILES)})"], "select domain_id, count(*) n_values, min(value) least, max(value) greatest from ent group by 1"))
+def source_domains(spark, sf_dir):
+    """Entries read file by file by a data source of our own."""
+    entries = formats.domain_files(spark, sf_dir, tuple(f"{n}.parquet" for n in _FILES)).distinct()
+    return entries.groupBy("domain_id").agg(F.count("*").alias("n_values"), F.min("value").alias("least"), F.max("value").alias("greatest"))
 
 
 @on("sink_roundtrip", "select n_regionkey, count(*) n from nation group by 1", "nation")
@@ -54,8 +63,8 @@ def sink_bucketed(o, c):
 
 
 # --- projection, filter ---------------------------------------------------------------------------------------------
-on("project_exprs", "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 6) revenue, case when l_quantity >= 25 then 'bulk' else 'single' end size_class, coalesce(nullif(l_returnflag, 'N'), '-') flag, try_cast(l_linestatus as integer) as_int from lineitem where l_orderkey < 500", "lineitem", where="true")(
-    lambda li, where="l_orderkey < 500": li.where(where).select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 6).alias("revenue"), F.when(F.col("l_quantity") >= 25, "bulk").otherwise("single").alias("size_class"), F.coalesce(F.nullif("l_returnflag", F.lit("N")), F.lit("-")).alias("flag"), F.col("l_linestatus").try_cast("int").alias("as_int"))
+on("project_exprs", "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 6) revenue, case when l_quantity >= 25 then 'bulk' else 'single' end size_class, coalesce(nullif(l_returnflag, 'N'), '-') flag, try_cast(l_linestatus as integer) as_int from lineitem", "lineitem")(
+    lambda li: li.select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 6).alias("revenue"), F.when(F.col("l_quantity") >= 25, "bulk").otherwise("single").alias("size_class"), F.coalesce(F.nullif("l_returnflag", F.lit("N")), F.lit("-")).alias("flag"), F.col("l_linestatus").try_cast("int").alias("as_int"))
 )
 on("filter_predicates", "select p_partkey from part where (p_size between 5 and 20 or p_brand in ('Brand#11', 'Brand#22')) and p_name like '%a%' and regexp_matches(p_type, '[A-Z]') and not p_retailprice is null", "part")(
     lambda p: p.where((F.col("p_size").between(5, 20) | F.col("p_brand").isin("Brand#11", "Brand#22")) & F.col("p_name").like("%a%") & F.col("p_type").rlike("[A-Z]") & F.col("p_retailprice").isNotNull()).select("p_partkey")
@@ -114,14 +123,14 @@ def join_asof(e):
     return both.withColumn("last", last).where("event_type = 'click'").select("event_id", F.col("last.event_id").alias("error_id"))
 
 
-@sampled("join_lateral", "select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2) where c_custkey < 300", where="true")
-def join_lateral(spark, sf_dir, where="c_custkey < 300"):
+@query("join_lateral", "select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2)")
+def join_lateral(spark, sf_dir):
     register(spark, sf_dir, ("customer", "orders"))
-    return spark.sql(f"select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2) where {where}")
+    return spark.sql("select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2)")
 
 
-@sampled("join_salted", q.sql([*q.sketches("slices", 1)[:3], *q.sample(20), *q.truth()], "select query_id, domain_id, overlap from pairs"), k=None)
-def join_salted(spark, sf_dir, k=20):
+@query("join_salted", q.sql([*q.sketches("slices", 1)[:3], *q.sample(), *q.truth()], "select query_id, domain_id, overlap from pairs"))
+def join_salted(spark, sf_dir, k=None):
     entries = extract.slice_entries(spark, sf_dir)
     sizes = extract.sizes(entries)
     live = entries.join(sizes.select("domain_id"), "domain_id", "left_semi")
@@ -193,13 +202,15 @@ on("fn_math", "select p_partkey, round(ln(p_size), 6) l, round(power(p_size, 0.5
     lambda p: p.select("p_partkey", r6(F.log("p_size"), "l"), r6(F.pow("p_size", F.lit(0.5)), "p"), r6(F.exp(F.col("p_size") / 100.0), "e"), F.floor("p_retailprice").alias("f"), F.pmod("p_size", F.lit(7)).alias("m"), F.greatest("p_size", F.lit(10)).alias("g"), F.col("p_size").bitwiseAND(6).alias("b"))
 )
 _TOK = r"list_distinct(string_split_regex(lower(text), '\s+'))"
-on("fn_array_sets", f"with t as (select item_id, {_TOK} w from benchmark where item_id < 20) select a.item_id a, b.item_id b, len(list_intersect(a.w, b.w)) n, round(len(list_intersect(a.w, b.w)) / len(a.w), 6) t from t a, t b where a.item_id <> b.item_id and len(list_intersect(a.w, b.w)) > 0", "benchmark", where="true")(lambda b, **options: _array_containment(b, **options))
+on("fn_array_sets", f"with t as (select item_id, {_TOK} w from benchmark) select a.item_id a, b.item_id b, len(list_intersect(a.w, b.w)) n, round(len(list_intersect(a.w, b.w)) / len(a.w), 6) t from t a, t b where a.item_id <> b.item_id and len(list_intersect(a.w, b.w)) > 0", "benchmark")(lambda b: _array_containment(b))
 
 
-def _array_containment(b, where="item_id < 20"):
-    """Containment by arrays, for small domains."""
-    t = b.where(where).select("item_id", F.array_distinct(F.split(F.lower("text"), r"\s+")).alias("w"))
-    both = t.select(F.col("item_id").alias("a"), F.col("w").alias("wa")).crossJoin(t.select(F.col("item_id").alias("b"), F.col("w").alias("wb"))).where("a <> b and arrays_overlap(wa, wb)")
+def _array_containment(b):
+    """Containment by arrays, for small domains; pairs are those that share a token."""
+    t = b.select("item_id", F.array_distinct(F.split(F.lower("text"), r"\s+")).alias("w"))
+    one, two = (t.select(F.col("item_id").alias(n), F.explode("w").alias("value")) for n in "ab")
+    pairs = one.join(two, "value").where("a <> b").select("a", "b").distinct()
+    both = pairs.join(t.select(F.col("item_id").alias("a"), F.col("w").alias("wa")), "a").join(t.select(F.col("item_id").alias("b"), F.col("w").alias("wb")), "b")
     n = F.size(F.array_intersect("wa", "wb"))
     return both.select("a", "b", n.cast("long").alias("n"), r6(n / F.size("wa"), "t"))
 
@@ -249,18 +260,17 @@ def udf_scalar_tuner(spark, sf_dir=None):
     return spark.range(len(tuning.RATIO_EDGES)).select(F.col("id").alias("ratio_bin"), shape("id").alias("shape"))
 
 
-_SUPP = "domain_id like 'part_by_supp:%'"
-_UDAF = q.sql(q.sketches("slices", 4, keep="domain_id like 'part_by_supp:%'"), "select domain_id, string_agg(cast(v as varchar), ',' order by i) sig from sig group by 1")
+_UDAF = q.sql(q.sketches("slices", 4), "select domain_id, string_agg(cast(v as varchar), ',' order by i) sig from sig group by 1")
 
 
-def _supplier_hashes(spark, sf_dir, keep=_SUPP):
-    entries = extract.slice_entries(spark, sf_dir).where(keep)
+def _hashes(spark, sf_dir):
+    entries = extract.slice_entries(spark, sf_dir)
     live = entries.join(extract.sizes(entries).select("domain_id"), "domain_id", "left_semi")
     return live.select("domain_id", Portable(4).base(F.col("value")).alias("h"))
 
 
-@sampled("udaf_minhash", _UDAF, keep="true")
-def udaf_minhash(spark, sf_dir, keep=_SUPP):
+@query("udaf_minhash", _UDAF)
+def udaf_minhash(spark, sf_dir):
     from ..functions.hashing import PRIME, coefficients
 
     pairs = coefficients(4)
@@ -269,11 +279,11 @@ def udaf_minhash(spark, sf_dir, keep=_SUPP):
     def signature(h: pd.Series) -> str:
         return ",".join(str(int(((a * h.astype("int64") + b) % PRIME).min())) for a, b in pairs)
 
-    return _supplier_hashes(spark, sf_dir, keep).groupBy("domain_id").agg(signature("h").alias("sig"))
+    return _hashes(spark, sf_dir).groupBy("domain_id").agg(signature("h").alias("sig"))
 
 
-@sampled("map_in_arrow_signatures", _UDAF, keep="true")
-def map_in_arrow_signatures(spark, sf_dir, keep=_SUPP):
+@query("map_in_arrow_signatures", _UDAF)
+def map_in_arrow_signatures(spark, sf_dir):
     """Partial signatures of every batch by numpy, then minima by Spark."""
     import numpy as np
     import pyarrow as pa
@@ -291,13 +301,13 @@ def map_in_arrow_signatures(spark, sf_dir, keep=_SUPP):
                 np.minimum.at(out[:, k], back, (a * h + b) % PRIME)
             yield pa.RecordBatch.from_arrays([pa.array(ids.tolist(), pa.string()), *(pa.array(out[:, k]) for k in range(len(pairs)))], ["domain_id", *(f"m{k}" for k in range(len(pairs)))])
 
-    parts = _supplier_hashes(spark, sf_dir, keep).mapInArrow(partial, "domain_id string, m0 long, m1 long, m2 long, m3 long")
+    parts = _hashes(spark, sf_dir).mapInArrow(partial, "domain_id string, m0 long, m1 long, m2 long, m3 long")
     mins = parts.groupBy("domain_id").agg(*(F.min(f"m{k}").cast("string").alias(f"m{k}") for k in range(4)))
     return mins.select("domain_id", F.concat_ws(",", "m0", "m1", "m2", "m3").alias("sig"))
 
 
-@sampled("udtf_band_keys", q.sql(q.sketches("slices", 4, keep="domain_id like 'part_by_supp:%'"), "select domain_id, cast(i // 2 as integer) band, string_agg(cast(v as varchar), '-' order by i) bucket from sig group by 1, 2"), keep="true")
-def udtf_band_keys(spark, sf_dir, keep=_SUPP):
+@query("udtf_band_keys", q.sql(q.sketches("slices", 4), "select domain_id, cast(i // 2 as integer) band, string_agg(cast(v as varchar), '-' order by i) bucket from sig group by 1, 2"))
+def udtf_band_keys(spark, sf_dir):
     @F.udtf(returnType="band int, bucket string")
     class BandKeys:
         def eval(self, sig: list, r: int):
@@ -305,15 +315,15 @@ def udtf_band_keys(spark, sf_dir, keep=_SUPP):
                 yield k, "-".join(str(v) for v in sig[k * r : (k + 1) * r])
 
     spark.udtf.register("band_keys", BandKeys)
-    entries = extract.slice_entries(spark, sf_dir).where(keep)
+    entries = extract.slice_entries(spark, sf_dir)
     minhash.signatures(entries, Portable(4)).where("size >= 10").createOrReplaceTempView("supplier_signatures")
     return spark.sql("select domain_id, band, bucket from supplier_signatures, lateral band_keys(sig, 2)")
 
 
-@sampled("cogroup_verify", q.sql([*q.sketches("slices", 1, keep="domain_id like 'part_by_supp:%'")[:3], *q.sample(5), *q.truth()], "select query_id, domain_id, overlap from pairs"), keep="true", k=None, slots=1024)
-def cogroup_verify(spark, sf_dir, keep=_SUPP, k=5, slots=16):
+@query("cogroup_verify", q.sql([*q.sketches("slices", 1)[:3], *q.sample(), *q.truth()], "select query_id, domain_id, overlap from pairs"))
+def cogroup_verify(spark, sf_dir, k=None, slots=1024):
     """Overlaps by cogrouped value ranges; partial counts are summed by Spark."""
-    entries = extract.slice_entries(spark, sf_dir).where(keep)
+    entries = extract.slice_entries(spark, sf_dir)
     sizes = extract.sizes(entries)
     live = entries.join(sizes.select("domain_id"), "domain_id", "left_semi").withColumn("slot", F.pmod(F.xxhash64("value"), F.lit(slots)))
     asked = live.join(search.query_sample(sizes, k), F.col("domain_id") == F.col("query_id")).select("query_id", F.col("value").alias("asked"), F.col("slot").alias("at"))

@@ -17,9 +17,9 @@ COLUMNS = {
 }
 
 
-def _columns() -> str:
+def _columns(tables=COLUMN_TABLES) -> str:
     parts = []
-    for name in COLUMN_TABLES:
+    for name in tables:
         for c in COLUMNS[name].split():
             c, _, kind = c.partition(":")
             value = {"d": f"cast(cast(round({c} * 100) as bigint) as varchar)", "t": f"strftime({c}, '%Y-%m-%d %H:%M:%S')"}.get(kind, f"cast({c} as varchar)")
@@ -51,6 +51,14 @@ def _text() -> str:
 
 
 CORPUS = {"columns": f"select domain_id, value from ({_columns()}) where value is not null and value <> ''", "slices": _slices(), "text": _text()}
+_TOKENS = r"select distinct '{0}:' || {0}_id domain_id, unnest(string_split_regex(lower(text), '\s+')) as value from {1}"
+CORPUS["documents"] = f"select * from ({_TOKENS.format('doc', 'documents')}) where value <> ''"
+CORPUS["documents and items"] = f"select * from ({_TOKENS.format('doc', 'documents')} union all {_TOKENS.format('item', 'benchmark')}) where value <> ''"
+
+
+def columns_of(tables: list[str]) -> str:
+    """Domains of the scalar columns of some tables."""
+    return f"select domain_id, value from ({_columns(tables)}) where value is not null and value <> ''"
 
 
 def doubles(values) -> str:
@@ -88,7 +96,13 @@ def index(n: int) -> list[str]:
     return [*histogram(), f"placed as ({equi_depth(n)})", f"meta as ({META.format('placed')})", "idx as (select domain_id, size, part_id from dom join placed using (size))"]
 
 
-def sample(k: int, where: str = "true") -> list[str]:
+ASKED = "cast('0x' || substr(md5(domain_id), 1, 15) as bigint) % 20 = 0"
+
+
+def sample(k: int | None = None, where: str = "true") -> list[str]:
+    """Every domain whose portable hash is divisible by 20, or the first k by md5."""
+    if k is None:
+        return [f"qs as (select domain_id query_id, size q from dom where {where} and {ASKED})"]
     return [f"qs as (select domain_id query_id, size q from dom where {where} order by md5(domain_id), domain_id limit {k})"]
 
 
@@ -99,15 +113,18 @@ def truth() -> list[str]:
     ]
 
 
-def candidates(m: int, thresholds: list[float], prune: bool = True) -> list[str]:
-    rows = ", ".join(f"({k}, {t!r}::double, {b}, {r})" for k, _, t, b, r, _, _ in precompute(m, thresholds))
+def candidates(m: int, thresholds: list[float], prune: bool = True, layout="free") -> list[str]:
+    """Search of the queries ``qs`` over ``sig``, ``idx`` and ``meta``; a layout of trees cuts bands at its depth."""
+    rows = ", ".join(f"({k}, {t!r}::double, {b}, {r})" for k, _, t, b, r, _, _ in precompute(m, thresholds, layout=layout))
+    band, held = ("i // r", "i < most * r") if layout == "free" else (f"i // {layout[1]}", f"i % {layout[1]} < r and i // {layout[1]} < most")
+    own = "i < (i // r + 1) * r" if layout == "free" else f"i % {layout[1]} < r"
     return [
         f"tun(ratio_bin, t_star, b, r) as (values {rows})",
         f"bins as (select query_id, q, part_id, size_max, {ratio_bin('size_max', 'q')} ratio_bin from qs, meta)",
         "plan as (select query_id, q, t_star, part_id, size_max, b, r from bins join tun using (ratio_bin)" + (" where size_max::double / q >= t_star)" if prune else ")"),
         "shapes as (select part_id, r, max(b) most from plan group by 1, 2)",
-        "held as materialized (select domain_id, part_id, r, i // r band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join idx using (domain_id) join shapes using (part_id) where i < most * r group by 1, 2, 3, 4)",
-        "own as (select domain_id query_id, r, i // r band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join (select distinct query_id, r from plan) p on domain_id = p.query_id where i < (i // r + 1) * r group by 1, 2, 3)",
+        f"held as materialized (select domain_id, part_id, r, {band} band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join idx using (domain_id) join shapes using (part_id) where {held} group by 1, 2, 3, 4)",
+        f"own as (select domain_id query_id, r, {band} band, string_agg(cast(v as varchar), '-' order by i) bucket from sig join (select distinct query_id, r from plan) p on domain_id = p.query_id where {own} group by 1, 2, 3)",
         "found as materialized (select distinct p.query_id, p.t_star, h.domain_id from plan p join own o on o.query_id = p.query_id and o.r = p.r and o.band < p.b join held h on h.part_id = p.part_id and h.r = p.r and h.band = o.band and h.bucket = o.bucket)",
     ]
 

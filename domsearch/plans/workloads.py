@@ -1,110 +1,156 @@
-"""The experiment workloads: accuracy sweeps over thresholds, query sizes, skew and drift, in single plans."""
+"""The experiment workloads: accuracy sweeps over thresholds, query sizes, skew, drift and signature length, in single plans."""
 
 from __future__ import annotations
 
 from functools import partial, reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import Portable
 from ..functions.minhash import signatures
-from ..operators import accuracy, extract, lsh, padded, partition, search, spci, stats
+from ..operators import accuracy, extract, padded, partition, search, spci, stats
 from ..sources.tables import table
 from ..store import materialise
 from . import sqltext as q
-from .registry import query, sampled
+from .registry import query
 
-THRESHOLDS = [k / 10 for k in range(1, 11)]
+THRESHOLDS = [k / 20 for k in range(1, 21)]
 SPECS = [("minhash_lsh", 1, False), ("padded", 1, True), ("spci_n8", 8, False), ("spci_n16", 16, False), ("spci_n32", 32, False)]
+CUTS = tuple(k / 20 for k in range(1, 21))
+LAMBDAS = tuple(k / 10 for k in range(11))
 
 
 class Bench:
     """A corpus whose sketches and exact overlaps are written once and shared by all index settings of a sweep."""
 
-    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int | None = None, m: int = 64, where: str = "true", one_in: int = search.ASKED):
+    def __init__(self, spark, sf_dir: str, corpus: str = "slices", k: int | None = None, m: int = 256, where: str = "true", one_in: int = search.ASKED):
         self.spark, self.m = spark, m
-        entries = extract.CORPORA[corpus](spark, sf_dir)
+        entries = materialise(extract.CORPORA[corpus](spark, sf_dir), "entries")
         self.signed = materialise(signatures(entries, Portable(m)).where(f"size >= {extract.MIN_SIZE}"), "signed")
         self.sizes = self.signed.select("domain_id", "size")
         self.queries = materialise(search.query_sample(self.sizes.where(where), k, one_in), "queries")
         live = entries.join(self.sizes.select("domain_id"), "domain_id", "left_semi")
         self.pairs = materialise(search.overlaps(live, self.sizes, self.queries), "pairs")
 
-    def answers(self, spec, thresholds, signed: DataFrame | None = None, partitioner="equi_depth") -> DataFrame:
+    def answers(self, spec, thresholds, partitioner="equi_depth", m: int | None = None) -> DataFrame:
+        """Candidates of one setting; a shorter signature is a prefix of the long one."""
         name, n, pad = spec
-        index = spci.build(self.signed if signed is None else signed, n, self.m, partitioner)
+        signed = self.signed if m is None else self.signed.withColumn("sig", F.slice("sig", 1, m))
+        index = spci.build(signed, n, m or self.m, partitioner)
         if pad:
             held = padded.padded_signatures(index.signatures, F.col("part_size_max"))
-            index = spci.Index(held, index.meta, self.m)
-            own = held.select(F.col("domain_id").alias("query_id"), F.col("own").alias("sig"))
-            plan = spci.make_plan(index, self.queries, thresholds).join(own, "query_id")
-            found = lsh.probe(index.signatures, plan, False)
+            own = held.join(self.queries.select(F.col("query_id").alias("domain_id")), "domain_id", "left_semi").select(F.col("domain_id").alias("query_id"), F.col("own").alias("sig"))
+            index = spci.Index(held, index.meta, index.m)
+            found = spci.probe(index, spci.make_plan(index, self.queries, thresholds).join(own, "query_id")).drop("part_id")
         else:
             found = spci.search(index, self.queries, thresholds)
         return found.withColumn("index_id", F.lit(name))
 
-    def measure(self, answers: DataFrame, names: list[str], thresholds: list[float], domains: DataFrame | None = None) -> DataFrame:
+    def truth(self, names: list[str], thresholds: list[float]) -> DataFrame:
         keys = self.spark.createDataFrame([(i, t) for i in names for t in thresholds], "index_id string, t_star double")
-        pairs = self.pairs if domains is None else self.pairs.join(domains.select("domain_id"), "domain_id", "left_semi")
-        truth = pairs.join(F.broadcast(keys), F.col("overlap") / F.col("q") >= F.col("t_star")).select("index_id", "t_star", "query_id", "domain_id")
-        return accuracy.summary(accuracy.per_query(answers, truth))
+        return self.pairs.join(F.broadcast(keys), F.col("overlap") / F.col("q") >= F.col("t_star")).select("index_id", "t_star", "query_id", "domain_id")
+
+    def measure(self, answers: DataFrame, names: list[str], thresholds: list[float]) -> DataFrame:
+        return accuracy.summary(accuracy.per_query(answers, self.truth(names, thresholds)))
 
     def sweep(self, specs=SPECS, thresholds=THRESHOLDS) -> DataFrame:
         answers = reduce(DataFrame.unionByName, [self.answers(s, thresholds) for s in specs])
         return self.measure(answers, [s[0] for s in specs], thresholds)
 
+    def nested(self, specs, cuts, t: float) -> DataFrame:
+        """Answers and truth in nested collections, the domains up to each quantile of the sizes, as one index of each setting.
+
+        Every collection has partitions of its own; a domain stands in one partition of each collection that holds it.
+        """
+        most = self.sizes.select(F.percentile("size", F.array(*(F.lit(c) for c in cuts))).alias("p")).first()["p"]
+        cut = F.broadcast(self.spark.createDataFrame(list(zip(cuts, most, strict=True)), "cut double, most double"))
+        hist = self.sizes.groupBy("size").agg(F.count("*").alias("n_domains")).join(cut, F.col("size") <= F.col("most"))
+        before = Window.partitionBy("cut").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
+        hist = hist.withColumn("cum_before", F.coalesce(F.sum("n_domains").over(before), F.lit(0))).withColumn("total", F.sum("n_domains").over(Window.partitionBy("cut")))
+        found = []
+        for name, n, pad in specs:
+            part = F.least(F.lit(n - 1), F.floor(F.lit(n) * F.col("cum_before") / F.col("total")))
+            parts = hist.withColumn("part_id", (F.round(F.col("cut") * 1000) * 1000 + part).cast("int"))
+            parts = parts.groupBy("cut", "most", "part_id").agg(F.min("size").alias("size_lo"), F.max("size").alias("size_max"), F.sum("n_domains").alias("n_domains"))
+            parts = materialise(parts, "nested")
+            held = self.signed.join(F.broadcast(parts.select("cut", "part_id", "size_lo", "size_max")), (F.col("size") >= F.col("size_lo")) & (F.col("size") <= F.col("size_max")))
+            own = self.signed.select(F.col("domain_id").alias("query_id"), "sig")
+            if pad:
+                held = padded.padded_signatures(held, F.max("size_max").over(Window.partitionBy("cut")) if n == 1 else F.col("size_max"))
+            index = spci.Index(held.select("domain_id", "part_id", "sig"), parts.select("part_id", "size_max"), self.m)
+            plan = spci.make_plan(index, self.queries, [t]).join(F.broadcast(parts.select("part_id", "cut", "most")), "part_id").where("q <= most")
+            answers = spci.probe(index, plan.join(own, "query_id")).join(F.broadcast(parts.select("part_id", "cut")), "part_id")
+            found.append(answers.select(F.lit(name).alias("index_id"), "cut", "t_star", "query_id", "domain_id"))
+        keys = F.broadcast(self.spark.createDataFrame([(s[0], t) for s in specs], "index_id string, t_star double"))
+        truth = self.pairs.join(cut, (F.col("q") <= F.col("most")) & (F.col("x") <= F.col("most"))).join(keys, F.col("overlap") / F.col("q") >= F.col("t_star"))
+        keys = ("index_id", "cut", "t_star", "query_id")
+        rows = accuracy.per_query(reduce(DataFrame.unionByName, found), truth.select(*keys, "domain_id"), keys)
+        skew = self.sizes.join(cut, F.col("size") <= F.col("most")).groupBy("cut").agg(F.count("*").alias("n_domains"), F.round(F.skewness("size"), 6).alias("skewness"))
+        return accuracy.summary(rows, ("index_id", "cut", "t_star")).join(F.broadcast(skew), "cut").withColumnRenamed("cut", "share_of_domains")
+
 
 @query("acc_vs_threshold")
 def acc_vs_threshold(spark, sf_dir, corpus: str = "slices", **options):
     return Bench(spark, sf_dir, corpus, **options).sweep()
 
 
-def _by_query_size(spark, sf_dir, where: str, corpus: str = "slices") -> DataFrame:
+def _by_query_size(spark, sf_dir, where: str, corpus: str = "slices", thresholds=THRESHOLDS, **options) -> DataFrame:
     sizes = extract.sizes(extract.CORPORA[corpus](spark, sf_dir))
     low, high = sizes.select(F.percentile("size", F.array(F.lit(0.1), F.lit(0.9))).alias("p")).first()["p"]
-    return Bench(spark, sf_dir, corpus, where=where.format(low=low, high=high), one_in=1).sweep([s for s in SPECS if not s[2]], [0.3, 0.5, 0.7])
+    return Bench(spark, sf_dir, corpus, where=where.format(low=low, high=high), one_in=1, **options).sweep(thresholds=thresholds)
 
 
 @query("acc_large_queries")
-def acc_large_queries(spark, sf_dir):
-    return _by_query_size(spark, sf_dir, "size >= {high}")
+def acc_large_queries(spark, sf_dir, **options):
+    return _by_query_size(spark, sf_dir, "size >= {high}", **options)
 
 
 @query("acc_small_queries")
-def acc_small_queries(spark, sf_dir):
-    return _by_query_size(spark, sf_dir, "size <= {low}")
+def acc_small_queries(spark, sf_dir, **options):
+    return _by_query_size(spark, sf_dir, "size <= {low}", **options)
 
 
 @query("acc_vs_skew")
-def acc_vs_skew(spark, sf_dir, corpus: str = "slices", cuts: tuple[float, ...] = (0.4, 0.7, 0.9, 0.99, 1.0)):
-    """Nested subsets of the smallest sizes, each with its skewness."""
-    b = Bench(spark, sf_dir, corpus)
-    parts = []
-    for cut, most in zip(cuts, b.sizes.select(F.percentile("size", F.array(*(F.lit(c) for c in cuts))).alias("p")).first()["p"], strict=True):
-        kept = b.signed.where(F.col("size") <= most)
-        skew = stats.skewness(kept).select("skewness")
-        answers = reduce(DataFrame.unionByName, [b.answers(s, [0.5], kept) for s in SPECS if s[1] in (1, 32)])
-        asked = kept.select(F.col("domain_id").alias("query_id"))
-        answers = answers.join(asked, "query_id", "left_semi")
-        sub = b.pairs.join(asked, "query_id", "left_semi")
-        keys = spark.createDataFrame([(s[0], 0.5) for s in SPECS if s[1] in (1, 32)], "index_id string, t_star double")
-        truth = sub.join(kept.select("domain_id"), "domain_id", "left_semi").join(F.broadcast(keys), F.col("overlap") / F.col("q") >= F.col("t_star")).select("index_id", "t_star", "query_id", "domain_id")
-        parts.append(accuracy.summary(accuracy.per_query(answers, truth)).crossJoin(skew).withColumn("share_of_domains", F.lit(cut)))
-    return reduce(DataFrame.unionByName, parts)
+def acc_vs_skew(spark, sf_dir, corpus: str = "slices", cuts: tuple[float, ...] = CUTS, **options):
+    """Twenty nested subsets of the smallest sizes, each with its skewness."""
+    return Bench(spark, sf_dir, corpus, **options).nested(SPECS, cuts, 0.5)
 
 
 @query("acc_vs_drift")
-def acc_vs_drift(spark, sf_dir, corpus: str = "slices", lambdas: tuple[float, ...] = (0.0, 0.25, 0.5, 0.75, 1.0)):
+def acc_vs_drift(spark, sf_dir, corpus: str = "slices", lambdas: tuple[float, ...] = LAMBDAS, **options):
     """From equi-depth to equi-width: accuracy beside the deviation of partition sizes."""
-    b = Bench(spark, sf_dir, corpus)
-    hist = stats.histogram(b.sizes)
-    parts = []
-    for lam in lambdas:
-        make = partial(partition.blended, lam=lam)
-        answers = b.answers((f"drift_{lam:g}", 32, False), [0.5], partitioner=make)
-        dev = stats.partition_stddev(make(hist, 32)).select("stddev")
-        parts.append(b.measure(answers, [f"drift_{lam:g}"], [0.5]).crossJoin(dev))
+    b = Bench(spark, sf_dir, corpus, **options)
+    hist = materialise(stats.histogram(b.sizes), "histogram")
+    answers, drift, names = [], [], [f"drift_{lam:g}" for lam in lambdas]
+    for name, lam in zip(names, lambdas, strict=True):
+        meta = materialise(partition.blended(hist, 32, lam), "meta")
+        answers.append(b.answers((name, 32, False), [0.5], partitioner=lambda _, __, meta=meta: meta))
+        drift.append(stats.partition_stddev(meta).select(F.lit(name).alias("index_id"), "stddev"))
+    return b.measure(reduce(DataFrame.unionByName, answers), names, [0.5]).join(F.broadcast(reduce(DataFrame.unionByName, drift)), "index_id")
+
+
+@query("acc_vs_length")
+def acc_vs_length(spark, sf_dir, corpus: str = "slices", lengths: tuple[int, ...] = (64, 128, 256), thresholds=(0.3, 0.5, 0.7), **options):
+    """Accuracy against the number m of hash functions, for plain MinHash LSH and 32 partitions."""
+    b = Bench(spark, sf_dir, corpus, m=max(lengths), **options)
+    answers = [b.answers((f"{s[0]}_m{m}", s[1], s[2]), list(thresholds), m=m) for s in SPECS if s[1] in (1, 32) and not s[2] for m in lengths]
+    names = [f"{s[0]}_m{m}" for s in SPECS if s[1] in (1, 32) and not s[2] for m in lengths]
+    return b.measure(reduce(DataFrame.unionByName, answers), names, list(thresholds))
+
+
+@query("cost_vs_domains")
+def cost_vs_domains(spark, sf_dir, corpus: str = "slices", shares: tuple[int, ...] = (20, 40, 60, 80, 100), ns: tuple[int, ...] = (1, 8, 32), m: int = 64, t: float = 0.5):
+    """Size of the index and candidates of all queries for growing shares of the domains; wall times are in the bench."""
+    b = Bench(spark, sf_dir, corpus, m=m)
+    own = b.signed.join(b.queries, F.col("domain_id") == F.col("query_id")).select("query_id", "q", "sig")
+    own, parts = materialise(own, "asked"), []
+    rank = F.conv(F.substring(F.md5("domain_id"), 16, 8), 16, 10).cast("bigint") % 100
+    for share in shares:
+        kept = b.signed.where(rank < share)
+        for n in ns:
+            found = spci.search(spci.build(kept, n, m), own, [t]).agg(F.count("*").alias("n_candidates"))
+            parts.append(kept.agg(F.count("*").alias("n_domains")).crossJoin(found).select(F.lit(share).alias("share"), F.lit(n).alias("n_partitions"), "n_domains", "n_candidates"))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -128,14 +174,14 @@ def benchmark_containment(spark, sf_dir):
     return _contained(_tokens(table(spark, sf_dir, "benchmark"), "item_id"), "item_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.9)
 
 
-@sampled("conversation_search", r"with " + _DOC + r", b as (select distinct conv_id, unnest(string_split_regex(lower(text), '\s+')) as value from conversations where conv_id < 20), n as (select conv_id, count(*) q from b group by 1) select conv_id, doc_id, round(overlap / q, 6) t from (select conv_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (conv_id) where overlap / q >= 0.5", where="conv_id % 20 = 0")
-def conversation_search(spark, sf_dir, where="conv_id < 20"):
+@query("conversation_search", r"with " + _DOC + r", b as (select distinct conv_id, unnest(string_split_regex(lower(text), '\s+')) as value from conversations where conv_id % 20 = 0), n as (select conv_id, count(*) q from b group by 1) select conv_id, doc_id, round(overlap / q, 6) t from (select conv_id, doc_id, count(*) overlap from b join d using (value) group by 1, 2) join n using (conv_id) where overlap / q >= 0.5")
+def conversation_search(spark, sf_dir, where="conv_id % 20 = 0"):
     return _contained(_tokens(table(spark, sf_dir, "conversations").where(where), "conv_id"), "conv_id", _tokens(table(spark, sf_dir, "documents"), "doc_id"), 0.5)
 
 
-@sampled("near_copies", r"with " + _DOC + r", n as (select doc_id, count(*) q from d group by 1), k as (select doc_id from n order by md5(cast(doc_id as varchar)) limit 60), o as (select a.doc_id a, b.doc_id b, count(*) overlap from d a join d b using (value) where a.doc_id in (select doc_id from k) and a.doc_id <> b.doc_id group by 1, 2) select a, b, overlap from o join n x on x.doc_id = a join n y on y.doc_id = b where overlap / x.q >= 0.8 and overlap / y.q >= 0.8", k=None)
-def near_copies(spark, sf_dir, k=60):
-    """Pairs that share 0.8 of either side's tokens; without k, of every document whose id is divisible by 20.
+@query("near_copies", r"with " + _DOC + r", n as (select doc_id, count(*) q from d group by 1), k as (select doc_id from n where doc_id % 20 = 0), o as (select a.doc_id a, b.doc_id b, count(*) overlap from d a join d b using (value) where a.doc_id in (select doc_id from k) and a.doc_id <> b.doc_id group by 1, 2) select a, b, overlap from o join n x on x.doc_id = a join n y on y.doc_id = b where overlap / x.q >= 0.8 and overlap / y.q >= 0.8")
+def near_copies(spark, sf_dir):
+    """Pairs that share 0.8 of either side's tokens, of every document whose id is divisible by 20.
 
     With the tokens of all documents in one order, rarest first, two such sets share l of their first tokens: of q, a
     set may miss q - o with o = ceil(0.8 q), so q - o + l are enough, and l is o / 8.  Only those are joined, by their
@@ -150,10 +196,7 @@ def near_copies(spark, sf_dir, k=60):
     sets = tokens.groupBy("doc_id").agg(ordered.alias("w")).withColumn("q", F.size("w")).withColumn("o", F.expr("(4 * q + 4) div 5"))
     sets = sets.withColumn("l", F.expr("greatest(o div 8, 1)"))
     first = sets.select("doc_id", "q", "l", F.explode(F.slice("w", F.lit(1), F.expr("cast(q - o + l as int)"))["h"]).alias("h"))
-    if k is None:
-        a = first.where(F.col("doc_id") % search.ASKED == 0)
-    else:
-        a = first.join(docs.where("text is not null").select("doc_id").distinct().orderBy(F.md5(F.col("doc_id").cast("string"))).limit(k), "doc_id", "left_semi")
+    a = first.where(F.col("doc_id") % search.ASKED == 0)
     near = a.select(F.col("doc_id").alias("a"), F.col("q").alias("qa"), F.col("l").alias("la"), "h").join(first, "h").where("a <> doc_id and 5 * least(qa, q) >= 4 * greatest(qa, q)")
     near = near.groupBy("a", F.col("doc_id").alias("b")).agg(F.count("*").alias("n"), F.min(F.least("la", "l")).alias("l"))
     pairs = materialise(near.where("n >= l").select("a", "b"), "pairs")

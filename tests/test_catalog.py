@@ -6,8 +6,7 @@ import pytest
 from domsearch.plans.catalog import ORACLES, QUERIES
 from domsearch.sources.tables import TABLES
 
-HEAVY = ("acc_", "padded_", "baseline_", "lsh_dynamic", "spci_n", "accuracy_", "empty_answer", "size_pruned", "selectivity", "containment_search_single")
-NAMES = [n for n in ORACLES if not n.startswith(HEAVY)]
+NAMES = list(ORACLES)
 
 
 @pytest.fixture(scope="module")

@@ -55,12 +55,18 @@ def test_more_partitions_fewer_false_candidates(corpus):
 def test_pruning_shards_and_storage_change_no_answer(spark, corpus):
     index = spci.build(corpus.signed, 8, corpus.m)
     plain = rows(spci.search(index, corpus.queries, [0.5]), "query_id", "domain_id")
-    assert rows(spci.search_shards(index, corpus.queries, [0.5], 5), "query_id", "domain_id") == plain
+    shards = spci.build_shards(corpus.signed, 5, 8, corpus.m)
+    assert sum(s.signatures.count() for s in shards) == corpus.signed.count() and all(s.meta.count() <= 8 for s in shards)
+    asked = corpus.signed.join(corpus.queries, F.col("domain_id") == F.col("query_id")).select("query_id", "q", "sig")
+    found = spci.search_shards(shards, asked, [0.5])
+    assert found.where(spci.shard_of("domain_id", 5) != F.col("shard_id")).count() == 0
+    right = rows(search.exact(corpus.pairs, 0.5), "query_id", "domain_id")
+    assert len(rows(found, "query_id", "domain_id") & right) >= 0.9 * len(plain & right)
     truth = rows(search.exact(corpus.pairs, 0.9), "query_id", "domain_id")
     free, pruned = (rows(spci.search(index, corpus.queries, [0.9], prune), "query_id", "domain_id") for prune in (False, True))
     assert pruned <= free and pruned & truth == free & truth
     path = fresh(spark, "index")
-    spci.save(index, path)
+    spci.save(index, path, (0.5,))
     assert rows(spci.search(spci.load(spark, path), corpus.queries, [0.5]), "query_id", "domain_id") == plain
     exact = rows(spci.search(index, corpus.queries, [0.5], refine="exact", entries=corpus.entries), "query_id", "domain_id")
     assert exact == plain & rows(search.exact(corpus.pairs, 0.5), "query_id", "domain_id")
@@ -102,4 +108,5 @@ def test_empty_collection(spark):
     index = spci.build(signed, 8, 16)
     qs = search.query_sample(signed.select("domain_id", "size"), 5)
     assert spci.search(index, qs, [0.5]).count() == 0
+    assert spci.search(spci.stored(index, [0.5]), qs, [0.5]).count() == 0
     assert search.exact(search.overlaps(empty, extract.sizes(empty), qs), 0.5).count() == 0

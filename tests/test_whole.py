@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from domsearch.operators import extract, search
-from domsearch.plans.catalog import ORACLES, QUERIES
+from domsearch.plans.catalog import QUERIES
 
 
 def asked(key):
@@ -30,18 +30,17 @@ def test_queries_grow_with_the_table(spark):
 def test_whole_containment_search(spark, sf, sets):
     want = {(a, b): len(sets[a] & sets[b]) / len(sets[a]) for a in sets if asked(a) for b in sets}
     want = {k: t for k, t in want.items() if t >= 0.5}
-    got = {(r["query_id"], r["domain_id"]): r["t"] for r in QUERIES["whole_exact_containment_search"](spark, sf).collect()}
+    got = {(r["query_id"], r["domain_id"]): r["t"] for r in QUERIES["exact_containment_search"](spark, sf).collect()}
     assert got == pytest.approx(want, abs=1e-6)
 
 
 def test_sketches_meet_all_domains(spark, sf, sets):
-    got = {(r["query_id"], r["domain_id"]) for r in QUERIES["whole_jaccard_estimates"](spark, sf).collect()}
+    got = {(r["query_id"], r["domain_id"]) for r in QUERIES["jaccard_estimates"](spark, sf).collect()}
     assert got == {(a, b) for a in sets if asked(a) for b in sets if a != b}
 
 
-def test_whole_queries_have_no_sql():
-    whole = [n for n in QUERIES if n.startswith("whole_")]
-    assert whole and not set(whole) & set(ORACLES) and {n.removeprefix("whole_") for n in whole} <= set(ORACLES)
+def test_no_query_stands_beside_a_whole_one():
+    assert not [n for n in QUERIES if n.startswith("whole_")]
 
 
 def test_near_copies_of_all_documents(spark, tmp_path):
@@ -55,26 +54,26 @@ def test_near_copies_of_all_documents(spark, tmp_path):
     near = lambda x, y: len(x & y) / max(len(x), len(y)) >= 0.8
     want = {(a, a + j, len(sets[a] & sets[a + j])) for a in range(0, 3_000, 20) for j in (1, 2, 3) if near(sets[a], sets[a + j])}
     assert len(want) == 300
-    assert {tuple(r) for r in QUERIES["whole_near_copies"](spark, str(tmp_path)).collect()} == want
+    assert {tuple(r) for r in QUERIES["near_copies"](spark, str(tmp_path)).collect()} == want
 
 
 def test_near_copies_of_given_documents(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", F.expr(r"array_distinct(split(lower(text), '\\s+'))").alias("w")).collect()
     sets = {k: set(w) for k, w in docs}
     want = {(a, b, len(sets[a] & sets[b])) for a in sets if a % 20 == 0 for b in sets if a != b and len(sets[a] & sets[b]) / max(len(sets[a]), len(sets[b])) >= 0.8}
-    assert {tuple(r) for r in QUERIES["whole_near_copies"](spark, sf).collect()} == want
+    assert {tuple(r) for r in QUERIES["near_copies"](spark, sf).collect()} == want
 
 
 def test_all_orders_and_customers(spark):
     sf = "/root/testdata/sf0.01"
     lines, orders = (spark.read.parquet(f"{sf}/{n}.parquet") for n in ("lineitem", "orders"))
     keys = ("l_orderkey", "l_linenumber")
-    assert sorted(QUERIES["whole_project_exprs"](spark, sf).select(*keys).collect()) == sorted(lines.select(*keys).collect())
+    assert sorted(QUERIES["project_exprs"](spark, sf).select(*keys).collect()) == sorted(lines.select(*keys).collect())
     best = {}
     for c, o, total in sorted(orders.select("o_custkey", "o_orderkey", "o_totalprice").collect(), key=lambda r: (r[0], -r[2], r[1])):
         best.setdefault(c, []).append(o)
     assert max(best) >= 300
-    assert {tuple(r) for r in QUERIES["whole_join_lateral"](spark, sf).collect()} == {(c, o) for c, os in best.items() for o in os[:2]}
+    assert {tuple(r) for r in QUERIES["join_lateral"](spark, sf).collect()} == {(c, o) for c, os in best.items() for o in os[:2]}
 
 
 def test_all_items_and_conversations(spark, sf):
@@ -86,18 +85,18 @@ def test_all_items_and_conversations(spark, sf):
 
     items, talks, docs = sets_of("benchmark", "item_id"), sets_of("conversations", "conv_id"), sets_of("documents", "doc_id")
     want = {(a, b, len(items[a] & items[b])) for a in items for b in items if a != b and items[a] & items[b]}
-    assert {tuple(r)[:3] for r in QUERIES["whole_fn_array_sets"](spark, sf).select("a", "b", "n").collect()} == want
+    assert {tuple(r)[:3] for r in QUERIES["fn_array_sets"](spark, sf).select("a", "b", "n").collect()} == want
     want = {(c, d) for c in talks if c % 20 == 0 for d in docs if len(talks[c] & docs[d]) / len(talks[c]) >= 0.5}
-    assert {tuple(r)[:2] for r in QUERIES["whole_conversation_search"](spark, sf).select("conv_id", "doc_id").collect()} == want
+    assert {tuple(r)[:2] for r in QUERIES["conversation_search"](spark, sf).select("conv_id", "doc_id").collect()} == want
 
 
 def test_all_families(spark, sf, sets):
     overlaps = {(a, b, len(sets[a] & sets[b])) for a in sets if asked(a) for b in sets if sets[a] & sets[b]}
-    assert {tuple(r) for r in QUERIES["whole_cogroup_verify"](spark, sf).select("query_id", "domain_id", "overlap").collect()} == overlaps
-    signed = {n: sorted(tuple(r) for r in QUERIES[n](spark, sf).select("domain_id", "sig").collect()) for n in ("whole_udaf_minhash", "whole_map_in_arrow_signatures")}
-    assert signed["whole_udaf_minhash"] == signed["whole_map_in_arrow_signatures"] and {r[0] for r in signed["whole_udaf_minhash"]} == set(sets)
-    assert {(r["domain_id"], r["band"]) for r in QUERIES["whole_udtf_band_keys"](spark, sf).collect()} == {(k, b) for k in sets for b in (0, 1)}
-    found = {(r["query_id"], r["domain_id"]) for r in QUERIES["whole_padded_minhash"](spark, sf).collect()}
+    assert {tuple(r) for r in QUERIES["cogroup_verify"](spark, sf).select("query_id", "domain_id", "overlap").collect()} == overlaps
+    signed = {n: sorted(tuple(r) for r in QUERIES[n](spark, sf).select("domain_id", "sig").collect()) for n in ("udaf_minhash", "map_in_arrow_signatures")}
+    assert signed["udaf_minhash"] == signed["map_in_arrow_signatures"] and {r[0] for r in signed["udaf_minhash"]} == set(sets)
+    assert {(r["domain_id"], r["band"]) for r in QUERIES["udtf_band_keys"](spark, sf).collect()} == {(k, b) for k in sets for b in (0, 1)}
+    found = {(r["query_id"], r["domain_id"]) for r in QUERIES["padded_minhash"](spark, sf).collect()}
     assert {a for a, _ in found} <= {k for k in sets if asked(k)} and any(not a.startswith("part_by_supp") for a, _ in found)
 
 
