@@ -27,7 +27,9 @@ _ACCESS = re.compile(r"AKIA[A-Z0-9]+", re.ASCII)
 _HEX = re.compile(r"[0-9a-f]+", re.ASCII)
 # an equals sign before a key is an assignment, after it padding
 _KEY = re.compile(r"(?<![A-Za-z0-9+/])[A-Za-z0-9+/]{40}(?![A-Za-z0-9+/=])", re.ASCII)
-_ENDPOINT = re.compile(r"(?:https?|s3|s3a|wss?)://[^\s\"'<>]+|[a-z0-9][a-z0-9.-]*\.(?:amazonaws|cloudfront)\.com", re.ASCII)
+_URL = re.compile(r"(?:https?|s3|s3a|wss?)://[^\s\"'<>]+", re.ASCII)
+_RUN = re.compile(r"[a-z0-9.-]+", re.ASCII)
+_HOSTS = (".amazonaws.com", ".cloudfront.com")
 _WORDS = (b"password", b"passwd", b"secret", b"token", b"apikey", b"api_key")
 _LEAST_ASSIGN, _LEAST_ACCESS, _LEAST_HEX = 6, 20, 24
 
@@ -68,6 +70,28 @@ def _near(starts: np.ndarray, ends: np.ndarray, parts: list[Span], scope: int) -
     return np.searchsorted(a, ends + scope, side="right") > np.searchsorted(b, starts - scope, side="left")
 
 
+def _hosts(text: str, begin: int, end: int) -> list[tuple[int, int]]:
+    """Bare host names of the known services in a part of the text: of a run of host characters, from its first letter or digit to the last such ending."""
+    if not any(text.find(h, begin, end) >= 0 for h in _HOSTS):
+        return []
+    out = []
+    for m in _RUN.finditer(text, begin, end):
+        last, size = max((m[0].rfind(h), len(h)) for h in _HOSTS)
+        first = len(m[0]) - len(m[0].lstrip(".-"))
+        if first < last:
+            out.append((m.start() + first, m.start() + last + size))
+    return out
+
+
+def endpoints(text: str) -> list[tuple[int, int]]:
+    """URLs, and bare host names between them, in time linear in the text."""
+    out, at = [], 0
+    for m in _URL.finditer(text):
+        out += [*_hosts(text, at, m.start()), m.span()]
+        at = m.end()
+    return out + _hosts(text, at, len(text))
+
+
 def linked_spans(text: str, base: list[Span], scope: int = SCOPE) -> list[Span]:
     """Weak candidates whose complementary parts co-occur in scope."""
     access = [s for s in base if s[1] == 1]
@@ -81,7 +105,7 @@ def linked_spans(text: str, base: list[Span], scope: int = SCOPE) -> list[Span]:
         inside = _near(start + 1, end - 1, taken, 0)
         out += [k for k, ok in zip(keys, _near(start, end, access, scope) & ~inside, strict=True) if ok]
     secrets = [s for s in base if s[1] in (0, 2)] + out
-    places = [(m.start(), 4, m.end()) for m in _ENDPOINT.finditer(text)] if secrets else []
+    places = [(a, 4, b) for a, b in endpoints(text)] if secrets else []
     if places:
         start, end = np.array([k[0] for k in places]), np.array([k[2] for k in places])
         both = _near(start, end, access, scope) & _near(start, end, secrets, scope)
