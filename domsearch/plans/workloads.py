@@ -37,11 +37,11 @@ class Bench:
         """Candidates of one setting; a shorter signature is a prefix of the long one."""
         name, n, pad = spec
         signed = self.signed if m is None else self.signed.withColumn("sig", F.slice("sig", 1, m))
-        index = spci.build(signed, n, m or self.m, partitioner)
+        index = spci.build(signed, n, m or self.m, partitioner, native=True, family=Portable(m or self.m))
         if pad:
             held = padded.padded_signatures(index.signatures, F.col("part_size_max"))
             own = held.join(self.queries.select(F.col("query_id").alias("domain_id")), "domain_id", "left_semi").select(F.col("domain_id").alias("query_id"), F.col("own").alias("sig"))
-            index = spci.Index(held, index.meta, index.m)
+            index = spci.Index(held, index.meta, index.m, True)
             found = spci.probe(index, spci.make_plan(index, self.queries, thresholds).join(own, "query_id")).drop("part_id")
         else:
             found = spci.search(index, self.queries, thresholds)
@@ -78,7 +78,7 @@ class Bench:
             own = self.signed.select(F.col("domain_id").alias("query_id"), "sig")
             if pad:
                 held = padded.padded_signatures(held, F.max("size_max").over(Window.partitionBy("cut")) if n == 1 else F.col("size_max"))
-            index = spci.Index(held.select("domain_id", "part_id", "sig"), parts.select("part_id", "size_max"), self.m)
+            index = spci.Index(held.select("domain_id", "part_id", "sig"), parts.select("part_id", "size_max"), self.m, True)
             plan = spci.make_plan(index, self.queries, [t]).join(F.broadcast(parts.select("part_id", "cut", "most")), "part_id").where("q <= most")
             answers = spci.probe(index, plan.join(own, "query_id")).join(F.broadcast(parts.select("part_id", "cut")), "part_id")
             found.append(answers.select(F.lit(name).alias("index_id"), "cut", "t_star", "query_id", "domain_id"))
