@@ -12,9 +12,13 @@ Two transducers work one after the other:
   tokens that it adds (negative where bytes join into a longer token).  All
   pre-tokens of a block run side by side, one table lookup per byte.
 
-Long texts are cut into chunks.  What a chunk does is a map (text before its
-first reset point, tokens between, text after its last one); maps compose
-associatively and are combined pairwise, level by level.
+Texts are cut into chunks, all of which run side by side.  What a chunk does is
+a map from the state in which a pre-token stands at its begin to the state at
+its end and the tokens emitted: the transitions up to its first pre-token, then
+a count and a state that no longer depend on what came before.  Maps compose
+associatively and are combined by a prefix scan, level by level.  A pre-token
+of more than ``LONG`` bytes is encoded in pieces whose seams are mended: a
+segmentation is the encoding if all neighbours in it can stand side by side.
 """
 
 from __future__ import annotations
@@ -31,8 +35,11 @@ from pyspark.sql import functions as F
 
 from .frames import batches, documents_only
 
-CHUNK = 1 << 19  # characters run at once
-LONG = 96  # bytes of a pre-token beyond which it runs by itself
+BLOCK = 1 << 19  # characters run at once
+CHUNK = 1 << 12  # characters of a chunk, which has a map of its own
+CONTEXT = 8  # characters around a block that the splitter may look at
+LONG = 96  # bytes of a pre-token beyond which it is encoded in pieces
+PIECE = 32  # bytes of such a piece
 MOST_STATES = 300_000  # compiled at most, which bounds the automaton's memory
 _BIAS, _BITS = 96, 7
 
@@ -54,7 +61,7 @@ class PairAutomaton:
 
     A transition (state, byte) is a row of an open-addressing table; its value packs the next state and the emitted
     count.  Once MOST_STATES are compiled, no more are added: pre-tokens that leave the compiled part are counted by
-    plain merging, so memory is bounded and counts stay exact.
+    plain merging, so memory is bounded and counts stay exact (the same at every bound).
     """
 
     def __init__(self, merges: list[tuple[bytes, bytes]], alphabet: list[bytes]):
@@ -65,6 +72,7 @@ class PairAutomaton:
         self.inner = {t: k for k, t in enumerate(self.stems)}
         self.pairs: dict[int, bool] = {}
         self.merged: dict[bytes, int] = {}
+        self.pieces: dict[bytes, list[bytes]] = {}
         self.states: dict[bytes, int] = {}
         self.packed: list[bytes] = []
         self.size, self.used = 1 << 18, 0
@@ -159,30 +167,54 @@ class PairAutomaton:
             self.merged[raw] = n
         return n
 
-    def _alone(self, raw: bytes) -> int:
-        """One long pre-token; states met beyond the bound are dropped again."""
-        state, total, extra = self.start, 0, {}
+    def long(self, raw: bytes) -> int:
+        """Number of tokens of a long pre-token: pieces are encoded by themselves and mended where they meet."""
+        out: list[bytes] = []
+        fits = lambda a, b: self._follows(self.tokens[a], b, self.tokens[b])
+        for k in range(0, len(raw), PIECE):
+            piece = self._tokens(raw[k : k + PIECE])
+            reach = 2
+            while out and not fits(out[-1], piece[0]):
+                left, right = out[-reach:], piece[:reach]
+                middle = self.encode(b"".join(left + right))
+                whole = (len(out) <= reach or fits(out[-reach - 1], middle[0])) and (len(piece) <= reach or fits(middle[-1], piece[reach]))
+                if whole or (len(out) <= reach and len(piece) <= reach):
+                    piece = middle + piece[reach:]
+                    del out[-reach:]
+                    break
+                reach *= 2
+            out += piece
+        return len(out)
+
+    def _tokens(self, raw: bytes) -> list[bytes]:
+        if (found := self.pieces.get(raw)) is None:
+            if len(self.pieces) > 50_000:
+                self.pieces.clear()
+            found = self.pieces[raw] = self.encode(raw)
+        return list(found)
+
+    def number_of(self, raw: bytes) -> int:
+        return self.long(raw) if len(raw) > LONG else self._plain(raw)
+
+    def walk(self, state: int, raw: bytes) -> tuple[int, int]:
+        """State and tokens emitted after the bytes, or state -1 where the automaton is full."""
+        total = 0
         for byte in raw:
             cell = state << 8 | byte
-            v = int(self.look_up(np.array([cell]))[0]) if cell not in extra else extra[cell]
+            v = int(self.look_up(np.array([cell]))[0])
             if v < 0:
+                if len(self.packed) >= MOST_STATES:
+                    return -1, 0
                 v = self.step(cell)
-            extra[cell] = v
             state, total = v >> _BITS, total + (v & ((1 << _BITS) - 1)) - _BIAS
-            if len(self.packed) > 2 * MOST_STATES:
-                key = self.packed[state]
-                self.states, self.packed, extra = {}, [], {}
-                self.cells.fill(-1)
-                self.used = 0
-                self.start = self._id(((0, -1, 0),))
-                state = self._id(tuple(map(tuple, np.frombuffer(key, np.int32).reshape(-1, 3).tolist())))
-        return total
-
-    def run(self, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        """Number of tokens of every pre-token ``data[start:start + size]``."""
-        out = np.zeros(len(starts), np.int64)
-        for k in np.flatnonzero(sizes > LONG).tolist():
-            out[k] = self._alone(data[starts[k] : starts[k] + sizes[k]].tobytes())
+        return state, total
+
+    def run(self, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Number of tokens of every pre-token ``data[start:start + size]`` and the state after it.
+
+        The state is -1 for pre-tokens that are too long or left the automaton; those that are too long aren't counted.
+        """
+        out, after = np.zeros(len(starts), np.int64), np.full(len(starts), -1, np.int64)
         lanes = np.flatnonzero(sizes <= LONG)
         lanes = lanes[np.argsort(LONG - sizes[lanes].astype(np.uint8), kind="stable")]
         begin, size = starts[lanes], sizes[lanes]
@@ -209,7 +241,8 @@ class PairAutomaton:
         for k in np.flatnonzero(plain).tolist():
             total[k] = self._plain(data[begin[k] : begin[k] + size[k]].tobytes())
         out[lanes] = total
-        return out
+        after[lanes] = np.where(plain, -1, state)
+        return out, after
 
 
 _SPACE, _LETTER, _NUMBER, _OTHER, _NONE = range(5)
@@ -259,19 +292,46 @@ def pretoken_starts(points: np.ndarray, bounds: np.ndarray, classes: np.ndarray)
 
 
 class ChunkMap:
-    """What a chunk does to the count, whatever stands before it: open text, tokens, open text."""
+    """What a chunk does: its transitions before the first pre-token that begins in it (``head``), and from there on,
+    whatever came before, the tokens of whole pre-tokens and the last pre-token's bytes with state and tokens so far.
+
+    Without a pre-token that begins in it (``count`` is None), a chunk is all head.
+    """
+
+    __slots__ = ("head", "count", "tail", "state", "open")
+
+    def __init__(self, head: bytes, count: int | None = None, tail: bytes = b"", state: int = -1, open_: int = 0):
+        self.head, self.count, self.tail, self.state, self.open = head, count, tail, state, open_
 
-    def __init__(self, head: str, count: int | None = None, tail: str = ""):
-        self.head, self.count, self.tail = head, count, tail  # count None: no reset point inside, all is head
+    def applied(self, automaton: PairAutomaton, tail: bytes, state: int, open_: int) -> tuple[bytes, int, int]:
+        """The map of the head: an open pre-token after it, as (bytes, state, tokens so far)."""
+        if not self.head:
+            return tail, state, open_
+        whole = tail + self.head
+        if state >= 0 and len(whole) <= LONG:
+            state, more = automaton.walk(state, self.head)
+            return whole, state, open_ + more
+        return whole, -1, 0
 
-    def then(self, other: ChunkMap, count) -> ChunkMap:
-        if self.count is None and other.count is None:
-            return ChunkMap(self.head + other.head)
+    def then(self, other: ChunkMap, automaton: PairAutomaton) -> ChunkMap:
         if self.count is None:
-            return ChunkMap(self.head + other.head, other.count, other.tail)
+            return ChunkMap(self.head + other.head, other.count, other.tail, other.state, other.open)
+        tail, state, open_ = other.applied(automaton, self.tail, self.state, self.open)
         if other.count is None:
-            return ChunkMap(self.head, self.count, self.tail + other.head)
-        return ChunkMap(self.head, self.count + count(self.tail + other.head) + other.count, other.tail)
+            return ChunkMap(self.head, self.count, tail, state, open_)
+        done = open_ if state >= 0 else automaton.number_of(tail)
+        return ChunkMap(self.head, self.count + done + other.count, other.tail, other.state, other.open)
+
+    def total(self, automaton: PairAutomaton) -> int:
+        """Tokens of a whole text, whose first character begins a pre-token."""
+        return self.count + (self.open if self.state >= 0 else automaton.number_of(self.tail)) if self.count is not None else 0
+
+
+def scanned(maps: list[ChunkMap], automaton: PairAutomaton) -> ChunkMap:
+    """All maps of a text as one, combined in pairs, level by level."""
+    while len(maps) > 1:
+        maps = [maps[k].then(maps[k + 1], automaton) if k + 1 < len(maps) else maps[k] for k in range(0, len(maps), 2)]
+    return maps[0]
 
 
 class Tokenizer:
@@ -294,42 +354,48 @@ class Tokenizer:
             _cache()[key] = cls(path)
         return _cache()[key]
 
-    def _short(self, texts: list[str]) -> np.ndarray:
-        whole = "".join(texts)
-        if not whole:
-            return np.zeros(len(texts), np.int64)
-        points = np.frombuffer(whole.encode("utf-32-le"), np.uint32)
-        data = np.frombuffer(whole.encode(), np.uint8)
-        bounds = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
-        start = np.flatnonzero(pretoken_starts(points, bounds, self.classes))
+    def maps(self, windows: list[tuple[str, int, int]]) -> list[list[ChunkMap]]:
+        """Maps of the chunks of some windows ``text[a:b]``, all run side by side."""
+        texts = [t[max(a - CONTEXT, 0) : b + CONTEXT] for t, a, b in windows]
+        points = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
+        data = np.frombuffer("".join(texts).encode("utf-8", "surrogatepass"), np.uint8)
+        bounds = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
+        begins = pretoken_starts(points, bounds, self.classes)
         if len(data) == len(points):
-            at = start
+            place = np.arange(len(points) + 1)
         else:
             width = (1 + (points >= 0x80) + (points >= 0x800) + (points >= 0x10000)).astype(np.int64)
-            at = (np.cumsum(width) - width)[start]
-        n = self.automaton.run(data, at, np.diff(np.append(at, len(data))))
-        total = np.concatenate([[0], np.cumsum(n)])
-        return np.diff(total[np.searchsorted(start, bounds)])
-
-    def _map(self, text: str) -> ChunkMap:
-        """Reset points: a blank between a non-space and a letter begins a pre-token in any context."""
-        points = np.frombuffer(text.encode("utf-32-le"), np.uint32)
-        c = self.classes[points]
-        reset = np.flatnonzero((points[1:-1] == 32) & (c[:-2] != _SPACE) & (c[2:] == _LETTER)) + 1
-        if not len(reset):
-            return ChunkMap(text)
-        a, b = int(reset[0]), int(reset[-1])
-        return ChunkMap(text[:a], int(self._short([text[a:b]])[0]), text[b:])
-
-    def _one(self, text: str) -> int:
-        return int(self._short([text])[0])
-
-    def _long(self, text: str) -> int:
-        maps = [self._map(text[k : k + CHUNK]) for k in range(0, len(text), CHUNK)]
-        while len(maps) > 1:
-            maps = [maps[k].then(maps[k + 1], self._one) if k + 1 < len(maps) else maps[k] for k in range(0, len(maps), 2)]
-        m = maps[0]
-        return self._one(m.head) + (0 if m.count is None else m.count + self._one(m.tail))
+            place = np.concatenate([[0], np.cumsum(width)])
+        low, high, owner = [], [], []
+        for k, (_, a, b) in enumerate(windows):
+            first = int(bounds[k]) + a - max(a - CONTEXT, 0)
+            cuts = list(range(first, first + b - a, CHUNK))
+            low += cuts
+            high += [*cuts[1:], first + b - a]
+            owner += [k] * len(cuts)
+        low_, high_ = np.array(low, np.int64), np.array(high, np.int64)
+        start = np.flatnonzero(begins)
+        chunk = np.searchsorted(low_, start, side="right") - 1
+        inside = (chunk >= 0) & (start < high_[np.maximum(chunk, 0)])  # the rest are context
+        start, chunk = start[inside], chunk[inside]
+        # a pre-token ends where the next begins, or is open at the end of its chunk
+        last = np.append(chunk[1:] != chunk[:-1], True) if len(chunk) else np.zeros(0, bool)
+        end = np.where(last, high_[chunk], np.append(start[1:], 0)) if len(chunk) else start
+        at, size = place[start], place[end] - place[start]
+        n, state = self.automaton.run(data, at, size)
+        for k in np.flatnonzero(~last & (size > LONG)).tolist():
+            n[k] = self.automaton.long(data[at[k] : at[k] + size[k]].tobytes())
+        total = np.concatenate([[0], np.cumsum(np.where(last, 0, n))])
+        edges = np.searchsorted(chunk, np.arange(len(low) + 1))
+        out: list[list[ChunkMap]] = [[] for _ in windows]
+        for k, (i, j) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)):
+            begin, stop = int(place[low_[k]]), int(place[high_[k]])
+            if i == j:
+                out[owner[k]].append(ChunkMap(data[begin:stop].tobytes()))
+                continue
+            head = data[begin : at[i]].tobytes()
+            out[owner[k]].append(ChunkMap(head, int(total[j] - total[i]), data[at[j - 1] : stop].tobytes(), int(state[j - 1]), int(n[j - 1])))
+        return out
 
     def counts(self, texts: list[str | None]) -> np.ndarray:
         out = np.zeros(len(texts), np.int64)
@@ -342,26 +408,35 @@ class Tokenizer:
                     out[k] += sum(len(p) - 1 for p in split)
                     pieces = [x for p in split for x in p]
             parts += [(k, p) for p in pieces if p]
-        held, size = [], 0
-        for k, p in parts:
-            if len(p) > CHUNK:
-                out[k] += self._long(p)
-                continue
-            if size + len(p) > CHUNK and held:
-                np.add.at(out, [x for x, _ in held], self._short([x for _, x in held]))
-                held, size = [], 0
-            held.append((k, p))
-            size += len(p)
-        if held:
-            np.add.at(out, [x for x, _ in held], self._short([x for _, x in held]))
+        held: list[tuple[int, str, int, int]] = []
+        found: list[list[ChunkMap]] = [[] for _ in parts]
+
+        def flush() -> None:
+            for (k, *_), maps in zip(held, self.maps([w[1:] for w in held]), strict=True):
+                found[k] += maps
+            held.clear()
+
+        size = 0
+        for k, (_, p) in enumerate(parts):
+            for a in range(0, len(p), BLOCK):
+                b = min(a + BLOCK, len(p))
+                if held and size + b - a > BLOCK:
+                    flush()
+                    size = 0
+                held.append((k, p, a, b))
+                size += b - a
+        flush()
+        for (k, _), maps in zip(parts, found, strict=True):
+            out[k] += scanned(maps, self.automaton).total(self.automaton)
         return out
 
 
 def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 512) -> DataFrame:
-    """(doc_id, n_bytes, n_tokens, over_limit) of every row with a doc_id.
+    """(doc_id, n_bytes, n_tokens, over_limit) of every row with a doc_id; an empty table gives none.
 
     ``vocabulary`` is the path of a byte-level byte-pair file that every executor can open.  A null text counts as
-    empty (no bytes, no tokens); repeated rows are counted each for itself; extra columns play no part.
+    empty (no bytes, no tokens); repeated rows are counted each for itself; extra columns play no part.  Very long
+    texts are counted whole, chunk by chunk.
     """
 
     def run(rows):
