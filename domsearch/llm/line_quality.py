@@ -140,11 +140,14 @@ class LineQuality:
 
     @classmethod
     def fit(cls, docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> LineQuality:
-        """Fit on at most ``sample`` labelled rows, chosen by a hash of doc_id.  Without both labels the prior is all it knows."""
+        """Fit on at most ``sample`` labelled rows, chosen by a hash of doc_id.  Without both labels the prior is all it knows.
+
+        Rows that repeat a doc_id count once, with the least of their texts and the highest of their labels.
+        """
         chosen = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where("doc_id is not null and quality is not null")
         chosen = chosen.groupBy("doc_id").agg(F.max("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
         chosen = written(chosen, "labels")
-        rows = documents_only(docs).join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", "quality", F.col("text").cast("binary").alias("text"))
+        rows = documents_only(docs).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "quality").agg(F.min("text").cast("binary").alias("text"))
 
         def run(rows_):
             for batch in batches(rows_, 512):
@@ -183,7 +186,10 @@ class LineQuality:
         return np.where(sizes > 0, 1 / (1 + np.exp(-(self.scale[0] * z + self.scale[1]))), self.empty)
 
     def score(self, docs: DataFrame, limit: float = LIMIT) -> DataFrame:
-        """(doc_id, score, predicted) for every row with a doc_id; a null, empty or blank text gets the share of good labels."""
+        """(doc_id, score, predicted) for every row with a doc_id; a null, empty or blank text gets the share of good labels.
+
+        Repeated rows are scored each for itself, very long texts whole; extra columns play no part.
+        """
         model = self
 
         def run(rows):

@@ -7,8 +7,10 @@ part of its words, so a source meets its target to the word.  The exact block
 quotas of all sources are split over the output shards by a binary tree: at
 each node the left half's quotas are drawn without replacement from the
 node's.  A leaf takes the next blocks of each source's permuted order, so
-shards are disjoint.  Only expressions of Spark SQL run on the executors; the
-tree itself works on one count per source.
+shards are disjoint.  Prefix sums over the blocks of a source run in two
+levels, so a source with very many blocks is spread over tasks.  Only
+expressions of Spark SQL run on the executors; the tree itself works on one
+count per source, on the driver.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ from .frames import written
 WEIGHTS = (5, 2, 1)
 SHARE, MOST = 1.5, 2.0  # words of the mix for each word of input; repeats of a source at most
 BLOCK_DOCUMENTS = 512
-MOST_SOURCES = 1_000_000  # sources whose counts the driver plans with; more raise an error
+SMALL_PLAN = 500_000  # rows of a plan that may be broadcast; a larger one is joined by a shuffle
 
 
 def n_words(text: Column) -> Column:
@@ -68,33 +70,38 @@ def splitting_tree(quotas: list[int], shards: int, seed: int) -> list[list[int]]
 
 
 def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST, shards: int = 16, seed: int = 7, block_documents: int = BLOCK_DOCUMENTS) -> DataFrame:
-    """One row per document: doc_id, source, size, source_size, target, taken and draws (shard, pass, position, words).
+    """One row per document: doc_id, source, size, source_size, target, taken and draws (shard, pass, block, position, words).
 
     Sources by code point, null last, have the weights in turn.  Null or empty texts have size 0 and are never drawn;
-    rows with a null doc_id, and repeated rows, take part each for itself.  Extra columns play no part.
+    rows with a null doc_id, and repeated rows, take part each for itself.  Extra columns play no part.  An empty table
+    gives no rows.  The driver holds one count for each source.
     """
     spark = docs.sparkSession
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), n_words(F.col("text").cast("string")).alias("size"))
     rows = written(rows.withColumn("key", F.xxhash64(F.lit(seed), "doc_id", "size")), "sizes")
-    per = rows.groupBy("source").agg(F.sum("size").alias("words"), F.count("*").alias("n")).orderBy(F.col("source").asc_nulls_last()).limit(MOST_SOURCES + 1).collect()
-    if len(per) > MOST_SOURCES:
-        raise ValueError(f"more than {MOST_SOURCES} sources")
+    per = rows.groupBy("source").agg(F.sum("size").alias("words"), F.count("*").alias("n")).orderBy(F.col("source").asc_nulls_last()).collect()
+    small = F.broadcast if len(per) * shards <= SMALL_PLAN else (lambda df: df)
     targets = waterfill([r["words"] for r in per], [float(weights[k % len(weights)]) for k in range(len(per))], share, most)
     plan = []
     for k, (r, t) in enumerate(zip(per, targets, strict=True)):
         whole = int(round(t)) // r["words"] if r["words"] else 0
         plan.append((k, r["source"], r["words"], t, whole, int(round(t)) - whole * r["words"], -(-r["n"] // block_documents)))
     schema = "sid int, source string, source_size long, target double, passes int, rest long, blocks int"
-    sources = F.broadcast(spark.createDataFrame(plan, schema))
+    sources = small(spark.createDataFrame(plan, schema))
 
     rows = rows.join(sources, rows.source.eqNullSafe(sources.source)).drop(sources.source)
     rows = rows.withColumn("block", F.pmod(F.xxhash64("key", F.lit(seed + 1)), "blocks").cast("int"))
-    # blocks in permuted order, with the words before each
-    order = [F.xxhash64("sid", "block", F.lit(seed + 2)), F.col("block")]
+    # blocks in permuted order, with the words before each: sums over slices of the order, then inside each slice
     blocks = rows.groupBy("sid", "block", "blocks", "passes", "rest").agg(F.sum("size").alias("block_size"))
-    permuted = Window.partitionBy("sid").orderBy(*order)
-    blocks = blocks.withColumn("rank", F.row_number().over(permuted) - 1)
-    blocks = blocks.withColumn("words_before", F.coalesce(F.sum("block_size").over(permuted.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    blocks = blocks.withColumn("order", F.xxhash64("sid", "block", F.lit(seed + 2))).withColumn("slice", F.shiftrightunsigned("order", 54).cast("int"))
+    slices = blocks.groupBy("sid", "slice").agg(F.count("*").alias("n"), F.sum("block_size").alias("words"))
+    earlier = Window.partitionBy("sid").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
+    slices = slices.select("sid", "slice", *(F.coalesce(F.sum(c).over(earlier), F.lit(0)).alias(f"{c}_ahead") for c in ("n", "words")))
+    permuted = Window.partitionBy("sid", "slice").orderBy("order", "block")
+    inside = F.coalesce(F.sum("block_size").over(permuted.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    blocks = blocks.withColumn("at", F.row_number().over(permuted) - 1).withColumn("inside", inside).join(slices, ["sid", "slice"])
+    blocks = blocks.withColumn("rank", F.col("n_ahead") + F.col("at")).withColumn("words_before", F.col("words_ahead") + F.col("inside"))
+    blocks = blocks.drop("order", "slice", "at", "inside", "n_ahead", "words_ahead")
     blocks = written(blocks, "blocks")
     used = blocks.groupBy("sid").agg((F.max("passes") * F.count("*") + F.sum((F.col("words_before") < F.col("rest")).cast("long"))).alias("q"), F.count("*").alias("n")).collect()
     quota = {r["sid"]: (r["q"], r["n"]) for r in used}
@@ -105,12 +112,12 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
             if n:
                 spans.append((k, shard, at[k], at[k] + n))
                 at[k] += n
-    leaves = F.broadcast(spark.createDataFrame(spans, "sid int, shard int, low long, high long"))
+    leaves = small(spark.createDataFrame(spans, "sid int, shard int, low long, high long"))
 
     # every drawn block of every pass finds its leaf
     turns = blocks.withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("passes"))))
     turns = turns.where((F.col("turn") < F.col("passes")) | (F.col("words_before") < F.col("rest")))
-    counts = F.broadcast(spark.createDataFrame([(k, n) for k, (_, n) in quota.items()], "sid int, n_blocks long"))
+    counts = small(spark.createDataFrame([(k, n) for k, (_, n) in quota.items()], "sid int, n_blocks long"))
     turns = turns.join(counts, "sid").withColumn("place", F.col("turn") * F.col("n_blocks") + F.col("rank"))
     turns = turns.join(leaves, "sid").where((F.col("place") >= F.col("low")) & (F.col("place") < F.col("high")))
     homes = turns.groupBy("sid", "block").agg(F.max("words_before").alias("words_before"), F.collect_list(F.struct("turn", "shard")).alias("homes"))
@@ -119,8 +126,8 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
     drawn = rows.withColumn("ahead", F.coalesce(F.sum("size").over(within), F.lit(0))).join(homes, ["sid", "block"], "left")
     drawn = drawn.withColumn("part", F.greatest(F.lit(0), F.least(F.col("size"), F.col("rest") - F.col("words_before") - F.col("ahead"))))
     words = lambda h: F.when(h.turn < F.col("passes"), F.col("size")).otherwise(F.col("part"))
-    draws = F.transform("homes", lambda h: F.struct(h.shard.alias("shard"), h.turn.alias("pass"), F.xxhash64("key", h.turn, F.lit(seed + 4)).alias("position"), words(h).alias("words")))
-    draws = F.coalesce(F.filter(draws, lambda d: d["words"] > 0), F.expr("cast(array() as array<struct<shard:int,pass:int,position:bigint,words:bigint>>)"))
+    draws = F.transform("homes", lambda h: F.struct(h.shard.alias("shard"), h.turn.alias("pass"), F.col("block").alias("block"), F.xxhash64("key", h.turn, F.lit(seed + 4)).alias("position"), words(h).alias("words")))
+    draws = F.coalesce(F.filter(draws, lambda d: d["words"] > 0), F.expr("cast(array() as array<struct<shard:int,pass:int,block:int,position:bigint,words:bigint>>)"))
     taken = F.aggregate("draws", F.lit(0).cast("long"), lambda a, d: a + d["words"])
     return drawn.withColumn("draws", draws).select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), "draws")
 
