@@ -12,6 +12,7 @@ import time
 
 from pyspark.sql import functions as F
 
+from domsearch.functions.hashing import Vector
 from domsearch.functions.minhash import vector_signatures
 from domsearch.operators import extract, search, spci
 from domsearch.session import session
@@ -44,11 +45,18 @@ def main() -> None:
 
         def build(n=n):
             path = fresh(spark, f"index-{n}")
-            spci.save(spci.build(signed, n, M, native=True), path)
+            spci.save(spci.build(signed, n, M, native=True, family=Vector(M)), path, None)
             return spci.load(spark, path)
 
         index = timed(f"index_n{n}", build)
         candidates[f"n{n}"] = timed(f"query_n{n}", lambda i=index: spci.search(i, queries, T).count())
+    # buckets written once, in a layout of trees, and searches that read only them; then over a fifth of the domains
+    asked = materialise(signed.join(queries, F.col("domain_id") == F.col("query_id")).select("query_id", "q", "sig"), "asked")
+    growth = {}
+    for share in (20, 100):
+        kept = signed.where(F.pmod(F.xxhash64("domain_id"), F.lit(100)) < share)
+        index = timed(f"buckets_share_{share}", lambda kept=kept: spci.stored(spci.build(kept, 32, M, native=True, family=Vector(M), layout=(32, 8)), T))
+        growth[share] = timed(f"query_buckets_share_{share}", lambda i=index: spci.search(i, asked, T).count())
     pairs = timed("exact_search", lambda: search.exact(search.overlaps(entries, exact_sizes, queries), T[0]).count())
     for name in ("lsh_static", "partition_costs"):
         from domsearch.plans.catalog import QUERIES
@@ -57,7 +65,7 @@ def main() -> None:
     print(json.dumps({
         "metric": "headline_total", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": SF.rstrip("/").rsplit("sf", 1)[-1],
         "n_domains": n_domains, "index_domains_per_s": round(n_domains / (took["sketch_m256"] + took["index_n32"]), 1),
-        "mean_query_s": {k: round(took[f"query_{k}"] / K, 4) for k in candidates}, "candidates": candidates, "exact_answers": pairs,
+        "mean_query_s": {k: round(took[f"query_{k}"] / K, 4) for k in candidates}, "candidates": candidates, "candidates_by_share": growth, "exact_answers": pairs,
     }))
 
 
