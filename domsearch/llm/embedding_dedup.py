@@ -2,8 +2,9 @@
 
 Equal vectors of one label are collapsed first, so a large group of copies is
 one point with a weight.  Each point gets ``tables`` keys of ``bits`` signs;
-points of one label and key meet in a bucket.  A bucket is compared in blocks
-of bounded size, so a hot bucket is spread over many tasks, and nothing is
+points of one label and key meet in a bucket.  Buckets are formed from keys;
+vectors join when the blocks are known.  A bucket is compared in blocks of
+bounded size, so a hot bucket is spread over many tasks, and nothing is
 emitted but each point's number of new links and a spanning forest.  A pair
 that meets in several tables counts in the first of them only.
 """
@@ -37,6 +38,28 @@ def _hyperplanes(dimension: int, bits: int, tables: int) -> np.ndarray:
     return np.random.default_rng(SEED).standard_normal((dimension, bits * tables))
 
 
+def _unit(m: np.ndarray) -> np.ndarray:
+    m = m / np.abs(m).max(axis=1, keepdims=True)
+    return m / np.sqrt((m * m).sum(axis=1, keepdims=True))
+
+
+def _packed(m: np.ndarray) -> list[bytes]:
+    """Each row's components as floats of 32 bits where those hold them exactly, else of 64."""
+    with np.errstate(over="ignore"):
+        short = m.astype("<f4")
+    exact = (short == m).all(axis=1)
+    return [(short[k] if exact[k] else m[k].astype("<f8")).tobytes() for k in range(len(m))]
+
+
+def _unpacked(rows: list[bytes], dimension: int) -> np.ndarray:
+    out = np.empty((len(rows), dimension))
+    short = np.array([len(x) == 4 * dimension for x in rows], bool)
+    for at, kind in ((np.flatnonzero(short), "<f4"), (np.flatnonzero(~short), "<f8")):
+        if len(at):
+            out[at] = np.frombuffer(b"".join(rows[k] for k in at.tolist()), kind).reshape(len(at), dimension)
+    return out
+
+
 def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, recall: float = RECALL) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row with a vec_id.
 
@@ -56,8 +79,9 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, recall: fl
     largest = points.groupBy("label").count().agg(F.max("count")).first()[0] or 0
     bits, tables = hashing_shape(largest, threshold, recall)
     reps = points.select("rep", "label", "weight").join(fine.select(F.col("vec_id").alias("rep"), "v"), "rep")
+    width = (bits + 7) // 8  # bytes of one table's signs
 
-    def keys(rows):
+    def sketch(rows):
         for batch in batches(rows):
             lists = batch.column(3)
             size = np.array(pa.compute.list_value_length(lists).to_pylist(), np.int64)
@@ -68,35 +92,36 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, recall: fl
             for d in np.unique(size).tolist():
                 at = np.flatnonzero(size == d)
                 m = np.stack([flat[ends[k] - d : ends[k]] for k in at])
-                m /= np.abs(m).max(axis=1, keepdims=True)
-                m /= np.sqrt((m * m).sum(axis=1, keepdims=True))
-                bit = (m @ _hyperplanes(d, bits, tables) > 0).reshape(len(at), tables, bits)
+                bit = (_unit(m) @ _hyperplanes(d, bits, tables) > 0).reshape(len(at), tables, bits)
                 signs[at] = bit @ (1 << np.arange(bits, dtype=np.int64))
-                for k, row in zip(at.tolist(), m, strict=True):
-                    raw[k] = row.tobytes()
-            n = len(size)
-            take = pa.array(np.repeat(np.arange(n), tables))
+                for k, row in zip(at.tolist(), _packed(m), strict=True):
+                    raw[k] = row
+            packed = signs.astype("<i8").view(np.uint8).reshape(len(size), tables, 8)[:, :, :width]
+            keys = pa.ListArray.from_arrays(pa.array(np.arange(len(size) + 1, dtype=np.int32) * tables), pa.array(signs.ravel()))
             yield pa.RecordBatch.from_arrays([
-                batch.column(1).take(take), pa.array(np.repeat(size, tables)), pa.array(np.tile(np.arange(tables, dtype=np.int32), n)), pa.array(signs.ravel()),
-                batch.column(0).take(take), batch.column(2).take(take), pa.array([s.tobytes() for s in signs], pa.binary()).take(take), pa.array(raw, pa.binary()).take(take),
-            ], ["label", "dimension", "turn", "key", "rep", "weight", "signs", "unit"])
+                batch.column(0), batch.column(1), batch.column(2), pa.array(size), keys, pa.array([x.tobytes() for x in packed], pa.binary()), pa.array(raw, pa.binary()),
+            ], ["rep", "label", "weight", "dimension", "keys", "signs", "raw"])
 
-    schema = "label long, dimension long, turn int, key long, rep long, weight long, signs binary, unit binary"
-    keyed = reps.mapInArrow(keys, schema)
+    sketched = written(reps.mapInArrow(sketch, "rep long, label long, weight long, dimension long, keys array<long>, signs binary, raw binary"), "sketches")
     bucket = ["label", "dimension", "turn", "key"]
-    # a bucket is cut into blocks by its size; blocks meet in pairs
-    light = written(keyed, "buckets")
+    # buckets are formed and cut into blocks by keys alone; blocks meet in pairs, and only their members' vectors are sent, once for each pair
+    light = sketched.select("label", "dimension", F.posexplode("keys").alias("turn", "key"), "rep")
     sizes = light.groupBy(bucket).agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"), F.count("*").alias("m")).where("m > 1").drop("m")
     met = light.join(sizes, bucket).withColumn("block", F.pmod(F.xxhash64("rep"), "blocks").cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     met = met.withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other")).drop("other", "blocks")
+    met = met.join(sketched.select("rep", "weight", "signs", "raw"), "rep")
+    met = met.withColumn("signs", F.expr(f"substring(signs, 1, turn * {width})"))  # a turn asks for those before it only
 
     def compare(key, table):
         turn, i, j = key[2], key[4], key[5]
         block = table["block"].to_numpy()
         rep, weight = table["rep"].to_numpy(), table["weight"].to_numpy()
-        signs = np.frombuffer(b"".join(table["signs"].to_pylist()), np.int64).reshape(len(rep), -1)
-        unit = np.frombuffer(b"".join(table["unit"].to_pylist()), np.float64).reshape(len(rep), -1)
+        signs = np.zeros((len(rep), turn, 8), np.uint8)
+        if turn:
+            signs[:, :, :width] = np.frombuffer(b"".join(table["signs"].to_pylist()), np.uint8).reshape(len(rep), turn, width)
+        signs = signs.view("<i8")[:, :, 0]
+        unit = _unit(_unpacked(table["raw"].to_pylist(), key[1]))
         a, b = np.flatnonzero(block == i), np.flatnonzero(block == j)
         close = unit[a] @ unit[b].T >= threshold
         for t in range(turn):
