@@ -40,11 +40,14 @@ def events_stream(spark: SparkSession, sf_dir: str, arrival: tuple[int, ...] | N
 
 
 def drain(stream: DataFrame, mode: str = "append", trigger: str = "availableNow") -> DataFrame:
-    """Run to the end of the data and return the sink's rows as a table; ``trigger`` is availableNow or an interval."""
+    """Run to the end of the data and return the sink's rows as a table; ``trigger`` is availableNow or an interval.
+
+    Rows that are appended go to files; only the other modes, which send groups, keep them on the driver.
+    """
     spark = stream.sparkSession
-    name = f"sink_{uuid.uuid4().hex}"
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode)
-    writer = writer.option("checkpointLocation", fresh(spark, "stream"))
+    name, path = f"sink_{uuid.uuid4().hex}", fresh(spark, "sink")
+    writer = stream.writeStream.format("parquet").option("path", path) if mode == "append" else stream.writeStream.format("memory")
+    writer = writer.queryName(name).outputMode(mode).option("checkpointLocation", fresh(spark, "stream"))
     if trigger == "availableNow":
         query = writer.trigger(availableNow=True).start()
         query.awaitTermination()
@@ -52,7 +55,7 @@ def drain(stream: DataFrame, mode: str = "append", trigger: str = "availableNow"
         query = writer.trigger(processingTime=trigger).start()
         query.processAllAvailable()
         query.stop()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(path) if mode == "append" else spark.table(name)
 
 
 def drain_batches(stream: DataFrame, function) -> None:
