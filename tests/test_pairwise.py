@@ -84,3 +84,26 @@ def test_portable_sketch(bench):
 
     want = {r["domain_id"]: r["sig"] for r in signatures(df, Portable(16)).collect()}
     assert portable_sketch(16)(values, starts).tolist() == [want["a"], want["b"]] and max(want["a"]) < PRIME
+
+
+def test_estimator_error_sends_sums_only(spark, sf, monkeypatch):
+    """The figures of the pairs beside their sketches, with one row of sums from each task."""
+    from domsearch.functions import minhash, scores
+    from domsearch.plans.methods import M, Corpus
+
+    seen, make = [], pairwise.over_pairs
+    monkeypatch.setattr(pairwise, "over_pairs", lambda *a, **b: seen.append(make(*a, **b)) or seen[-1])
+    got = QUERIES["estimator_error"](spark, sf).first()
+    assert "Exchange" not in seen[0]._jdf.queryExecution().executedPlan().toString()
+    c = Corpus(spark, sf)
+    own = c.signed.select(F.col("domain_id").alias("query_id"), F.col("sig").alias("a"))
+    s = scores.jaccard(F.col("overlap"), F.col("q"), F.col("x"))
+    rows = c.pairs.join(own, "query_id").join(c.signed.select("domain_id", "sig"), "domain_id")
+    n, error, deviation = rows.agg(F.count("*"), F.avg(F.abs(minhash.estimate_jaccard(F.col("a"), F.col("sig")) - s)), F.avg(F.sqrt(s * (1 - s) / M))).first()
+    assert (got["n"], got["mean_error"], got["standard_error"]) == (n, pytest.approx(error, abs=1e-6), pytest.approx(deviation, abs=1e-6))
+
+
+def test_padded_partitions_send_counts_only(spark, sf, monkeypatch):
+    monkeypatch.setattr(spci, "probe", None)
+    got = {(r["index_id"], r["t_star"]): r for r in QUERIES["padded_partitioned"](spark, sf).collect()}
+    assert len(got) == 20 and got["padded_n32", 0.1]["recall"] > got["padded_n1", 0.1]["recall"]
