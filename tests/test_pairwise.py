@@ -107,3 +107,37 @@ def test_padded_partitions_send_counts_only(spark, sf, monkeypatch):
     monkeypatch.setattr(spci, "probe", None)
     got = {(r["index_id"], r["t_star"]): r for r in QUERIES["padded_partitioned"](spark, sf).collect()}
     assert len(got) == 20 and got["padded_n32", 0.1]["recall"] > got["padded_n1", 0.1]["recall"]
+
+
+def test_name_rank(spark):
+    """Stored ids in the order of their names: numbers as text, negative ones as well."""
+    from domsearch.operators import extract
+
+    keys = [0, 1, 2, 9, 10, 11, 19, 100, 101, 1000, 8035, 8401, 10957, 123456789012345678]
+    codes = [k * 16 + kind for k in keys for kind in range(len(extract.KINDS)) if k < 20_000 or ":" not in extract.KINDS[kind]]
+    codes += [-k * 16 + kind for k in keys[1:12] for kind in range(len(extract.KINDS))]
+    rows = spark.createDataFrame([(c,) for c in codes], "c long").select("c", extract.label("c", "slices").alias("name"))
+    want = [r["c"] for r in rows.orderBy("name").collect()]
+    assert np.array(codes)[np.argsort(extract.name_rank(np.array(codes)))].tolist() == want
+
+
+def test_ranks_send_packed_numbers(spark, sf, monkeypatch):
+    """Ranks come from blocks of packed numbers: no pair is sent as a row; many batches and blocks give the same."""
+    from pyspark.sql import Window
+
+    from domsearch.functions import scores
+    from domsearch.plans.methods import Corpus
+
+    w = Window.partitionBy("query_id")
+    by = lambda s: F.row_number().over(w.orderBy(F.desc(s), "domain_id"))
+    o, q, x = F.col("overlap"), F.col("q"), F.col("x")
+    rows = Corpus(spark, sf).pairs.select("query_id", by(scores.containment(o, q)).alias("a"), by(scores.jaccard(o, q, x)).alias("b"))
+    want = rows.groupBy("query_id").agg(F.count("*").alias("n"), F.sum((F.col("a") != F.col("b")).cast("long")), F.max(F.abs(F.col("a") - F.col("b"))).cast("long"))
+    want = sorted(map(tuple, want.collect()))
+    got = QUERIES["rank_disagreement"](spark, sf)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "Window" not in plan and "overlaps#" in plan
+    assert sorted(map(tuple, got.collect())) == want
+    monkeypatch.setattr(search, "SMALL_ENTRIES", 300)
+    monkeypatch.setattr(pairwise, "SENT_PAIRS", 500)
+    assert sorted(map(tuple, QUERIES["rank_disagreement"](spark, sf).collect())) == want
