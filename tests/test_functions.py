@@ -147,3 +147,25 @@ def test_vector_signatures(spark):
     assert abs(s - 0.5) < 4 * np.sqrt(0.25 / 256)
     again = {r["domain_id"]: r["sig"] for r in minhash.vector_signatures(entries, 256).collect()}
     assert all(again[k] == r["sig"] for k, r in sig.items())
+
+
+def test_tuner_integrates_few_shapes_in_full(monkeypatch):
+    """Shapes whose bounds rule them out are not integrated in full; the choice is that among all shapes."""
+    import numpy as np
+
+    from domsearch.functions import tuning
+
+    full, seen = tuning.fp_area, []
+    monkeypatch.setattr(tuning, "fp_area", lambda ratio, t, b, r, steps: seen.append(len(b)) or full(ratio, t, b, r, steps))
+    pairs = tuning.shapes(40)
+    b, r = (np.array(x) for x in zip(*pairs, strict=True))
+    for ratio in (0.125, 0.75, 1.0, 3.0, 1024.0):
+        for t in (0.0, 0.05, 0.5, 0.95, 1.0):
+            for weight in (0.0, 1.0, 3.0):
+                total = np.round(full(ratio, t, b, r) + weight * tuning.fn_area(ratio, t, b, r), 9)
+                k = np.lexsort((b, b * r, total))[0]
+                assert tuning.optimal_params.__wrapped__(ratio, t, 40, fn_weight=weight)[:2] == (b[k], r[k])
+    typical = seen[:]
+    seen.clear()
+    tuning.optimal_params.__wrapped__(3.0, 0.5, 256)
+    assert seen[0] < len(tuning.shapes(256)) / 4 and max(typical) <= len(pairs)
