@@ -7,8 +7,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from domsearch.functions import minhash
-from domsearch.functions.hashing import Native
-from domsearch.operators import extract, lsh, spci
+from domsearch.functions.hashing import Native, Portable
+from domsearch.operators import extract, lsh, pairwise, search, spci
 from domsearch.plans.catalog import QUERIES
 from domsearch.plans.methods import Corpus
 
@@ -60,3 +60,20 @@ def test_probe_in_place_is_the_probe_of_buckets(spark, sf, monkeypatch, layout,
     monkeypatch.setattr(lsh, "HELD_SIGNS", 6_400)
     monkeypatch.setattr(lsh, "MET", 5)
     assert rows(c.named(spci.search(index, asked, at, prune))) == want
+
+
+def test_refined_where_the_sets_lie(spark, sf, monkeypatch):
+    """Candidates are compared on the spot: neither entries nor candidates are sent, and the rows are those of joined entries."""
+    c = Corpus(spark, sf)
+    index = spci.build(c.sketches(Portable(64)), 8, 64)
+    want = rows(spci.refine_exact(spci.search(index, c.queries, [0.5]), c.entries, c.queries))
+    got = QUERIES["spci_refined"](spark, sf)
+    assert sent(got) <= {"size", "part_id"}
+    assert want and rows(got) == want
+    asked, whole = c.asked(c.whole), spci.build(c.whole, 8, 64)
+    joined = rows(c.named(spci.search(whole, asked, [0.2, 0.5], refine="exact", entries=c.stored)))
+    monkeypatch.setattr(search, "SMALL_ENTRIES", 300)
+    monkeypatch.setattr(pairwise, "CELLS", 50)
+    assert rows(c.named(spci.search(whole, asked, [0.2, 0.5], refine="exact"))) == joined
+    with pytest.raises(ValueError, match="entries"):
+        spci.search(index, c.queries, [0.5], refine="exact")
