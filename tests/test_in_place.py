@@ -23,12 +23,16 @@ def sent(df):
     return {c.split("#")[0] for x in re.findall(r"Exchange hashpartitioning\((.*?), \d+\)", plan) for c in x.split(", ")}
 
 
-def test_native_sketch(spark):
+def test_native_sketch(spark, monkeypatch):
     """Signatures by numpy are those of Spark's own hashes, for numbers of every length and sign."""
     rng = np.random.default_rng(3)
     each = np.unique(np.concatenate([s * rng.integers(0, 10**k, 30) for k in range(1, 19) for s in (1, -1)] + [np.array([-(2**63), 2**63 - 1])]))
     starts = np.arange(0, len(each), 7)
     got = minhash.native_sketch(70)(each, starts)
+    monkeypatch.setattr(minhash, "CACHED", 10)  # sets that lie across blocks
+    assert (minhash.native_sketch(70)(each, starts) == got).all()
+    monkeypatch.setattr(minhash, "REPEATED", 0)  # every distinct value hashed once
+    assert (minhash.native_sketch(70)(each, starts) == got).all()
     ids = np.searchsorted(starts, np.arange(len(each)), "right") - 1
     entries = spark.createDataFrame(list(zip(ids.tolist(), each.tolist(), strict=True)), "domain_id long, value long")
     want = {r["domain_id"]: r["sig"] for r in minhash.signatures(entries, Native(70)).collect()}
